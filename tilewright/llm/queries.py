@@ -2,12 +2,33 @@
 
 from __future__ import annotations
 
+import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from . import exact_dedup, jaccard
+from . import exact_dedup, jaccard, langid, packing, substring
 from .common import table
 
 
+def packed_digests(docs: DataFrame, vocabulary: str) -> DataFrame:
+    pieces = packing.tokenized_pieces(docs, vocabulary)
+    pieces = pieces.select("doc_id", "start", "length", F.crc32("ids").alias("ids_crc32"), "doc_tokens")
+    return packing.pack_pieces(pieces, ["doc_id", "start", "ids_crc32", "doc_tokens"])
+
+
+def op1_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return packed_digests(table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.json"))
+
+
+def op4_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = substring.repeated_passages(table(spark, sf_dir, "documents"))
+    return found.withColumnsRenamed({"b": "doc_id", "a": "earlier_id", "b_start": "start_word", "b_end": "end_word", "a_start": "earlier_start", "a_end": "earlier_end"})
+
+
+def op7_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return langid.predictions(table(spark, sf_dir, "documents"))
+
+
 def op2_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jaccard.jaccard_components(table(spark, sf_dir, "documents"))
 
@@ -16,7 +37,7 @@ def op8_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.exact_groups(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op2_jaccard_join, op8_exact_dedup)}
+QUERIES = {f.__name__: f for f in (op1_packing, op2_jaccard_join, op4_substring_dedup, op7_language_id, op8_exact_dedup)}
 
 ORACLES = {
     "op2_jaccard_join": r"""
