@@ -6,7 +6,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import exact_dedup, jaccard, langid, packing, substring
+from . import exact_dedup, fertility, gam, html_extract, jaccard, langid, lattice, packing, substring, warc
 from .common import table
 
 
@@ -20,6 +20,10 @@ def op1_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packed_digests(table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.json"))
 
 
+def op3_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return lattice.encoded(table(spark, sf_dir, "documents"), public_tokenizers.path("piece_bpe_32k.model"))
+
+
 def op4_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = substring.repeated_passages(table(spark, sf_dir, "documents"))
     return found.withColumnsRenamed({"b": "doc_id", "a": "earlier_id", "b_start": "start_word", "b_end": "end_word", "a_start": "earlier_start", "a_end": "earlier_end"})
@@ -37,7 +41,31 @@ def op8_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.exact_groups(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op1_packing, op2_jaccard_join, op4_substring_dedup, op7_language_id, op8_exact_dedup)}
+def op5_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return warc.build_derivatives(table(spark, sf_dir, "pages"))
+
+
+def op6_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return html_extract.extract_pages(table(spark, sf_dir, "pages"))
+
+
+def op9_tokeniser_fertility(spark: SparkSession, sf_dir: str) -> DataFrame:
+    vocabularies = public_tokenizers.path("byte_bpe_50k.json"), public_tokenizers.path("piece_bpe_32k.model")
+    return fertility.verdicts(table(spark, sf_dir, "documents"), *vocabularies)
+
+
+def op10_quality_gam(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    return gam.quality_scores(docs, gam.fit(docs, table(spark, sf_dir, "labels")))
+
+
+QUERIES = {
+    f.__name__: f
+    for f in (
+        op1_packing, op2_jaccard_join, op3_sentencepiece, op4_substring_dedup, op5_warc, op6_html_extraction,
+        op7_language_id, op8_exact_dedup, op9_tokeniser_fertility, op10_quality_gam,
+    )
+}
 
 ORACLES = {
     "op2_jaccard_join": r"""
