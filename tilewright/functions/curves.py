@@ -46,17 +46,25 @@ def with_hilbert_key(df: DataFrame, x: str, y: str, key: str, order: int = ORDER
     """Place of cell (x, y) on the Hilbert curve, from the highest bit down.
 
     Each bit pair picks a quadrant (0, 1, 2, 3 in visiting order) and turns the frame for the bits
-    below: quadrant 0 swaps the axes, quadrant 3 swaps and mirrors them.
+    below: quadrant 0 swaps the axes, quadrant 3 swaps and mirrors them. A fold over the bits keeps
+    the expression linear in their number (nested projections would be inlined into each other).
     """
-    df = df.withColumns({"_hx": F.col(x), "_hy": F.col(y), key: F.lit(0).cast("long")})
-    for k in range(order - 1, -1, -1):
-        bx, by = _bit(F.col("_hx"), k), _bit(F.col("_hy"), k)
-        below = F.lit((1 << k) - 1).cast("long")
-        lx, ly = F.col("_hx").bitwiseAND(below), F.col("_hy").bitwiseAND(below)
-        nx = F.when(by == 1, lx).when(bx == 1, below - ly).otherwise(ly)
-        ny = F.when(by == 1, ly).when(bx == 1, below - lx).otherwise(lx)
-        df = df.withColumns({key: F.col(key) * 4 + bx * 3 - bx * by + by * (1 - bx), "_hx": nx, "_hy": ny})
-    return df.drop("_hx", "_hy")
+
+    def step(s: Column, k: Column) -> Column:
+        # s: key, x, y; k: the bit's place value
+        below = k - 1
+        bx, by = s["x"] >= k, s["y"] >= k
+        lx, ly = s["x"].bitwiseAND(below), s["y"].bitwiseAND(below)
+        quadrant = F.when(bx & by, 2).when(bx, 3).when(by, 1).otherwise(0)
+        return F.struct(
+            (s["key"] * 4 + quadrant).alias("key"),
+            F.when(by, lx).when(bx, below - ly).otherwise(ly).alias("x"),
+            F.when(by, ly).when(bx, below - lx).otherwise(lx).alias("y"),
+        )
+
+    start = F.struct(F.lit(0).cast("long").alias("key"), F.col(x).cast("long").alias("x"), F.col(y).cast("long").alias("y"))
+    places = F.array(*(F.lit(1 << k).cast("long") for k in range(order - 1, -1, -1)))
+    return df.withColumn(key, F.aggregate(places, start, step)["key"])
 
 
 CURVES = {"hilbert": with_hilbert_key, "z": with_z_key, "gray": with_gray_key}

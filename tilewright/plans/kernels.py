@@ -55,7 +55,7 @@ def peel(b: np.ndarray, region: Box, payload: int, axes: tuple[str, ...] = ("x",
             out.append((low[0], low[1], high[0], high[1], len(at)))
             return out
         _, d, cut = best
-        inside = int((b[at, d] < cut).sum())
+        inside = int((c[at, d] < cut).sum())
         tile = [low[0], low[1], high[0], high[1]]
         tile[d + 2] = cut
         out.append((*tile, inside))

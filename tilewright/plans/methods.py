@@ -238,7 +238,7 @@ def _in_one_task(boxes: DataFrame, payload: int, universe: Box | None, method: s
 
     if not n:
         return make_tiles(boxes.sparkSession, u, [(*(getattr(u, c) for c in BOX), 0)], method, payload=payload, **params)
-    got = boxes.select("id", *BOX).groupBy(F.lit(0)).applyInArrow(run, "xmin double, ymin double, xmax double, ymax double, planned long, k long")
+    got = boxes.select("id", *BOX, F.lit(0).alias("_all")).groupBy("_all").applyInArrow(run, "xmin double, ymin double, xmax double, ymax double, planned long, k long")
     rows = sorted(got.collect(), key=lambda r: r["k"])
     return make_tiles(boxes.sparkSession, u, [tuple(r)[:5] for r in rows], method, payload=payload, **params)
 
