@@ -208,6 +208,8 @@ def _sweep(a: DataFrame, b: DataFrame, layout: Layout, kind, dedup: str) -> Data
         s_id = y.column("id").to_numpy()[j[ok]] if len(y) else np.zeros(0, np.int64)
         return pa.table({"r_id": pa.array(r_id, pa.int64()), "s_id": pa.array(s_id, pa.int64())})
 
+    # Fresh attribute ids: both sides may come from one dataset.
+    a, b = (x.select(*(F.col(c).alias(c) for c in x.columns)) for x in (a, b))
     return a.groupBy("tile_id").cogroup(b.groupBy("tile_id")).applyInArrow(run, "r_id long, s_id long")
 
 

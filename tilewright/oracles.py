@@ -163,7 +163,7 @@ e AS (SELECT slab, tile, min(cx) AS cx, min(cy) AS cy, count(*) AS n FROM q GROU
 sl AS (SELECT slab, min(cx) AS cx FROM e GROUP BY 1),
 sx AS (SELECT slab, CASE WHEN slab = 0 THEN x0 ELSE cx END AS lo, coalesce(lead(cx) OVER (ORDER BY slab), x1) AS hi FROM sl, u),
 t AS (SELECT CAST(row_number() OVER (ORDER BY slab, tile) - 1 AS INTEGER) AS tile_id, * EXCLUDE (slab, tile) FROM (
-  SELECT slab, tile, lo AS xmin, CASE WHEN tile = 0 THEN y0 ELSE cy END AS ymin, hi AS xmax, coalesce(lead(cy) OVER (PARTITION BY slab ORDER BY tile), y1) AS ymax, n AS planned FROM e JOIN sx USING (slab), u)
+  SELECT slab, tile, lo AS xmin, CASE WHEN tile = 0 THEN y0 ELSE cy END AS ymin, hi AS xmax, coalesce(lead(cy) OVER (PARTITION BY slab ORDER BY tile), y1) AS ymax, e.n AS planned FROM e JOIN sx USING (slab), u)
   WHERE xmin < xmax AND ymin < ymax)"""
 
 

@@ -136,7 +136,7 @@ SWEEP = [("grid", 300, oracles.grid(300), oracles.GRID_ROUTED), ("grid", 750, or
 
 
 @register("quality_sweep", " UNION ALL ".join(
-    f"SELECT '{m}' AS method, {b} AS payload, k, lambda, sigma FROM (WITH RECURSIVE {oracles.base('even')}, {sql}, {routed}, {oracles.LOADS} {oracles.QUALITY})" for m, b, sql, routed in SWEEP))
+    f"SELECT '{m}' AS method, {b} AS payload, k, \"lambda\", sigma FROM (WITH RECURSIVE {oracles.base('even')}, {sql}, {routed}, {oracles.LOADS} {oracles.QUALITY})" for m, b, sql, routed in SWEEP))
 def quality_sweep(spark: SparkSession, d: str) -> DataFrame:
     boxes = fixtures.even_boxes(spark, d).persist()
     out = None
