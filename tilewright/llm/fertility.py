@@ -2,12 +2,12 @@
 
 Per text and public vocabulary: code points per token; of a piece vocabulary also the share of byte
 fallback tokens; the entropy of the tokens' distribution against its largest possible value. Bands
-are set per language (else per `und`) from all rows: the median less and plus so many scaled
-median deviations. A text is kept if it passes the base rules and lies in all bands of its
-language.
+are set per language and size class (texts of 2^k to 2^(k+1) tokens, as entropy falls with length)
+from all rows: the median less and plus so many scaled median deviations. A text is kept if it
+passes the base rules and lies in all bands of its language and size.
 
-Null texts have no words and fail the base rules. A null language is `und`; a language of fewer than
-`LEAST_ROWS` base-passing rows takes the bands of all rows. Repeated rows get equal verdicts. Only
+Null texts have no words and fail the base rules. A null language is `und`; a language and size of
+fewer than `LEAST_ROWS` base-passing rows takes the bands of all languages. Repeated rows get equal verdicts. Only
 doc_id, text and lang are read.
 """
 
@@ -25,7 +25,7 @@ from .textkit import SPACE, Words, column_bytes, slices
 SYMBOLS = b"#*$%&|<>"
 BASE_MIN_WORDS, BASE_REPEAT_PERCENT = 50, 50
 DEVIATIONS = 6.0
-LEAST_ROWS = 200
+LEAST_ROWS = 50
 MEMO_UNITS = 400_000
 
 _SYMBOL = np.zeros(256, bool)
@@ -45,7 +45,7 @@ class PieceCounts(dict):
     def learn(self, units: set[str]) -> None:
         if len(self) > MEMO_UNITS:
             self.clear()
-        new = [u for u in units if u not in self]
+        new = list(units.difference(self))
         for u, ids in zip(new, self.model.encode([u.lstrip(" ") for u in new], num_threads=1)):
             self[u] = (len(ids), int(self.byte[ids].sum()) if ids else 0)
 
@@ -89,7 +89,7 @@ def base_counts(data: np.ndarray, off: np.ndarray, w: Words) -> tuple:
 
 def measures(docs: DataFrame, byte_vocabulary: str, piece_vocabulary: str) -> DataFrame:
     """Base counts and fertility measures of every row."""
-    names = ["doc_id", "lang", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "chars_per_token", "chars_per_piece", "byte_share", "entropy_share"]
+    names = ["doc_id", "lang", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_tokens", "chars_per_token", "chars_per_piece", "byte_share", "entropy_share"]
 
     def measure(batches):
         from tilewright.llm import fertility as me
@@ -111,18 +111,18 @@ def measures(docs: DataFrame, byte_vocabulary: str, piece_vocabulary: str) -> Da
                 code.learn(known)
                 pieces.learn(known)
                 for k, t in enumerate(rows):
-                    ids = np.frombuffer(code("", units[k]), np.uint32)
+                    ids = np.frombuffer(code(units[k]), np.uint32)
                     n, byte = map(sum, zip(*map(pieces.__getitem__, units[k]))) if units[k] else (0, 0)
                     p = np.unique(ids, return_counts=True)[1] / max(1, len(ids))
                     bits = float(-(p * np.log2(p)).sum()) if len(ids) > 1 else 0.0
-                    row = (n_words[k], chars[k], symbols[k], duplicate_lines(t), again[k], len(t) / max(1, len(ids)), len(t) / max(1, n), byte / max(1, n), bits / np.log2(len(ids)) if len(ids) > 1 else 1.0)
+                    row = (n_words[k], chars[k], symbols[k], duplicate_lines(t), again[k], len(ids), len(t) / max(1, len(ids)), len(t) / max(1, n), byte / max(1, n), bits / np.log2(len(ids)) if len(ids) > 1 else 1.0)
                     for to, v in zip(out, row):
                         to.append(v)
-            kinds = [pa.int64()] * 5 + [pa.float64()] * 4
+            kinds = [pa.int64()] * 6 + [pa.float64()] * 4
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("lang"), *(pa.array(o, k) for o, k in zip(out, kinds))], names)
 
     t = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("lang").cast("string"), F.lit("und")).alias("lang"), F.coalesce("text", F.lit("")).alias("text"))
-    kinds = ["long", "string"] + ["long"] * 5 + ["double"] * 4
+    kinds = ["long", "string"] + ["long"] * 6 + ["double"] * 4
     return t.mapInArrow(measure, ", ".join(f"{a} {b}" for a, b in zip(names, kinds)))
 
 
@@ -130,28 +130,32 @@ BANDED = ["chars_per_token", "chars_per_piece", "byte_share", "entropy_share"]
 
 
 def bands(rows: DataFrame, deviations: float = DEVIATIONS) -> DataFrame:
-    """lang and, per measure, its lower and upper bound, from all base-passing rows."""
+    """lang (`*`: all), size and, per measure, its lower and upper bound, from all base-passing rows."""
     good = rows.filter("not base_failed")
-    both = good.select("lang", *BANDED).unionByName(good.select(F.lit("*").alias("lang"), *BANDED))
-    mid = both.groupBy("lang").agg(F.count(F.lit(1)).alias("_rows"), *(F.percentile_approx(c, 0.5, 1000).alias(f"{c}_mid") for c in BANDED))
-    far = both.join(maybe_broadcast(materialize(mid)), "lang")
-    far = far.groupBy("lang").agg(F.first("_rows").alias("_rows"), *(F.first(f"{c}_mid").alias(f"{c}_mid") for c in BANDED), *(F.percentile_approx(F.abs(F.col(c) - F.col(f"{c}_mid")), 0.5, 1000).alias(f"{c}_mad") for c in BANDED))
+    both = good.select("lang", "size", *BANDED).unionByName(good.select(F.lit("*").alias("lang"), "size", *BANDED))
+    mid = both.groupBy("lang", "size").agg(F.count(F.lit(1)).alias("_rows"), *(F.percentile_approx(c, 0.5, 1000).alias(f"{c}_mid") for c in BANDED))
+    far = both.join(maybe_broadcast(materialize(mid)), ["lang", "size"])
+    mads = (F.percentile_approx(F.abs(F.col(c) - F.col(f"{c}_mid")), 0.5, 1000).alias(f"{c}_mad") for c in BANDED)
+    far = far.groupBy("lang", "size").agg(F.first("_rows").alias("_rows"), *(F.first(f"{c}_mid").alias(f"{c}_mid") for c in BANDED), *mads)
     reach = {c: deviations * 1.4826 * F.greatest(F.col(f"{c}_mad"), F.lit(0.005)) for c in BANDED}
-    return far.select("lang", "_rows", *(f for c in BANDED for f in ((F.col(f"{c}_mid") - reach[c]).alias(f"{c}_low"), (F.col(f"{c}_mid") + reach[c]).alias(f"{c}_high"))))
+    return far.select("lang", "size", "_rows", *(f for c in BANDED for f in ((F.col(f"{c}_mid") - reach[c]).alias(f"{c}_low"), (F.col(f"{c}_mid") + reach[c]).alias(f"{c}_high"))))
 
 
 def verdicts(docs: DataFrame, byte_vocabulary: str, piece_vocabulary: str) -> DataFrame:
     """One row per document: base counts, base_failed, the measures, kept."""
     rows = measures(docs, byte_vocabulary, piece_vocabulary)
     failed = (F.col("n_words") < BASE_MIN_WORDS) | (100 * F.col("n_repeat_words") > BASE_REPEAT_PERCENT * F.col("n_words"))
-    rows = materialize(rows.withColumn("base_failed", failed))
+    size = F.floor(F.log2(F.greatest(F.lit(1), F.col("n_tokens")))).cast("int")
+    rows = materialize(rows.withColumns({"base_failed": failed, "size": size}))
     limits = materialize(bands(rows))
     named = limits.filter((F.col("lang") != "*") & (F.col("_rows") >= LEAST_ROWS)).drop("_rows")
-    rest = limits.filter("lang = '*'").first()  # one row
-    out = rows.join(maybe_broadcast(named), "lang", "left")
+    rest = limits.filter("lang = '*'").drop("_rows", "lang")
+    rest = rest.select("size", *(F.col(c).alias(f"any_{c}") for c in rest.columns if c != "size"))
+    # A size class is a power of two, so `rest` has a few dozen rows at most.
+    out = rows.join(maybe_broadcast(named), ["lang", "size"], "left").join(F.broadcast(rest), "size", "left")
     inside = F.lit(True)
     for c in BANDED:
-        low, high = (F.coalesce(f"{c}_{e}", F.lit(rest[f"{c}_{e}"] if rest else None).cast("double")) for e in ("low", "high"))
+        low, high = (F.coalesce(f"{c}_{e}", f"any_{c}_{e}") for e in ("low", "high"))
         # More characters per token or more varied tokens than usual are no fault.
-        inside = inside & (F.col(c) <= high if c == "byte_share" else F.col(c) >= low)
-    return out.select(*rows.columns, (~F.col("base_failed") & F.coalesce(inside, F.lit(False))).alias("kept"))
+        inside = inside & F.coalesce(F.col(c) <= high if c == "byte_share" else F.col(c) >= low, F.lit(True))
+    return out.select(*rows.columns, (~F.col("base_failed") & inside).alias("kept"))
