@@ -17,6 +17,7 @@ from __future__ import annotations
 import heapq
 import os
 import re
+from array import array
 from collections.abc import Callable, Iterator
 
 import numpy as np
@@ -31,34 +32,61 @@ from .textkit import column_bytes, slices
 CAPACITY = 2048
 CLOSING_ID = 1
 MEMO_UNITS = 600_000
+CHECKED_UNITS = 3000
 ROWS_PER_SALT = 100_000
 
 # The code points that the public pre-tokeniser's \s stands for.
 BLANK = "\t\n\x0b\x0c\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000"
+# Fixed value: the public pre-tokeniser's pattern.
+PRE_TOKEN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 #: No pre-token crosses the ends of these units, so each can be encoded on its own.
 UNIT = re.compile(f"[{BLANK}]+(?![^{BLANK}])| ?[^{BLANK}]+|[{BLANK}]+")
 
 _coders: dict[str, "UnitCoder"] = {}
 
 
+def _byte_characters() -> dict[str, int]:
+    """The printable stand-ins of bytes in a byte-level vocabulary: themselves, or else 256 upwards."""
+    plain = [b for b in range(256) if 33 <= b <= 126 or 161 <= b <= 172 or b >= 174]
+    rest = [b for b in range(256) if b not in set(plain)]
+    return {chr(b): b for b in plain} | {chr(256 + i): b for i, b in enumerate(rest)}
+
+
 class UnitCoder(dict):
-    """Unit -> its ids as little-endian unsigned 32-bit bytes; a bounded memo."""
+    """Unit -> its ids as little-endian unsigned 32-bit bytes; a bounded memo.
+
+    The vocabulary of the tokenizer file is run by the faster of the two public byte-pair engines;
+    the tokenizer itself checks it on the first units of each worker.
+    """
 
     def __init__(self, path: str):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
+        import tiktoken
         from tokenizers import Tokenizer
 
-        self.coder = Tokenizer.from_file(path)
-        self.coder.encode_special_tokens = True
+        self.judge = Tokenizer.from_file(path)
+        self.judge.encode_special_tokens = True
+        special = {t.content for t in self.judge.get_added_tokens_decoder().values()}
+        byte = _byte_characters()
+        ranks = {bytes(byte[c] for c in token): i for token, i in self.judge.get_vocab().items() if token not in special}
+        self.engine = tiktoken.Encoding("units", pat_str=PRE_TOKEN, mergeable_ranks=ranks, special_tokens={})
+        self.unchecked = CHECKED_UNITS
 
     def learn(self, units: set[str]) -> None:
         if len(self) > MEMO_UNITS:
             self.clear()
-        new = [u for u in units if u not in self]
-        for u, e in zip(new, self.coder.encode_batch_fast(new, add_special_tokens=False)):
-            self[u] = np.array(e.ids, "<u4").tobytes()
-
-    def __call__(self, text: str, units: list[str]) -> bytes:
+        encode = self.engine.encode_ordinary
+        new = list(units.difference(self))
+        for u in new:
+            self[u] = array("I", encode(u)).tobytes()
+        if self.unchecked > 0:
+            probe = new[: self.unchecked]
+            self.unchecked -= len(probe)
+            for u, e in zip(probe, self.judge.encode_batch(probe, add_special_tokens=False)):
+                if array("I", e.ids).tobytes() != self[u]:
+                    raise ValueError(f"the engines disagree on {u!r}")
+
+    def __call__(self, units: list[str]) -> bytes:
         return b"".join(map(self.__getitem__, units))
 
 
@@ -76,7 +104,7 @@ def encode_rows(batch: pa.RecordBatch, path: str) -> Iterator[bytes]:
         units = [UNIT.findall(data[off[r] : off[r + 1]].tobytes().decode()) for r in range(i, j)]
         code.learn(set().union(*units))
         for u in units:
-            yield code("", u)
+            yield code(u)
 
 
 def tokenized_pieces(docs: DataFrame, vocabulary: str, capacity: int = CAPACITY, closing: int = CLOSING_ID) -> DataFrame:
