@@ -66,7 +66,7 @@ gone AS MATERIALIZED (SELECT c, coalesce(max(before), 0) AS gone FROM (
     SELECT v, sum(n) OVER (ORDER BY v) AS le FROM (SELECT {f"{axis}max" if count == "live" else f"({axis}min + {axis}max) / 2"} AS v, count(*) AS n FROM b GROUP BY 1)) f ON cum.c > f.v) GROUP BY c),
 nxt AS MATERIALIZED (SELECT gone.c, greatest_next.c AS nxt FROM gone, LATERAL (SELECT min(z.c) AS c FROM cum z WHERE z.c > gone.c AND z.le > gone.gone + {payload}) greatest_next),
 cuts AS (SELECT min(c) AS c FROM cum WHERE le > {payload} UNION ALL SELECT nxt.nxt FROM cuts JOIN nxt ON cuts.c = nxt.c WHERE nxt.nxt IS NOT NULL),
-kept AS (SELECT c FROM cuts, u WHERE c > {axis}0 AND c <= {axis}1),
+kept AS (SELECT c FROM cuts, u WHERE c > {axis}0 AND c < {axis}1),
 t AS (SELECT CAST(row_number() OVER (ORDER BY lo) - 1 AS INTEGER) AS tile_id, {cut_tile}, CAST(NULL AS BIGINT) AS planned FROM (
   SELECT lo, coalesce(lead(lo) OVER (ORDER BY lo), (SELECT {axis}1 FROM u)) AS hi FROM (SELECT {axis}0 AS lo FROM u UNION ALL SELECT c FROM kept)), u)"""
 

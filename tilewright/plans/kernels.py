@@ -46,7 +46,7 @@ def peel(b: np.ndarray, region: Box, payload: int, axes: tuple[str, ...] = ("x",
                     v = np.sort(v) if len(v) < 64 else v
                     nth = float(np.partition(v, payload)[payload])
                     cut = nth if nth > low[d] else (float(v[v > low[d]].min()) if (v > low[d]).any() else None)
-                    if cut is None or cut > high[d]:
+                    if cut is None or cut >= high[d]:
                         continue
                     crossed = int(((b[at, d] < cut) & (cut <= b[at, d + 2])).sum())
                     if best is None or crossed < best[0]:
@@ -65,7 +65,7 @@ def peel(b: np.ndarray, region: Box, payload: int, axes: tuple[str, ...] = ("x",
 def strips(b: np.ndarray, region: Box, payload: int, axis: str = "x", count: str = "live") -> list[Tile]:
     d = 0 if axis == "x" else 1
     cuts = strip_cuts(np.sort(_centres(b)[:, d]), np.sort(b[:, d + 2]), payload, count)
-    return tiles_of_cuts(region, [c for c in cuts if region.low(axis) < c <= region.high(axis)], axis)
+    return tiles_of_cuts(region, [c for c in cuts if region.low(axis) < c < region.high(axis)], axis)
 
 
 def strip_cuts(centres: np.ndarray, far: np.ndarray, payload: int, count: str = "live", min_fresh: int = 0, edge: float = -np.inf) -> list[float]:

@@ -201,7 +201,7 @@ def plan_strip(boxes: DataFrame, payload: int, *, axis: str = "x", count: str =
     u, n = _measure(boxes, universe)
     centres, far, _ = _sorted_edges(boxes, axis, payload, n)
     cuts = kernels.strip_cuts(centres, far, payload, count, min_fresh)
-    tiles = kernels.tiles_of_cuts(u, [c for c in cuts if u.low(axis) < c <= u.high(axis)], axis)
+    tiles = kernels.tiles_of_cuts(u, [c for c in cuts if u.low(axis) < c < u.high(axis)], axis)
     return make_tiles(boxes.sparkSession, u, tiles, "strip", axis=axis, count=count, payload=payload)
 
 
@@ -210,7 +210,7 @@ def plan_optimal_1d(boxes: DataFrame, tiles: int, *, axis: str = "x", universe:
     u, n = _measure(boxes, universe)
     centres, far, near = _sorted_edges(boxes, axis, max(1, n // tiles), n)
     cuts, load = kernels.optimal_1d(centres, far, near, tiles)
-    out = kernels.tiles_of_cuts(u, [c for c in cuts if u.low(axis) < c <= u.high(axis)], axis)
+    out = kernels.tiles_of_cuts(u, [c for c in cuts if u.low(axis) < c < u.high(axis)], axis)
     return make_tiles(boxes.sparkSession, u, out, "optimal_1d", axis=axis, load=load)
 
 

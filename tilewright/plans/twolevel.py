@@ -57,7 +57,7 @@ def two_level(
         raise ValueError(f"unknown anchor {anchor}")
     cuts = anchors(keyed, "_key", max(1, math.ceil(n / coarse)))
     if anchor == "x":
-        cuts = [c for c in cuts if u.xmin < c <= u.xmax]
+        cuts = [c for c in cuts if u.xmin < c < u.xmax]
     dealt = keyed.withColumn("_bucket", bucket_of(F.col("_key"), cuts))
     kernel = kernels.KERNELS[method]
     edges = [u.xmin, *cuts, u.xmax] if anchor == "x" else None
