@@ -15,6 +15,7 @@ WS_CHARS = " \t\n\x0b\x0c\r"
 #: A side of a join is broadcast only when it was counted and has at most so many (short) rows.
 BROADCAST_ROWS = 2_000_000
 
+_CLEAN = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 _own: dict[str, str] = {}
 
 
@@ -33,11 +34,28 @@ def shared_dir(spark: SparkSession) -> str:
 
 
 def materialize(df: DataFrame) -> DataFrame:
-    """Write df to the shared folder and read it back, which cuts its lineage."""
+    """Write df to the shared folder and read it back, which cuts its lineage.
+
+    The shuffle files behind it are of no more use then, and go at once.
+    """
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/tilewright/{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    before = spark.conf.get(_CLEAN, None)
+    spark.conf.set(_CLEAN, "true")
+    try:
+        df.write.parquet(path)
+    finally:
+        spark.conf.unset(_CLEAN) if before is None else spark.conf.set(_CLEAN, before)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._tilewright_path = path
+    return out
+
+
+def discard(*tables: DataFrame) -> None:
+    """Delete materialized tables that no later step reads."""
+    for t in tables:
+        path = t.sparkSession._jvm.org.apache.hadoop.fs.Path(t._tilewright_path)
+        path.getFileSystem(t.sparkSession._jsparkSession.sessionState().newHadoopConf()).delete(path, True)
 
 
 def maybe_broadcast(df: DataFrame, rows: int | None = None) -> DataFrame:

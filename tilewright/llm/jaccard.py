@@ -13,8 +13,8 @@ hash, and at last use prefix signatures (their a - ceil(0.8 a) + 1 smallest elem
 lost at any step, and nothing is capped.
 
 Signatures of one value form groups. Instead of all pairs of a group, every member is first
-compared with the group's hubs; members of one component need no further test, and only members
-outside the group's main component meet the others. A 512-bit parity sketch, whose Hamming distance
+compared with the group's hub, under two orders; members of one component need no further test, and
+only members outside the group's main component meet the others. A 512-bit parity sketch, whose Hamming distance
 never exceeds the sets' difference, removes pairs before any set is moved; the rest is verified
 on whole sets of 64-bit shingle hashes.
 
@@ -31,13 +31,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from .common import materialize, maybe_broadcast, texts
+from .common import discard, materialize, maybe_broadcast, texts
 from .components import connected_components
 from .textkit import U, mix, mix1, shingle_sets, word_batches
 
 BAND = 1.5
 SLACK = 1.2
 LEVELS = 3
+HUB_ROUNDS = 2
 SKETCH_LONGS = 8
 
 
@@ -162,16 +163,21 @@ def _possible(a: str, b: str):
     return (5 * F.least(na, nb) >= 4 * F.greatest(na, nb)) & (9 * apart <= na + nb)
 
 
-def _verified(pairs: DataFrame, docs: DataFrame) -> DataFrame:
-    """Of distinct pairs (a, b), those whose sets reach the threshold."""
+def _verified(pairs: DataFrame, docs: DataFrame, tested: DataFrame | None) -> tuple[DataFrame, DataFrame]:
+    """Of distinct pairs (a, b), those whose sets reach the threshold; and all pairs tested so far."""
+    if tested is not None:
+        pairs = pairs.join(tested, ["a", "b"], "left_anti")
     pairs = materialize(pairs)
     ids = materialize(pairs.select(F.col("a").alias("doc_id")).unionByName(pairs.select(F.col("b").alias("doc_id"))).distinct())
     sets = texts(docs).join(maybe_broadcast(ids), "doc_id", "left_semi").mapInArrow(_sets, "node long, items array<long>")
     sets = materialize(sets.dropDuplicates(["node"]))
-    left = pairs.join(sets.select(F.col("node").alias("a"), F.col("items").alias("x")), "a")
+    n = pairs.count()
+    left = maybe_broadcast(pairs, n).join(sets.select(F.col("node").alias("a"), F.col("items").alias("x")), "a")
     both = left.join(sets.select(F.col("node").alias("b"), F.col("items").alias("y")), "b")
     common = F.size(F.array_intersect("x", "y"))
-    return materialize(both.filter(100 * common >= 80 * (F.size("x") + F.size("y") - common)).select("a", "b"))
+    found = materialize(both.filter(100 * common >= 80 * (F.size("x") + F.size("y") - common)).select("a", "b"))
+    discard(ids, sets)
+    return found, pairs if tested is None else tested.unionByName(pairs)
 
 
 def _labelled(nodes: DataFrame, links: DataFrame) -> DataFrame:
@@ -184,46 +190,54 @@ def jaccard_components(docs: DataFrame) -> DataFrame:
     """One row per document: doc_id, n_shingles, component_id (smallest doc_id of its component)."""
     rows = materialize(set_summaries(docs))
     rep = rows.filter("set_key is not null and doc_id is not null").groupBy("set_key").agg(F.min("doc_id").alias("rep"))
-    rep = materialize(rep)
     with_rep = materialize(rows.join(rep, "set_key", "left").select("doc_id", "n_shingles", "sketch", F.coalesce("rep", "doc_id").alias("rep")))
-
-    by_sig = Window.partitionBy("sig")
-    shared = set_signatures(docs).withColumn("m", F.count(F.lit(1)).over(by_sig)).filter("m > 1").select("sig", "doc_id")
-    shared = materialize(shared)
-    links = signature_links(shared, with_rep, docs)
+    discard(rows)
+    links = signature_links(docs, with_rep)
     found = connected_components(links)
     out = with_rep.join(found, with_rep["rep"] == found["node"], "left")
     return out.select("doc_id", "n_shingles", F.coalesce("component", "rep").alias("component_id"))
 
 
-def signature_links(shared: DataFrame, with_rep: DataFrame, docs: DataFrame) -> DataFrame:
-    """Verified links (a, b) that connect whatever is similar, from rows (sig, doc_id)."""
-    ids = materialize(shared.select("doc_id").distinct())
-    told = with_rep.dropDuplicates(["doc_id"]).join(maybe_broadcast(ids), "doc_id", "left_semi")
-    told = materialize(told.select("doc_id", "rep", F.col("n_shingles").alias("n"), "sketch"))
-    nodes = materialize(told.filter("doc_id = rep").select(F.col("rep").alias("node"), "n", "sketch"))
-    by_sig = Window.partitionBy("sig")
-    members = shared.join(told.select("doc_id", F.col("rep").alias("node")), "doc_id").select("sig", "node").distinct()
-    members = materialize(members.withColumn("m", F.count(F.lit(1)).over(by_sig)).filter("m > 1").select("sig", "node"))
-
-    # Round 1: each member with its groups' hubs, under three orders of the nodes.
-    hubs = members.groupBy("sig").agg(*(F.min(F.struct(F.xxhash64("node", F.lit(r)), F.col("node").alias("id")))["id"].alias(f"h{r}") for r in range(3)))
-    met = members.join(hubs, "sig").select("node", F.explode(F.array("h0", "h1", "h2")).alias("hub")).filter("node <> hub")
-    met = met.select(F.least("node", "hub").alias("a"), F.greatest("node", "hub").alias("b")).distinct()
-    n = nodes.count()
-    met = met.join(maybe_broadcast(nodes.alias("p"), n // 8), F.col("a") == F.col("p.node")).join(maybe_broadcast(nodes.alias("q"), n // 8), F.col("b") == F.col("q.node"))
-    links = _verified(met.filter(_possible("p", "q")).select("a", "b"), docs)
-
-    # Round 2: who is outside the main component of a group meets all others there, blockwise by signature.
-    nodes = _labelled(nodes, links)
-    placed = materialize(members.join(nodes, "node").select("sig", "node", "n", "sketch", "comp"))
+def signature_links(docs: DataFrame, with_rep: DataFrame) -> DataFrame:
+    """Verified links (a, b) that connect whatever is similar; with_rep: doc_id, n_shingles, sketch, rep."""
+    # Of equal sets only the representative signs.
+    nodes = with_rep.filter("doc_id = rep and n_shingles > 0").select(F.col("rep").alias("node"), F.col("n_shingles").alias("n"), "sketch").dropDuplicates(["node"])
+    copies = materialize(with_rep.groupBy("doc_id").agg(F.max(F.col("doc_id") == F.col("rep")).alias("own")).filter("not own").select("doc_id"))
+    signed = set_signatures(docs.join(maybe_broadcast(copies), "doc_id", "left_anti"))
+    w = Window.partitionBy("sig")
+    # Groups of the same members are one group: its id is a fingerprint of them (were two to clash,
+    # they would only have more pairs to verify).
+    node = F.col("doc_id")
+    member_print = F.xxhash64(F.bit_xor(F.xxhash64(node)).over(w), F.bit_xor(F.xxhash64(node, F.lit(1))).over(w), F.col("m"))
+    grouped = signed.withColumn("m", F.count(F.lit(1)).over(w)).withColumn("print", member_print).filter("m > 1")
+    members = materialize(grouped.select(F.col("print").alias("sig"), node.alias("node")).distinct())
+    discard(copies)
+    nodes = materialize(nodes.join(members.select("node").distinct(), "node", "left_semi"))
+
+    # Hub rounds: each member with its group's hub, under one order of the nodes after the other.
+    links, tested, known = None, None, nodes.withColumn("comp", F.col("node"))
+    for turn in range(HUB_ROUNDS):
+        hubs = members.groupBy("sig").agg(F.min(F.struct(F.xxhash64("node", F.lit(turn)), F.col("node").alias("id")))["id"].alias("hub"))
+        met = members.join(hubs, "sig").filter("node <> hub").select(F.least("node", "hub").alias("a"), F.greatest("node", "hub").alias("b")).distinct()
+        met = met.join(known.alias("p"), F.col("a") == F.col("p.node")).join(known.alias("q"), F.col("b") == F.col("q.node"))
+        found, tested = _verified(met.filter((F.col("p.comp") != F.col("q.comp")) & _possible("p", "q")).select("a", "b"), docs, tested)
+        links = found if links is None else links.unionByName(found)
+        known = _labelled(nodes, links)
+
+    # Last round: who is outside the main component of a group meets all others there, blockwise by signature.
+    placed = materialize(members.join(known.select("node", "comp"), "node").select("sig", "node", "comp"))
+    discard(members)
     sizes = placed.groupBy("sig", "comp").agg(F.count(F.lit(1)).alias("c")).groupBy("sig")
     main = sizes.agg(F.max(F.struct("c", "comp"))["comp"].alias("main"), F.count(F.lit(1)).alias("comps")).filter("comps > 1")
-    open_groups = materialize(placed.join(main, "sig").select("sig", "node", "n", "sketch", "comp", (F.col("comp") != F.col("main")).alias("out")))
+    open_groups = placed.join(main, "sig").select("sig", "node", "comp", (F.col("comp") != F.col("main")).alias("out"))
+    open_groups = materialize(open_groups.join(nodes.select("node", "n", "sketch"), "node"))
+    discard(placed)
     p, q = open_groups.filter("out").alias("p"), open_groups.alias("q")
     cross = (F.col("p.sig") == F.col("q.sig")) & (F.col("p.comp") != F.col("q.comp")) & (~F.col("q.out") | (F.col("p.node") < F.col("q.node"))) & _possible("p", "q")
     pairs = p.join(q, cross).select(F.least("p.node", "q.node").alias("a"), F.greatest("p.node", "q.node").alias("b")).distinct()
-    return links.unionByName(_verified(pairs, docs))
+    found, _ = _verified(pairs, docs, tested)
+    discard(open_groups)
+    return links.unionByName(found)
 
 
 def drop_near_copies(docs: DataFrame) -> DataFrame:
