@@ -331,3 +331,16 @@ def test_repeated_rows(spark):
     assert [r.component_id for r in jaccard.jaccard_components(twice).collect()] == [0, 0]
     assert substring.repeated_passages(twice).count() == 0
     assert pa is not None
+
+
+def test_sketches_never_exceed_the_difference():
+    rng = np.random.default_rng(6)
+    for n in (900, 1100, 3000):
+        a = np.unique(rng.integers(0, 2**63, n).astype(np.uint64))
+        b = np.unique(np.r_[a[n // 9 :], rng.integers(0, 2**63, n // 12).astype(np.uint64)])
+        apart = len(np.setxor1d(a, b))
+        assert int(np.bitwise_count((jaccard.sketch(a) ^ jaccard.sketch(b)).view(np.uint64)).sum()) <= apart
+        wide = [[x.tolist() for x in jaccard.wide_sketches(s)] for s in (a, b)]
+        kinds = pa.list_(pa.list_(pa.int64()))
+        batch = pa.RecordBatch.from_arrays([pa.array([1]), pa.array([2]), pa.array([9 * apart]), pa.array([wide[0]], kinds), pa.array([wide[1]], kinds)], ["a", "b", "n", "u", "v"])
+        assert sum(x.num_rows for x in jaccard._wide_apart([batch])) == 1

@@ -40,6 +40,8 @@ SLACK = 1.2
 LEVELS = 3
 HUB_ROUNDS = 2
 SKETCH_LONGS = 8
+#: Sets of so many elements get wide sketches, too.
+WIDE_FROM = 800
 
 
 def band_of(n: np.ndarray) -> np.ndarray:
@@ -118,17 +120,42 @@ def sketch(s: np.ndarray) -> np.ndarray:
     return np.packbits(bits).view(np.int64)
 
 
+def wide_sketches(s: np.ndarray) -> list[np.ndarray]:
+    """For large sets, parity sketches of about one bit an element and of half as many: any two sets
+    that could be similar have one length in common."""
+    if len(s) < WIDE_FROM:
+        return []
+    bits = int(len(s) - 1).bit_length()
+    low = mix(s ^ U(0x5BD1E995))
+    out = []
+    for k in (bits, bits - 1):
+        odd = np.bincount((low >> U(64 - k)).astype(np.int64), minlength=1 << k).astype(np.uint8) & 1
+        out.append(np.packbits(odd).view(np.int64))
+    return out
+
+
+def _wide_apart(batches):
+    """Keeps the pairs whose wide sketches differ in no more places than similar sets may."""
+    for batch in batches:
+        keep = []
+        for n, u, v in zip(batch.column("n").to_pylist(), batch.column("u").to_pylist(), batch.column("v").to_pylist()):
+            apart = [int(np.bitwise_count((np.array(x, np.int64) ^ np.array(y, np.int64)).view(U)).sum()) for x in u for y in v if len(x) == len(y)]
+            keep.append(not apart or 9 * max(apart) <= n)
+        yield batch.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
+
+
 def _summaries(batches):
     for batch in batches:
-        n, key, sk = [], [], []
+        n, key, sk, wide = [], [], [], []
         for _, _, w in word_batches(batch):
             for s in shingle_sets(w):
                 n.append(len(s))
                 key.append(s.sum(dtype=U).tobytes() + mix(s).sum(dtype=U).tobytes() if len(s) else None)
                 sk.append(sketch(s))
+                wide.append(wide_sketches(s))
         yield pa.RecordBatch.from_arrays(
-            [batch.column("doc_id"), pa.array(n, pa.int64()), pa.array(key, pa.binary()), pa.array(sk, pa.list_(pa.int64()))],
-            ["doc_id", "n_shingles", "set_key", "sketch"],
+            [batch.column("doc_id"), pa.array(n, pa.int64()), pa.array(key, pa.binary()), pa.array(sk, pa.list_(pa.int64())), pa.array(wide, pa.list_(pa.list_(pa.int64())))],
+            ["doc_id", "n_shingles", "set_key", "sketch", "wide"],
         )
 
 
@@ -147,8 +174,8 @@ def _sets(batches):
 
 
 def set_summaries(docs: DataFrame) -> DataFrame:
-    """doc_id, n_shingles, set_key (128 bits; null for an empty set), sketch."""
-    return texts(docs).mapInArrow(_summaries, "doc_id long, n_shingles long, set_key binary, sketch array<long>")
+    """doc_id, n_shingles, set_key (128 bits; null for an empty set), sketch, wide (of large sets)."""
+    return texts(docs).mapInArrow(_summaries, "doc_id long, n_shingles long, set_key binary, sketch array<long>, wide array<array<long>>")
 
 
 def set_signatures(docs: DataFrame) -> DataFrame:
@@ -163,14 +190,18 @@ def _possible(a: str, b: str):
     return (5 * F.least(na, nb) >= 4 * F.greatest(na, nb)) & (9 * apart <= na + nb)
 
 
-def _verified(pairs: DataFrame, docs: DataFrame, tested: DataFrame | None) -> tuple[DataFrame, DataFrame]:
+def _verified(pairs: DataFrame, docs: DataFrame, wide: DataFrame, tested: DataFrame | None) -> tuple[DataFrame, DataFrame]:
     """Of distinct pairs (a, b), those whose sets reach the threshold; and all pairs tested so far."""
     if tested is not None:
         pairs = pairs.join(tested, ["a", "b"], "left_anti")
+    left, right = (wide.select(F.col("node").alias(c), F.col("n").alias(f"n{c}"), F.col("wide").alias(w)) for c, w in (("a", "u"), ("b", "v")))
+    pairs = pairs.join(left, "a").join(right, "b").select("a", "b", (F.col("na") + F.col("nb")).alias("n"), "u", "v")
+    small = F.size("u") * F.size("v") == 0
+    pairs = pairs.filter(small).select("a", "b").unionByName(pairs.filter(~small).mapInArrow(_wide_apart, "a long, b long"))
     pairs = materialize(pairs)
     ids = materialize(pairs.select(F.col("a").alias("doc_id")).unionByName(pairs.select(F.col("b").alias("doc_id"))).distinct())
     sets = texts(docs).join(maybe_broadcast(ids), "doc_id", "left_semi").mapInArrow(_sets, "node long, items array<long>")
-    sets = materialize(sets.dropDuplicates(["node"]))
+    sets = materialize(sets)
     n = pairs.count()
     left = maybe_broadcast(pairs, n).join(sets.select(F.col("node").alias("a"), F.col("items").alias("x")), "a")
     both = left.join(sets.select(F.col("node").alias("b"), F.col("items").alias("y")), "b")
@@ -190,7 +221,7 @@ def jaccard_components(docs: DataFrame) -> DataFrame:
     """One row per document: doc_id, n_shingles, component_id (smallest doc_id of its component)."""
     rows = materialize(set_summaries(docs))
     rep = rows.filter("set_key is not null and doc_id is not null").groupBy("set_key").agg(F.min("doc_id").alias("rep"))
-    with_rep = materialize(rows.join(rep, "set_key", "left").select("doc_id", "n_shingles", "sketch", F.coalesce("rep", "doc_id").alias("rep")))
+    with_rep = materialize(rows.join(rep, "set_key", "left").select("doc_id", "n_shingles", "sketch", "wide", F.when(F.col("doc_id").isNotNull(), F.coalesce("rep", "doc_id")).alias("rep")))
     discard(rows)
     links = signature_links(docs, with_rep)
     found = connected_components(links)
@@ -201,7 +232,7 @@ def jaccard_components(docs: DataFrame) -> DataFrame:
 def signature_links(docs: DataFrame, with_rep: DataFrame) -> DataFrame:
     """Verified links (a, b) that connect whatever is similar; with_rep: doc_id, n_shingles, sketch, rep."""
     # Of equal sets only the representative signs.
-    nodes = with_rep.filter("doc_id = rep and n_shingles > 0").select(F.col("rep").alias("node"), F.col("n_shingles").alias("n"), "sketch").dropDuplicates(["node"])
+    nodes = with_rep.filter("doc_id = rep and n_shingles > 0").select(F.col("rep").alias("node"), F.col("n_shingles").alias("n"), "sketch", "wide").dropDuplicates(["node"])
     copies = materialize(with_rep.groupBy("doc_id").agg(F.max(F.col("doc_id") == F.col("rep")).alias("own")).filter("not own").select("doc_id"))
     signed = set_signatures(docs.join(maybe_broadcast(copies), "doc_id", "left_anti"))
     w = Window.partitionBy("sig")
@@ -214,13 +245,14 @@ def signature_links(docs: DataFrame, with_rep: DataFrame) -> DataFrame:
     discard(copies)
     nodes = materialize(nodes.join(members.select("node").distinct(), "node", "left_semi"))
 
+    wide = nodes.select("node", "n", "wide")
     # Hub rounds: each member with its group's hub, under one order of the nodes after the other.
     links, tested, known = None, None, nodes.withColumn("comp", F.col("node"))
     for turn in range(HUB_ROUNDS):
         hubs = members.groupBy("sig").agg(F.min(F.struct(F.xxhash64("node", F.lit(turn)), F.col("node").alias("id")))["id"].alias("hub"))
         met = members.join(hubs, "sig").filter("node <> hub").select(F.least("node", "hub").alias("a"), F.greatest("node", "hub").alias("b")).distinct()
         met = met.join(known.alias("p"), F.col("a") == F.col("p.node")).join(known.alias("q"), F.col("b") == F.col("q.node"))
-        found, tested = _verified(met.filter((F.col("p.comp") != F.col("q.comp")) & _possible("p", "q")).select("a", "b"), docs, tested)
+        found, tested = _verified(met.filter((F.col("p.comp") != F.col("q.comp")) & _possible("p", "q")).select("a", "b"), docs, wide, tested)
         links = found if links is None else links.unionByName(found)
         known = _labelled(nodes, links)
 
@@ -235,7 +267,7 @@ def signature_links(docs: DataFrame, with_rep: DataFrame) -> DataFrame:
     p, q = open_groups.filter("out").alias("p"), open_groups.alias("q")
     cross = (F.col("p.sig") == F.col("q.sig")) & (F.col("p.comp") != F.col("q.comp")) & (~F.col("q.out") | (F.col("p.node") < F.col("q.node"))) & _possible("p", "q")
     pairs = p.join(q, cross).select(F.least("p.node", "q.node").alias("a"), F.greatest("p.node", "q.node").alias("b")).distinct()
-    found, _ = _verified(pairs, docs, tested)
+    found, _ = _verified(pairs, docs, wide, tested)
     discard(open_groups)
     return links.unionByName(found)
 
