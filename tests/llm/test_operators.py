@@ -200,6 +200,37 @@ def test_passages(spark, odd, none):
     assert substring.repeated_passages(none).count() == 0
 
 
+def exact_copies(texts, n=50):
+    """Of each text, the words in windows of n words that an earlier text has too."""
+    seen, out = set(), []
+    for t in texts:
+        ws = t.lower().split()
+        own = [tuple(ws[i : i + n]) for i in range(len(ws) - n + 1)]
+        out.append({i + k for i, x in enumerate(own) if x in seen for k in range(n)})
+        seen |= set(own)
+    return out
+
+
+def missed_words(spark, texts):
+    """By document, the copied words that no passage holds."""
+    left = exact_copies(texts)
+    for r in substring.repeated_passages(docs_of(spark, texts)).collect():
+        left[r.b] -= set(range(r.b_start, r.b_end))
+    return {i: len(x) for i, x in enumerate(left) if x}
+
+
+def test_passages_that_no_hub_holds(spark):
+    rng = np.random.default_rng(8)
+
+    def prose(n):
+        return [f"w{i}" for i in rng.integers(0, 10**6, n)]
+
+    p, q = prose(60), prose(60)
+    parts = [[*prose(9), *x[a : a + 26], *prose(9)] for a in (0, 13, 22, 34) for x in (p, q) for _ in range(6)]
+    texts = [" ".join(x) for x in (*parts, *([*prose(k), *p, *prose(5), *q, *prose(9)] for k in range(3, 9)))]
+    assert sum(map(bool, exact_copies(texts))) == 5 and not missed_words(spark, texts)
+
+
 def test_chain_is_the_best_of_all():
     from itertools import combinations
 
