@@ -231,6 +231,15 @@ def test_passages_that_no_hub_holds(spark):
     assert sum(map(bool, exact_copies(texts))) == 5 and not missed_words(spark, texts)
 
 
+def test_chain_is_split_at_a_gap():
+    rng = np.random.default_rng(9)
+    for gap in (40, 110, 400):
+        p, q, g, h = (rng.integers(0, 2**31, n).astype(np.int32) for n in (60, 60, gap, gap))
+        u, v = np.r_[p, g, q], np.r_[p, h, q]
+        x = np.r_[np.arange(0, 54, 6), np.arange(60 + gap, 114 + gap, 6)]
+        assert substring.align(u, v, x, x) == [(0, 60, 0, 60, 60), (60 + gap, 120 + gap, 60 + gap, 120 + gap, 60)]
+
+
 def test_chain_is_the_best_of_all():
     from itertools import combinations
 
