@@ -231,6 +231,34 @@ def test_passages_that_no_hub_holds(spark):
     assert sum(map(bool, exact_copies(texts))) == 5 and not missed_words(spark, texts)
 
 
+def found_share(every, n=300):
+    """Of pairs of 60-word passages with one word changed in `every`, the share with two common seeds."""
+    rng = np.random.default_rng(every)
+    hit = 0
+    for k in range(n):
+        p = rng.integers(0, 10**6, 60)
+        q = p.copy()
+        q[every // 2 :: every] += 10**6
+        texts = [" ".join(f"w{i}" for i in (*rng.integers(2 * 10**6, 10**7, 20), *x, *rng.integers(2 * 10**6, 10**7, 20))) for x in (p, q)]
+        data = [np.frombuffer(t.encode(), np.uint8) for t in texts]
+        a, b = (set(substring.seeds(Words(d, np.array([0, len(d)])))[1].tolist()) for d in data)
+        hit += len(a & b) > 1
+    return hit / n
+
+
+def test_identity_that_seeds_reach():
+    assert found_share(10) == 1 and found_share(9) == 1
+    assert found_share(8) > 0.97 and found_share(6) > 0.5
+
+
+def test_every_copy_of_a_passage(spark):
+    rng = np.random.default_rng(10)
+    p, *more = ([f"w{i}" for i in rng.integers(0, 10**6, 60)] for _ in range(6))
+    texts = [" ".join(x) for x in ((*more[0], *p), (*p, *more[1], *p, *more[2], *p), (*more[3], *p, *more[4], *p))] + ["so " * 900, "now " + "so " * 900]
+    got = substring.repeated_passages(docs_of(spark, texts))
+    assert {(r.a, r.b_start) for r in got.filter("b = 1").collect()} == {(0, 0), (0, 120), (0, 240)} and not missed_words(spark, texts)
+
+
 def test_chain_is_split_at_a_gap():
     rng = np.random.default_rng(9)
     for gap in (40, 110, 400):
