@@ -311,6 +311,15 @@ def test_html():
     assert [html_extract.main_text(x) for x in (None, "", " ", "plain  text", "<p>a<p>b", "<div><!-- open")] == ["", "", "", "plain text", "a\nb", ""]
 
 
+def test_html_class_words_and_siblings():
+    para = "A long paragraph, of many words; it says a lot. And more, too. " * 4
+    for tag in ('<body class="has-sidebar">{}', '<div id="page" class="with-sidebar">{}</div>', '<article class="post comments-open">{}</article>', '<main class="nav">{}</main>'):
+        page = tag.format(f'<h1>Head</h1><p>{para}</p><div class="ad">Buy, now.</div><p>Tiny.</p>')
+        assert html_extract.main_text(page) == f"Head\n{para.strip()}\nTiny."
+    page = f"<body><h1>Head</h1><div><p>{para}</p><p>{para}</p></div><div><p>{para}</p></div></body>"
+    assert html_extract.main_text(page) == "\n".join(["Head", *[para.strip()] * 3])
+
+
 def test_language(spark, sf, odd, none):
     docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
     got = langid.predictions(docs).join(docs.select("doc_id", "lang"), "doc_id").filter("held_out")

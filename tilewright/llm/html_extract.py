@@ -5,9 +5,11 @@ punctuation are summed over its nodes; a node's value fuses its path's ratios wi
 smoothing of the node values around it in page order, and paths above a share of the page's mean
 are content paths. The content root is the innermost region (article, main) or else the smallest
 element that holds most of the content paths' mass; all blocks under it that are no boilerplate
-are the text, short ones too. Menus, page headers and footers, sidebars, notices, adverts, forms,
+are the text, short ones too; outside it stay content paths (of other regions, if the root is one)
+and the headings right before them. Menus, page headers and footers, sidebars, notices, adverts, forms,
 comments, scripts and styles are told by element, role and the words of class and id, because an
-advert's sentence and a short paragraph have the same ratios.
+advert's sentence and a short paragraph have the same ratios. Words of class and id never mark html,
+body, main, article or, unless a region has other text, an element with over half of the page's text.
 
 Null, empty and blank pages give an empty text; a page without mark-up is all text. Unclosed and
 misnested elements are closed where their parent ends. Repeated rows give equal rows.
@@ -50,35 +52,39 @@ MARKS = frozenset(
     menu menus nav navbar navigation breadcrumb breadcrumbs masthead footer footers comment comments commentlist disqus replies reply respond
     share sharing social related recommended recommendations pagination pager toolbar skip""".split()
 )
+NEVER_BY_WORDS = frozenset("html body main article".split())
+HEADINGS = frozenset("h1 h2 h3 h4 h5 h6".split())
 OUTSIDE_ONLY = frozenset("header headers topbar".split())
 CONTENT_SHARE, ROOT_SHARE, SMOOTH = 0.3, 0.6, (0.25, 0.5, 0.25)
 
 
 class _Element:
-    __slots__ = ("tag", "parent", "off", "region", "mass", "path")
+    __slots__ = ("tag", "parent", "off", "region", "mass", "path", "marked", "chars")
 
-    def __init__(self, tag: str, parent: "_Element | None", off: bool, region: bool):
+    def __init__(self, tag: str, parent: "_Element | None", off: bool, region: bool, marked: bool = False):
         self.tag, self.parent, self.off, self.region, self.mass = tag, parent, off, region, 0.0
+        self.marked, self.chars = marked, 0
         self.path = f"{parent.path}/{tag}" if parent else tag
 
 
-def _boilerplate(tag: str, attrs: str, in_region: bool) -> bool:
+def _boilerplate(tag: str, attrs: str, in_region: bool) -> str:
+    """`whole` if element, role or style mark boilerplate, `words` if only words of class or id do, else empty."""
     if tag in NEVER or (tag == "header" and not in_region):
-        return True
+        return "whole"
     if not attrs or attrs.isspace():
-        return False
-    low = attrs.lower()
+        return ""
+    low, by_words = attrs.lower(), ""
     for name, *values in ATTR.findall(low):
         value = "".join(values)
-        if name in ("class", "id"):
+        if name in ("class", "id") and tag not in NEVER_BY_WORDS:
             words = set(re.split(r"[^a-z0-9]+", value))
             if words & MARKS or (not in_region and words & OUTSIDE_ONLY):
-                return True
+                by_words = "words"
         elif name == "role" and value in ROLES or name == "aria-hidden" and value == "true":
-            return True
+            return "whole"
         elif name == "style" and re.search(r"display\s*:\s*none|visibility\s*:\s*hidden", value):
-            return True
-    return bool(re.search(r"(?:^|\s)hidden(?:\s|=|/|$)", re.sub(r"\"[^\"]*\"|'[^']*'", "", low)))
+            return "whole"
+    return "whole" if re.search(r"(?:^|\s)hidden(?:\s|=|/|$)", re.sub(r"\"[^\"]*\"|'[^']*'", "", low)) else by_words
 
 
 def text_nodes(page: str) -> list[tuple[_Element, str, int]]:
@@ -104,8 +110,8 @@ def text_nodes(page: str) -> list[tuple[_Element, str, int]]:
             continue
         if tag in INLINE:
             # An inline element matters only if it is boilerplate of its own.
-            if not m["close"] and _boilerplate(tag, m["attrs"], stack[-1].region):
-                stack.append(_Element(tag, stack[-1], True, stack[-1].region))
+            if not m["close"] and (why := _boilerplate(tag, m["attrs"], stack[-1].region)):
+                stack.append(_Element(tag, stack[-1], stack[-1].off or why == "whole", stack[-1].region, why == "words"))
             elif m["close"] and stack[-1].tag == tag:
                 stack.pop()
             continue
@@ -134,9 +140,32 @@ def text_nodes(page: str) -> list[tuple[_Element, str, int]]:
                     break
         top = stack[-1]
         region = top.region or tag in REGION
-        stack.append(_Element(tag, top, top.off or _boilerplate(tag, m["attrs"], top.region), region))
+        why = _boilerplate(tag, m["attrs"], top.region)
+        stack.append(_Element(tag, top, top.off or why == "whole", region, why == "words"))
     add(page[at:])
-    return nodes
+    return _unmarked(nodes)
+
+
+def _unmarked(nodes: list[tuple[_Element, str, int]]) -> list[tuple[_Element, str, int]]:
+    """The nodes under no element that class words mark; they do not mark one that holds most of the text."""
+    total = 0
+    for e, raw, _ in nodes:
+        n = len(raw) - sum(map(raw.count, " \n\t"))
+        total += n
+        while e is not None:
+            e.chars += n
+            e = e.parent
+
+    def off(e: _Element | None, most: float) -> bool:
+        while e is not None:
+            if e.marked and e.chars <= most:
+                return True
+            e = e.parent
+        return False
+
+    # Where a region has text under no marked element, however large, nothing needs to be saved.
+    clear = any(e.region and raw.strip() and not off(e, math.inf) for e, raw, _ in nodes)
+    return [x for x in nodes if not off(x[0], math.inf if clear else total / 2)]
 
 
 def main_text(page: str | None) -> str:
@@ -151,18 +180,24 @@ def main_text(page: str | None) -> str:
     rows = [(e, t) for e, parts, _ in blocks if (t := SPACES.sub(" ", html.unescape("".join(parts))).strip())]
     if not rows:
         return ""
-    root = _content_root(rows)
-    out = []
-    for e, t in rows:
-        while e is not None and e is not root:
-            e = e.parent
-        if e is root:
+    root, content = _content_root(rows)
+    out, kept = [], False
+    for (e, t), is_content in zip(reversed(rows), reversed(content)):
+        up = e
+        while up is not None and up is not root:
+            up = up.parent
+        # Outside the root stay content paths and the headings right before what stays.
+        kept = up is root or is_content or kept and e.tag in HEADINGS
+        if kept:
             out.append(t)
-    return "\n".join(out)
+    return "\n".join(reversed(out))
+
 
+def _content_root(rows: list[tuple[_Element, str]]) -> tuple[_Element, list[bool]]:
+    """The region or element that holds the content paths; which rows stay even outside it.
 
-def _content_root(rows: list[tuple[_Element, str]]) -> _Element:
-    """The region or element that holds the content paths."""
+    Beside a region, only content paths in other regions stay; without one, all content paths.
+    """
     length: dict[str, int] = {}
     marks: dict[str, int] = {}
     count: dict[str, int] = {}
@@ -198,9 +233,9 @@ def _content_root(rows: list[tuple[_Element, str]]) -> _Element:
     if regions:
         top = max(regions.values(), key=lambda e: (e.mass, len(e.path)))
         if top.mass >= 0.3 * total:
-            return top
+            return top, [f >= least and e.region for (e, _), f in zip(rows, fused)]
     top = max(roots.values(), key=lambda e: len(e.path))
-    return top
+    return top, [f >= least for f in fused]
 
 
 def _extract(batches):
