@@ -18,9 +18,10 @@ only members outside the group's main component meet the others. A 512-bit parit
 never exceeds the sets' difference, removes pairs before any set is moved; the rest is verified
 on whole sets of 64-bit shingle hashes.
 
-Null or wordless texts have an empty set, link with nothing and are their own component; so is a
-row whose doc_id is null (component_id null). Rows that repeat a doc_id are one node. Only doc_id
-and text are read.
+Null or wordless texts have an empty set, link with nothing and are their own component. Rows that
+share a doc_id, or have none, are nodes of their own; component_id is the smallest doc_id of any row
+in the component (null if none has one). An empty table gives an empty result. Only doc_id and text
+are read; drop_near_copies() keeps all columns.
 """
 
 from __future__ import annotations
@@ -31,7 +32,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from .common import discard, materialize, maybe_broadcast, texts
+from .common import discard, identified, materialize, maybe_broadcast, original, texts, without_rows
 from .components import connected_components
 from .textkit import U, mix, mix1, shingle_sets, word_batches
 
@@ -217,16 +218,28 @@ def _labelled(nodes: DataFrame, links: DataFrame) -> DataFrame:
     return materialize(nodes.join(found, "node", "left").select("node", "n", "sketch", F.coalesce("component", "node").alias("comp")))
 
 
-def jaccard_components(docs: DataFrame) -> DataFrame:
-    """One row per document: doc_id, n_shingles, component_id (smallest doc_id of its component)."""
-    rows = materialize(set_summaries(docs))
-    rep = rows.filter("set_key is not null and doc_id is not null").groupBy("set_key").agg(F.min("doc_id").alias("rep"))
-    with_rep = materialize(rows.join(rep, "set_key", "left").select("doc_id", "n_shingles", "sketch", "wide", F.when(F.col("doc_id").isNotNull(), F.coalesce("rep", "doc_id")).alias("rep")))
+def _components(docs: DataFrame, again: DataFrame | None) -> DataFrame:
+    """__row_id, orig, n_shingles, comp (a __row_id), component_id, lead (the __row_id that stays for it) of every row of docs (of identified())."""
+    t = docs.select(F.col("__row_id").alias("doc_id"), "text")
+    rows = materialize(set_summaries(t))
+    rep = rows.filter("set_key is not null").groupBy("set_key").agg(F.min("doc_id").alias("rep"))
+    with_rep = materialize(rows.join(rep, "set_key", "left").select("doc_id", "n_shingles", "sketch", "wide", F.coalesce("rep", "doc_id").alias("rep")))
     discard(rows)
-    links = signature_links(docs, with_rep)
+    links = signature_links(t, with_rep)
     found = connected_components(links)
     out = with_rep.join(found, with_rep["rep"] == found["node"], "left")
-    return out.select("doc_id", "n_shingles", F.coalesce("component", "rep").alias("component_id"))
+    out = original(out.select(F.col("doc_id").alias("__row_id"), "n_shingles", F.coalesce("component", "rep").alias("comp")), again)
+    if again is None:
+        # The smallest __row_id of a component is its smallest doc_id.
+        return out.withColumns({"component_id": F.col("comp"), "lead": F.col("comp")})
+    out = materialize(out)
+    lead = out.groupBy("comp").agg(F.min(F.struct(F.col("orig").isNull().alias("none"), "orig", "__row_id")).alias("l"))
+    return out.join(lead.select("comp", F.col("l.orig").alias("component_id"), F.col("l.__row_id").alias("lead")), "comp")
+
+
+def jaccard_components(docs: DataFrame) -> DataFrame:
+    """One row per document: doc_id, n_shingles, component_id (smallest doc_id of its component)."""
+    return _components(*identified(docs)).select(F.col("orig").alias("doc_id"), "n_shingles", "component_id")
 
 
 def signature_links(docs: DataFrame, with_rep: DataFrame) -> DataFrame:
@@ -273,7 +286,6 @@ def signature_links(docs: DataFrame, with_rep: DataFrame) -> DataFrame:
 
 
 def drop_near_copies(docs: DataFrame) -> DataFrame:
-    """docs with one row, the smallest doc_id, of each component; columns as given."""
-    gone = jaccard_components(docs).filter("component_id <> doc_id").select(F.col("doc_id").alias("_gone_id"))
-    gone = materialize(gone)
-    return docs.join(maybe_broadcast(gone), docs["doc_id"] == gone["_gone_id"], "left_anti")
+    """docs with one row, that of the smallest doc_id, of each component; columns as given."""
+    t, again = identified(docs)
+    return without_rows(t, materialize(_components(t, again).filter("lead <> __row_id").select("__row_id"))).select(*docs.columns)

@@ -5,9 +5,12 @@ case), of unit length. Each language has several centroids, found by spherical k
 the language of the centroid of largest cosine; one that is farther from it than `reject_share` of
 the distance scale of its training members is rejected.
 
-The fit reads at most `per_language` rows of each language, those of smallest hash of doc_id, never
-held-out ones; whatever else is computed covers all rows. Null texts and texts without a letter are
-`und` with score 0, and rejected. With no labelled row, all is `und`. Repeated rows get equal
+The fit reads at most `per_language` rows of each of the `MOST_LANGUAGES` most frequent languages:
+those whose hash lies below a threshold set from the language's count (so no language is ranked in
+one task), never held-out ones, and rows that repeat a doc_id once. The driver gets their sparse
+counts and fits one language at a time. Whatever else is computed covers all rows. Null texts and
+texts without a letter are `und` with score 0, and rejected. With no labelled row, all is `und`.
+Rows of a null doc_id are learned from and predicted like others. Repeated rows get equal
 predictions. Only doc_id and text (and lang, in the fit) are read.
 """
 
@@ -18,7 +21,6 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
-from pyspark.sql.window import Window
 
 from .common import held_out
 from .textkit import column_bytes, slices
@@ -27,6 +29,8 @@ DIMS = 8192
 ROWS = 256
 #: Rows of each language that the fit may read.
 PER_LANGUAGE = 600
+#: Languages that are learned, the most frequent ones.
+MOST_LANGUAGES = 256
 CENTROIDS = 3
 REJECT_SHARE = 0.25
 
@@ -65,7 +69,7 @@ def _sparse(batches):
                 k = np.flatnonzero(r)
                 at.append(k.astype(np.int16))
                 n.append(r[k].astype(np.int32))
-        yield pa.RecordBatch.from_arrays([batch.column("lang"), pa.array(at, pa.list_(pa.int16())), pa.array(n, pa.list_(pa.int32()))], ["lang", "at", "n"])
+        yield pa.RecordBatch.from_arrays([batch.column("lang"), batch.column("h"), pa.array(at, pa.list_(pa.int16())), pa.array(n, pa.list_(pa.int32()))], ["lang", "h", "at", "n"])
 
 
 def _unit(m: np.ndarray) -> np.ndarray:
@@ -86,29 +90,30 @@ def _kmeans(x: np.ndarray, k: int, rounds: int = 12) -> np.ndarray:
 class CentroidModel:
     """Languages, their centroids, inverse document frequencies and rejection limits."""
 
-    def __init__(self, rows: list[tuple[str, list[int], list[int]]], k: int = CENTROIDS):
-        self.idf = np.ones(DIMS, np.float32)
-        self.langs: list[str] = sorted({r[0] for r in rows})
-        self.owner, self.limit, centres = np.zeros(0, np.int64), np.zeros(0), []
-        if not rows:
-            self.centres = np.zeros((0, DIMS), np.float32)
-            return
-        m = np.zeros((len(rows), DIMS), np.float32)
-        for i, (_, at, n) in enumerate(rows):
-            m[i, np.asarray(at, np.int64)] = n
-        self.idf = np.log((1 + len(rows)) / (1 + (m > 0).sum(axis=0))).astype(np.float32) + 1
-        x = self.vectors(m)
+    def __init__(self, langs: np.ndarray, first: np.ndarray, at: np.ndarray, n: np.ndarray, k: int = CENTROIDS):
+        """Row i, of language langs[i], has counts n at dimensions at, both from first[i] to first[i + 1]."""
+        self.idf = (np.log((1 + len(langs)) / (1 + np.bincount(at, minlength=DIMS))) + 1).astype(np.float32)
+        self.langs: list[str] = sorted(set(langs.tolist()))
+        self.owner, self.limit, centres = np.zeros(0, np.int64), np.zeros(0), [np.zeros((0, DIMS), np.float32)]
         for i, lang in enumerate(self.langs):
-            own = x[[r[0] == lang for r in rows]]
-            c = _kmeans(own, k)
+            own = np.flatnonzero(langs == lang)
+            x = np.zeros((len(own), DIMS), np.float32)
+            for row, r in zip(x, own):
+                row[at[first[r] : first[r + 1]]] = n[first[r] : first[r + 1]]
+            x = self.vectors(x)
+            c = _kmeans(x, k)
             centres.append(c)
             self.owner = np.r_[self.owner, np.full(len(c), i)]
-            near = (own @ c.T).max(axis=1)
+            near = (x @ c.T).max(axis=1)
             self.limit = np.r_[self.limit, np.full(len(c), REJECT_SHARE * np.quantile(near, 0.05))]
-        self.centres = np.vstack(centres).astype(np.float32)
+        self.centres = np.vstack(centres)
 
     def vectors(self, counts: np.ndarray) -> np.ndarray:
-        return _unit(np.log1p(counts) * self.idf)
+        """Unit TF-IDF rows, made in the place of counts."""
+        np.log1p(counts, out=counts)
+        counts *= self.idf
+        counts /= np.maximum(np.linalg.norm(counts, axis=1, keepdims=True), 1e-12)
+        return counts
 
     def predict(self, counts: np.ndarray) -> tuple[list[str], np.ndarray, np.ndarray]:
         """Language, cosine, and whether the distance rejects the row."""
@@ -120,14 +125,31 @@ class CentroidModel:
         return [self.langs[i] for i in self.owner[best]], top, top < self.limit[best]
 
 
-def fit(docs: DataFrame, per_language: int = PER_LANGUAGE, centroids: int = CENTROIDS) -> CentroidModel:
-    """Fit on at most per_language rows of each value of lang, none of them held out."""
+def training_rows(docs: DataFrame, per_language: int = PER_LANGUAGE) -> DataFrame:
+    """lang, h, text: about per_language rows of each learned language, none of them held out."""
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", F.col("lang").cast("string").alias("lang"))
     rows = rows.filter(F.col("text").isNotNull() & F.col("lang").isNotNull() & ~held_out(F.col("doc_id")))
-    first = F.row_number().over(Window.partitionBy("lang").orderBy(F.xxhash64("doc_id"), "doc_id"))
-    chosen = rows.select("doc_id", "lang").withColumn("_k", first).filter(F.col("_k") <= per_language).select("doc_id").distinct()
-    sample = rows.join(F.broadcast(chosen), "doc_id", "left_semi").select("lang", "text")  # bounded by per_language
-    return CentroidModel([tuple(r) for r in sample.mapInArrow(_sparse, "lang string, at array<short>, n array<int>").collect()], centroids)
+    counts = rows.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).orderBy(F.desc("n"), "lang").limit(MOST_LANGUAGES).collect()
+    # Hashes are 63 bits long; all rows of a small language are below its limit.
+    limits = [(r["lang"], min(2**63 - 1, per_language * 2**63 // r["n"])) for r in counts]
+    limits = docs.sparkSession.createDataFrame(limits, "lang string, most long")  # MOST_LANGUAGES rows
+    near = rows.withColumn("h", F.shiftrightunsigned(F.xxhash64("doc_id", F.when(F.col("doc_id").isNull(), F.col("text"))), 1))
+    return near.join(F.broadcast(limits), "lang").filter("h <= most").groupBy("lang", "h").agg(F.min("text").alias("text"))
+
+
+def fit(docs: DataFrame, per_language: int = PER_LANGUAGE, centroids: int = CENTROIDS) -> CentroidModel:
+    """Fit on at most per_language rows of each learned value of lang, none of them held out."""
+    counts = training_rows(docs, per_language).mapInArrow(_sparse, "lang string, h long, at array<short>, n array<int>").toArrow().combine_chunks()
+    langs, h = np.array(counts.column("lang").to_pylist(), object), counts.column("h").to_numpy()
+    order = np.lexsort((h, langs)) if len(h) else np.zeros(0, np.int64)
+    turn = np.arange(len(h)) - np.searchsorted(langs[order], langs[order]) if len(h) else order
+    order = order[turn < per_language]
+    parts = [counts.column(c).combine_chunks() if len(h) else pa.array([], pa.list_(pa.int32())) for c in ("at", "n")]
+    off, (at, n) = parts[0].offsets.to_numpy(), (x.values.to_numpy(zero_copy_only=False) for x in parts)
+    size = np.diff(off)[order]
+    first = np.r_[0, np.cumsum(size)]
+    take = np.repeat(off[:-1][order] - first[:-1], size) + np.arange(first[-1]) if len(order) else np.zeros(0, np.int64)
+    return CentroidModel(langs[order], first, at[take].astype(np.int64), n[take], centroids)
 
 
 def identify(docs: DataFrame, model: CentroidModel) -> DataFrame:

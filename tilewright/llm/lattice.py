@@ -1,49 +1,48 @@
 """SentencePiece encoding and decoding as a relational lattice.
 
-No piece crosses from other characters into a space mark, so a text falls into units (spaces and
-what follows them) that can be encoded alone. Distinct units are exploded into their substrings of
-bounded length, those are equi-joined with the piece table (its size is the vocabulary's, so it is
-broadcast), the edges are grouped by unit, and a higher-order aggregate folds them into ids:
+Two characters that stand side by side in no piece can't end up in one, so a text is cut between
+all such pairs into units that can be encoded alone. Distinct units are counted, exploded into their
+substrings of bounded length, those are equi-joined with the piece table (its size is the
+vocabulary's, so it is broadcast), the edges are grouped by unit, and a higher-order aggregate folds
+them into ids:
 
 * `viterbi`, for unigram models: the path of largest total score, position by position;
 * `merge`, for BPE models, whose scores are merge ranks and not log-probabilities, so that the best
   path is not the model's segmentation: the adjacent pair whose joint substring is the edge of
   largest score is merged, the leftmost of equals, until no pair is an edge.
 
-The most frequent units (at most `head_units`, each of at most MAX_UNIT characters) are encoded so
-and broadcast; what is not among them goes through the same lattice and fold inside the worker, so
-every text is encoded whole. Characters outside the vocabulary become byte pieces.
+All distinct units are encoded so. The ids of the most frequent ones (at most `head`) are broadcast
+by the units' hashes; occurrences of the others are joined with their ids on the unit, and put into
+their documents' lists. Only a unit of over MAX_UNIT characters (a run such as a long row of one
+letter), for which the fold would be quadratic, is merged with a heap in the worker. The decoded
+ids are compared with the text's digest. Characters outside the vocabulary become byte pieces.
 
-Null and empty texts have no pieces. Repeated rows get equal rows. Only doc_id and text are read.
+Null and empty texts have no pieces. Rows that share a doc_id or have none are encoded apart.
+Repeated rows get equal rows. An empty table gives an empty result. Only doc_id and text are read.
 """
 
 from __future__ import annotations
 
 import heapq
-import re
-import uuid
-from collections import Counter
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import materialize, texts
-from .textkit import column_bytes, slices
+from .common import identified, materialize, original, texts
+from .textkit import U, char_hash, column_bytes, mix, powers, slices
 
 MARK = "▁"
-HEAD_UNITS = 1 << 18
-MAX_UNIT = 40
-MEMO_UNITS = 400_000
-UNIT = re.compile(f"{MARK}*[^{MARK}\n]+|\n|{MARK}+")
+#: Most units whose ids are broadcast.
+HEAD_UNITS = 1 << 20
+#: Longest unit that is folded: its places are the bits of a long.
+MAX_UNIT = 60
+FLUSH_UNITS = 400_000
 _NONE = -2e9
 
 
-def marked(text: bytes) -> str:
-    return MARK + text.decode().replace(" ", MARK)
-
-
 class PieceTable:
     """Pieces, scores and byte pieces of a SentencePiece model file."""
 
@@ -56,26 +55,34 @@ class PieceTable:
         self.byte_id = np.zeros(256, np.int32)
         self.ids: dict[str, int] = {}
         self.score: dict[str, float] = {}
-        self.raw: list[bytes] = []
+        raw: list[bytes] = []
         for i, p in enumerate(self.piece):
             if m.is_byte(i):
                 self.byte_id[int(p[3:5], 16)] = i
-                self.raw.append(bytes([int(p[3:5], 16)]))
+                raw.append(bytes([int(p[3:5], 16)]))
             elif m.is_control(i) or m.is_unknown(i) or m.is_unused(i):
-                self.raw.append(b"")
+                raw.append(b"")
             else:
                 self.ids[p], self.score[p] = i, m.get_score(i)
-                self.raw.append(p.replace(MARK, " ").encode())
+                raw.append(p.replace(MARK, " ").encode())
         self.longest = max(map(len, self.ids))
-        if any(a != MARK and MARK in p for p in self.ids for a in p[:1]) or any("\n" in p for p in self.ids):
-            raise ValueError("a piece crosses the ends of units")
+        self.raw, self.raw_at = np.frombuffer(b"".join(raw), np.uint8), np.r_[0, np.cumsum([len(x) for x in raw])]
+        # Characters by number (0: side by side with none), and which pairs stand in a piece.
+        pairs = {(ord(x), ord(y)) for p in self.ids for x, y in zip(p, p[1:])}
+        chars = sorted({c for pair in pairs for c in pair})
+        self.number = np.zeros(0x110000, np.int32)
+        self.number[chars] = np.arange(1, len(chars) + 1)
+        self.joined = np.zeros((len(chars) + 1) ** 2, bool)
+        self.width = len(chars) + 1
+        for x, y in pairs:
+            self.joined[self.number[x] * self.width + self.number[y]] = True
 
     def frame(self, spark: SparkSession) -> DataFrame:
         """piece, id, score: one row per piece."""
         return spark.createDataFrame(pa.table({"piece": list(self.ids), "id": pa.array(list(self.ids.values()), pa.int32()), "score": pa.array([self.score[p] for p in self.ids], pa.float64())}))
 
     def merge(self, unit: str) -> list[int]:
-        """The ids of one unit by the merge fold."""
+        """The ids of one unit by the merge fold, in order of a heap."""
         parts: list[str | None] = list(unit)
         after, before = list(range(1, len(parts) + 1)), list(range(-1, len(parts) - 1))
         heap: list[tuple[float, int, str]] = []
@@ -104,21 +111,61 @@ class PieceTable:
                 out += [self.ids[p]] if p in self.ids else self.byte_id[list(p.encode())].tolist()
         return out
 
+    def bytes_of(self, ids: np.ndarray) -> bytes:
+        """The bytes of ids, without the mark that begins a text."""
+        size = (self.raw_at[1:] - self.raw_at[:-1])[ids]
+        end = np.cumsum(size)
+        at = np.repeat(self.raw_at[ids] - end + size, size) + np.arange(end[-1] if len(end) else 0)
+        return self.raw[at].tobytes()[1:] if len(at) else b""
+
     def decode(self, ids) -> str:
         """The text of ids; bytes that are no UTF-8 become replacement characters."""
-        text = b"".join([self.raw[i] for i in ids]).decode("utf-8", "replace")
-        return text[1:] if text.startswith(" ") else text
+        text = self.bytes_of(np.asarray(ids, np.int64))
+        return text.decode("utf-8", "replace")
+
+
+class Units:
+    """The units of some rows: places in their joint marked text, hashes, first unit of each row."""
+
+    def __init__(self, table: PieceTable, data: np.ndarray, off: np.ndarray):
+        text = data.tobytes().decode()
+        code = np.frombuffer(text.encode("utf-32-le"), np.uint32)
+        chars = np.r_[0, np.cumsum((data & 0xC0) != 0x80)][off]
+        full = np.flatnonzero(np.diff(chars))
+        code = np.insert(np.where(code == 32, np.uint32(ord(MARK)), code), chars[full], ord(MARK))
+        begin = chars[full] + np.arange(len(full))  # where the full rows begin
+        self.text = code.astype("<u4").tobytes().decode("utf-32-le")
+        number = table.number[code]
+        cut = np.ones(len(code), bool)
+        cut[1:] = ~table.joined[number[:-1] * table.width + number[1:]]
+        cut[begin] = True
+        self.start = np.flatnonzero(cut)
+        self.end = np.r_[self.start[1:], len(code)].astype(np.int64)
+        self.first = np.searchsorted(self.start, np.r_[begin, len(code)])
+        self.first = np.r_[self.first[np.searchsorted(full, np.arange(len(off) - 1))], len(self.start)]
+        p, q = powers(len(code) + 1)
+        total = np.zeros(len(code) + 1, U)
+        np.cumsum(char_hash()[code] * p[:-1], out=total[1:])
+        self.hash = mix((total[self.end] - total[self.start]) * q[self.start] + (self.end - self.start).astype(U))
+
+    def __getitem__(self, i: int) -> str:
+        return self.text[self.start[i] : self.end[i]]
 
 
 def lattice(units: DataFrame, pieces: DataFrame, longest: int) -> DataFrame:
-    """unit, edges (array of start, len, id, score): the pieces at each place of each distinct unit."""
+    """units (unit and what else describes it) with edges (array of start, len, id, score): the pieces at each place of each distinct unit."""
+    # The empty substring meets a row of its own, so that a unit without any piece stays.
+    none = pieces.sparkSession.createDataFrame([("", -1, 0.0)], "piece string, id int, score double")
     n = F.length("unit")
-    spots = units.select("unit", F.explode(F.sequence(F.lit(0), n - 1)).alias("start"))
-    subs = spots.select("unit", "start", F.explode(F.sequence(F.lit(1), F.least(F.lit(longest), n - F.col("start")))).alias("len"))
+    # Numbered as they come, units are in order for the grouping, whose sort then has little to do.
+    numbered = units.withColumn("_number", F.monotonically_increasing_id())
+    spots = numbered.select(*numbered.columns, F.explode(F.sequence(F.lit(0), n - 1)).alias("start"))
+    least = F.when(F.col("start") == 0, 0).otherwise(1)
+    subs = spots.select(*numbered.columns, "start", F.explode(F.sequence(least, F.least(F.lit(longest), n - F.col("start")))).alias("len"))
     subs = subs.withColumn("piece", F.substring("unit", F.col("start") + 1, F.col("len")))
-    edges = subs.join(F.broadcast(pieces), "piece")
-    found = edges.groupBy("unit").agg(F.collect_list(F.struct("start", "len", "id", "score")).alias("edges"))
-    return units.join(found, "unit", "left").withColumn("edges", F.coalesce("edges", F.array().cast("array<struct<start:int,len:int,id:int,score:double>>")))
+    edges = subs.join(F.broadcast(pieces.unionByName(none)), "piece")
+    edge = F.when(F.col("len") > 0, F.struct("start", "len", "id", "score"))
+    return edges.groupBy("_number", *units.columns).agg(F.collect_list(edge).alias("edges")).drop("_number")
 
 
 def _char_bytes(unit: Column, start: Column, byte_base: int) -> Column:
@@ -127,32 +174,55 @@ def _char_bytes(unit: Column, start: Column, byte_base: int) -> Column:
     return F.transform(F.sequence(F.lit(1), F.length(code) - 1, F.lit(2)), lambda k: (F.conv(F.substring(code, k, F.lit(2)), 16, 10).cast("int") + byte_base))
 
 
-def merge_fold(lat: DataFrame, byte_base: int) -> DataFrame:
-    """unit, ids: adjacent parts merged by the best edge until none is left."""
-    key = lambda start, size: start * 4096 + size
-    table = F.map_from_entries(F.transform("edges", lambda e: F.struct(key(e["start"], e["len"]), F.struct(e["score"].alias("score"), e["id"].alias("id")))))
-    begin = F.transform(F.sequence(F.lit(0), F.length("unit") - 1), lambda i: F.struct(i.alias("s"), F.lit(1).alias("l")))
-
-    def step(parts: Column, _: Column) -> Column:
-        pairs = F.transform(
-            F.slice(parts, 1, F.greatest(F.size(parts) - 1, F.lit(0))),
-            lambda p, i: F.struct(
-                F.coalesce(F.try_element_at("table", key(p["s"], p["l"] + F.get(parts, i + 1)["l"]))["score"], F.lit(_NONE)).alias("score"), (-i).alias("turn"),
-            ),
-        )
-        return F.transform(F.array(F.array_max(pairs)), lambda best: F.when(
-            best.isNull() | (best["score"] <= _NONE), parts,
-        ).otherwise(F.concat(
-            F.slice(parts, 1, -best["turn"]),
-            F.array(F.struct(F.get(parts, -best["turn"])["s"].alias("s"), (F.get(parts, -best["turn"])["l"] + F.get(parts, 1 - best["turn"])["l"]).alias("l"))),
-            F.slice(parts, 3 - best["turn"], F.size(parts)),
-        )))[0]
+def in_rank_order(table: PieceTable) -> bool:
+    """Whether merging one pass over the edges, best score first, is the merge fold.
+
+    It is if no merge makes a better one possible. What is merged inside a span that becomes one piece is
+    what is merged in that piece alone, so it is enough to merge every piece by itself.
+    """
+    for p in table.ids:
+        parts, last = list(p), 1e18
+        while len(parts) > 1:
+            score, turn = max((table.score.get(a + b, _NONE), -i) for i, (a, b) in enumerate(zip(parts, parts[1:])))
+            if score <= _NONE:
+                break
+            if score > last:
+                return False
+            parts[-turn : 2 - turn], last = [parts[-turn] + parts[1 - turn]], score
+    return True
+
+
+def _shift(x: Column, n: Column) -> Column:
+    return F.call_function("shiftleft", x, n)
+
 
-    parts = F.aggregate(F.sequence(F.lit(1), F.length("unit")), begin, step)
-    ids = F.flatten(F.transform(parts, lambda p: F.when(
-        F.try_element_at("table", key(p["s"], p["l"])).isNotNull(), F.array(F.try_element_at("table", key(p["s"], p["l"]))["id"]),
-    ).otherwise(_char_bytes(F.col("unit"), p["s"], byte_base))))
-    return lat.withColumn("table", table).select("unit", ids.alias("ids"))
+def merge_fold(lat: DataFrame, byte_base: int) -> DataFrame:
+    """unit, ids: adjacent parts merged by the best edge until none is left; for vocabularies in_rank_order().
+
+    Edges are taken from the best score on, the leftmost of equals first. The state has one bit for each
+    place between characters at which a part ends; an edge merges two parts if its ends are such places
+    and just one is between them.
+    """
+    columns = [c for c in lat.columns if c != "edges"]
+    n, one = F.length("unit"), F.lit(1).cast("long")
+    ends = lambda e: _shift(one, e["start"]).bitwiseOR(_shift(one, e["start"] + e["len"]))
+    inner = lambda e: _shift(_shift(one, e["len"] - 1) - 1, e["start"] + 1)
+    merging = F.transform(F.filter("edges", lambda e: e["len"] > 1), lambda e: F.struct((-e["score"]).alias("late"), e["start"], ends(e).alias("ends"), inner(e).alias("inner")))
+
+    def step(s: Column, e: Column) -> Column:
+        m = s.bitwiseAND(e["inner"])
+        return F.when((s.bitwiseAND(e["ends"]) == e["ends"]) & (m == m.bitwiseAND(-m)) & (m != 0), s - m).otherwise(s)
+
+    lat = lat.withColumn("at", F.aggregate(F.array_sort(merging), _shift(one, n + 1) - 1, step))
+    at = F.col("at")
+    parts = F.filter("edges", lambda e: (at.bitwiseAND(ends(e)) == ends(e)) & (at.bitwiseAND(inner(e)) == 0))
+    parts = F.transform(parts, lambda e: F.struct(e["start"].alias("start"), F.array(e["id"]).alias("ids")))
+    lat = lat.withColumn("parts", parts)
+    # Places without a piece (their character is one part) get byte pieces.
+    bare = F.filter(F.sequence(F.lit(0), n - 1), lambda i: (at.bitwiseAND(_shift(F.lit(3).cast("long"), i)) == _shift(F.lit(3).cast("long"), i)) & ~F.exists("parts", lambda p: p["start"] == i))
+    bare = F.transform(bare, lambda i: F.struct(i.alias("start"), _char_bytes(F.col("unit"), i, byte_base).alias("ids")))
+    whole = F.when(F.size("parts") == F.bit_count("at") - 1, F.col("parts")).otherwise(F.concat("parts", bare))
+    return lat.select(*columns, F.flatten(F.transform(F.array_sort(whole), lambda p: p["ids"])).alias("ids"))
 
 
 def viterbi_fold(lat: DataFrame, byte_base: int, byte_score: float = -20.0) -> DataFrame:
@@ -178,89 +248,200 @@ def viterbi_fold(lat: DataFrame, byte_base: int, byte_score: float = -20.0) -> D
         )),
     )["path"]
     ids = F.flatten(F.transform("path", lambda p: F.when(p["id"] >= 0, F.array(p["id"])).otherwise(_char_bytes(F.col("unit"), p["from"], byte_base))))
-    return lat.withColumn("best", best).withColumn("path", back).select("unit", ids.alias("ids"))
+    columns = [c for c in lat.columns if c != "edges"]
+    return lat.withColumn("best", best).withColumn("path", back).select(*columns, ids.alias("ids"))
 
 
-def unit_counts(docs: DataFrame) -> DataFrame:
-    """unit, n: how often each unit of at most MAX_UNIT characters occurs (pre-counted per batch)."""
+def unit_counts(docs: DataFrame, model: str) -> DataFrame:
+    """unit, n: how often each unit of at most MAX_UNIT characters occurs (pre-counted in each task)."""
 
     def count(batches):
+        table = _table(model)
+        seen: dict[int, list] = {}
+
+        def flush():
+            return pa.RecordBatch.from_arrays([pa.array([x[0] for x in seen.values()], pa.string()), pa.array([x[1] for x in seen.values()], pa.int64())], ["unit", "n"])
+
         for batch in batches:
             data, off = column_bytes(batch.column("text"))
-            c: Counter = Counter()
             for i, j in slices(off):
-                for r in range(i, j):
-                    if off[r + 1] > off[r]:
-                        c.update(UNIT.findall(marked(data[off[r] : off[r + 1]].tobytes())))
-            kept = [u for u in c if len(u) <= MAX_UNIT]
-            yield pa.RecordBatch.from_arrays([pa.array(kept, pa.string()), pa.array([c[u] for u in kept], pa.int64())], ["unit", "n"])
+                u = Units(table, data[off[i] : off[j]], off[i : j + 1] - off[i])
+                short = np.flatnonzero(u.end - u.start <= MAX_UNIT)
+                h, at, n = np.unique(u.hash[short], return_index=True, return_counts=True)
+                for key, k, m in zip(h.tolist(), short[at].tolist(), n.tolist()):
+                    had = seen.get(key)
+                    if had is None:
+                        seen[key] = [u[k], m]
+                    elif had[0] == u[k]:
+                        had[1] += m
+                    else:  # another unit of the same hash
+                        seen[(key, u[k])] = [u[k], m]
+                if len(seen) > FLUSH_UNITS:
+                    yield flush()
+                    seen.clear()
+        yield flush()
 
     return texts(docs).mapInArrow(count, "unit string, n long").groupBy("unit").agg(F.sum("n").alias("n"))
 
 
-def head_units(docs: DataFrame, most: int = HEAD_UNITS) -> DataFrame:
-    """The units that occur at least 2^k times, for the least k that leaves at most `most` of them."""
-    counted = materialize(unit_counts(docs))
-    power = F.floor(F.log2("n")).cast("int")
-    sizes = dict(counted.groupBy(power.alias("k")).agg(F.count(F.lit(1))).collect())  # at most 63 rows
-    k, total = 64, 0
-    while k > 0 and total + sizes.get(k - 1, 0) <= most:
-        k -= 1
-        total += sizes.get(k, 0)
-    return counted.filter(F.col("n") >= F.lit(float(2**k))).select("unit")
+_state: dict[str, tuple] = {}
 
 
-_state: dict[str, tuple] = {}
+def _table(model: str) -> PieceTable:
+    if model not in _state:
+        _state[model] = PieceTable(model)
+    return _state[model]
 
 
-def encoded(docs: DataFrame, model: str, head: int = HEAD_UNITS, fold=merge_fold) -> DataFrame:
-    """doc_id, n_pieces, ids, round_trip (the decoded ids give the text back)."""
-    spark = docs.sparkSession
-    t = PieceTable(model)
+def unit_hash(units: list[str], table: PieceTable) -> np.ndarray:
+    """The hash that each unit has in a text."""
+    code = np.frombuffer("".join(units).encode("utf-32-le"), np.uint32)
+    size = np.array([len(u) for u in units], np.int64)
+    end = np.cumsum(size)
+    p, q = powers(len(code) + 1)
+    total = np.r_[U(0), np.cumsum(char_hash()[code] * p[:-1], dtype=U)]
+    return mix((total[end] - total[end - size]) * q[end - size] + size.astype(U))
+
+
+def unit_codes(docs: DataFrame, model: str, fold=merge_fold) -> DataFrame:
+    """unit, n, ids (a written table) of every distinct unit, by lattice and fold."""
+    t = _table(model)
     base = int(t.byte_id[0])
     if (t.byte_id != base + np.arange(256)).any():
         raise ValueError("byte pieces are not consecutive")
-    known = fold(lattice(head_units(docs, head), t.frame(spark), t.longest), base).toArrow()  # at most `head` short rows
-    known = spark.sparkContext.broadcast((known.column("unit").to_pylist(), [np.asarray(x, "<i4").tobytes() for x in known.column("ids").to_numpy()]))
-    token = uuid.uuid4().hex
+    if fold is merge_fold and not in_rank_order(t):
+        raise ValueError("a merge of this vocabulary makes a better one possible")
+    # Counting deals out units; their substrings and edges stay where they are, with no further exchange.
+    return materialize(fold(lattice(unit_counts(docs, model), t.frame(docs.sparkSession), t.longest), base))
+
+
+class Head:
+    """Ids of the most frequent units, by their sorted hashes."""
+
+    def __init__(self, units: list[str], ids: pa.ListArray, table: PieceTable):
+        h = unit_hash(units, table) if units else np.zeros(0, U)
+        order = np.argsort(h)
+        off, values = ids.offsets.to_numpy(), ids.values.to_numpy(zero_copy_only=False)
+        # Of units with one hash none is here: they are joined as the rarer ones are.
+        alone = np.ones(len(h), bool)
+        same = h[order][1:] == h[order][:-1]
+        alone[1:] &= ~same
+        alone[:-1] &= ~same
+        order = order[alone]
+        self.hash, self.size = h[order], np.diff(off)[order].astype(np.int64)
+        self.at = np.r_[0, np.cumsum(self.size)]
+        self.ids = values[np.repeat(off[:-1][order] - self.at[:-1], self.size) + np.arange(self.at[-1])].astype(np.int32)
+
+    def find(self, h: np.ndarray) -> np.ndarray:
+        """The place of each hash, or -1."""
+        if not len(self.hash):
+            return np.full(len(h), -1)
+        at = np.searchsorted(self.hash, h)
+        at[at == len(self.hash)] = 0
+        return np.where(self.hash[at] == h, at, -1)
 
-    def encode(batches):
-        from tilewright.llm import lattice as me
 
-        if token not in me._state:
-            me._state.clear()
-            me._state[token] = (me.PieceTable(model), dict(zip(*known.value)), {})
-        table, top, memo = me._state[token]
-        raw = np.array(table.raw, object)
+def encoded(docs: DataFrame, model: str, head: int = HEAD_UNITS, fold=merge_fold) -> DataFrame:
+    """doc_id, n_pieces, ids, round_trip (the decoded ids give the text back)."""
+    spark = docs.sparkSession
+    t, again = identified(docs)
+    t = t.select(F.col("__row_id").alias("doc_id"), "text")
+    codes = unit_codes(t, model, fold)
+    power = F.floor(F.log2("n")).cast("int")
+    sizes = dict(codes.groupBy(power.alias("k")).agg(F.count(F.lit(1))).collect())  # at most 63 rows
+    k, total = 64, 0
+    while k > 0 and total + sizes.get(k - 1, 0) <= head:
+        k -= 1
+        total += sizes.get(k, 0)
+    often = F.col("n") >= F.lit(float(2**k))
+    top = codes.filter(often).select("unit", "ids").toArrow().combine_chunks()  # at most `head` short rows
+    top = Head(top.column("unit").to_pylist(), top.column("ids").combine_chunks() if top.num_rows else pa.array([], pa.list_(pa.int32())), _table(model))
+    known = spark.sparkContext.broadcast(top)
+
+    def looked_up(batch):
+        table, top = _table(model), known.value
+        data, off = column_bytes(batch.column("text"))
+        for i, j in slices(off):
+            u = Units(table, data[off[i] : off[j]], off[i : j + 1] - off[i])
+            yield i, j, data, off, u, top.find(u.hash)
+
+    def rare(batches):
+        for batch in batches:
+            for i, j, _, _, u, at in looked_up(batch):
+                gap = np.flatnonzero((at < 0) & (u.end - u.start <= MAX_UNIT))
+                row = np.searchsorted(u.first, gap, "right") - 1
+                turn = np.arange(len(gap)) - np.searchsorted(row, row)
+                ids = batch.column("doc_id").to_numpy(zero_copy_only=False)[i:j][row]
+                yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(turn.astype(np.int32)), pa.array([u[k] for k in gap.tolist()], pa.string())], ["doc_id", "turn", "unit"])
+
+    def encode(batches):
         for batch in batches:
-            data, off = column_bytes(batch.column("text"))
+            digest, found = [], []
+            for i, j, data, off, u, at in looked_up(batch):
+                table, top = _table(model), known.value
+                size = np.where(at >= 0, top.size[at] if len(top.size) else 0, 1)
+                long = {int(x): np.array(table.merge(u[int(x)]), np.int32) for x in np.flatnonzero((at < 0) & (u.end - u.start > MAX_UNIT))}
+                for x, ids in long.items():
+                    size[x] = len(ids)
+                end = np.cumsum(size)
+                begin = end - size
+                # A unit without ids here leaves -1 in its place.
+                out = np.full(end[-1] if len(end) else 0, -1, np.int32)
+                hit = np.flatnonzero(at >= 0)
+                n = size[hit]
+                turn = np.arange(int(n.sum())) - np.repeat(np.cumsum(n) - n, n)
+                out[np.repeat(begin[hit], n) + turn] = top.ids[np.repeat(top.at[at[hit]], n) + turn]
+                for x, ids in long.items():
+                    out[begin[x] : end[x]] = ids
+                edge = np.r_[0, end][u.first]
+                found += [out[a:b] for a, b in zip(edge[:-1].tolist(), edge[1:].tolist())]
+                digest += [xxhash.xxh3_64_intdigest(data[off[r] : off[r + 1]].tobytes()) for r in range(i, j)]
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(np.array(digest, np.uint64).view(np.int64)), pa.array(found, pa.list_(pa.int32()))], ["doc_id", "digest", "ids"])
+
+    def fill(batches):
+        for batch in batches:
+            table = _table(model)
             n, ids, ok = [], [], []
-            for r in range(len(off) - 1):
-                body = data[off[r] : off[r + 1]].tobytes()
-                parts = []
-                for u in UNIT.findall(marked(body)) if body else []:
-                    got = top.get(u)
-                    if got is None:
-                        got = memo.get(u)
-                        if got is None:
-                            if len(memo) > MEMO_UNITS:
-                                memo.clear()
-                            got = memo[u] = np.array(table.merge(u), "<i4").tobytes()
-                    parts.append(got)
-                found = np.frombuffer(b"".join(parts), "<i4")
-                n.append(len(found))
-                ids.append(found)
-                ok.append(b"".join(raw[found].tolist())[1:] == body if len(found) else not body)
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(n, pa.int64()), pa.array(ids, pa.list_(pa.int32())), pa.array(ok, pa.bool_())], ["doc_id", "n_pieces", "ids", "round_trip"])
-
-    return texts(docs).mapInArrow(encode, "doc_id long, n_pieces long, ids array<int>, round_trip boolean")
+            off, values = batch.column("ids").offsets.to_numpy(), batch.column("ids").values.to_numpy(zero_copy_only=False)
+            if "fills" in batch.schema.names:
+                fills = batch.column("fills")
+                fill_off, inner = fills.offsets.to_numpy(), fills.values.field("ids")
+                in_off, in_values = inner.offsets.to_numpy(), inner.values.to_numpy(zero_copy_only=False)
+            for r, want in enumerate(batch.column("digest").to_numpy().view(np.uint64).tolist()):
+                got = values[off[r] : off[r + 1]]
+                gap = np.flatnonzero(got < 0)
+                if len(gap):
+                    spans = in_off[fill_off[r] : fill_off[r + 1] + 1]
+                    size = np.ones(len(got), np.int64)
+                    size[gap] = np.diff(spans)
+                    end = np.cumsum(size)
+                    whole = np.empty(end[-1], np.int32)
+                    rest = np.flatnonzero(got >= 0)
+                    whole[end[rest] - 1] = got[rest]
+                    m = size[gap]
+                    turn = np.arange(int(m.sum())) - np.repeat(np.cumsum(m) - m, m)
+                    whole[np.repeat(end[gap] - m, m) + turn] = in_values[spans[0] : spans[-1]]
+                    got = whole
+                n.append(len(got))
+                ids.append(got)
+                ok.append(xxhash.xxh3_64_intdigest(table.bytes_of(got)) == want)
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(n, pa.int64()), pa.array(ids, pa.list_(pa.int32())), pa.array(ok, pa.bool_())], ["__row_id", "n_pieces", "ids", "round_trip"])
+
+    rows = texts(t).mapInArrow(encode, "doc_id long, digest long, ids array<int>")
+    if total < sum(sizes.values()) or len(top.hash) < total:
+        left = codes if len(top.hash) < total else codes.filter(~often)
+        gaps = texts(t).mapInArrow(rare, "doc_id long, turn int, unit string").join(left.select("unit", "ids"), "unit")
+        fills = gaps.groupBy("doc_id").agg(F.array_sort(F.collect_list(F.struct("turn", "ids"))).alias("fills"))
+        rows = rows.join(fills, "doc_id", "left")
+    out = rows.mapInArrow(fill, "__row_id long, n_pieces long, ids array<int>, round_trip boolean")
+    return original(out, again).select(F.col("orig").alias("doc_id"), "n_pieces", "ids", "round_trip")
 
 
 def decoded(rows: DataFrame, model: str) -> DataFrame:
     """doc_id and text of rows (doc_id, ids)."""
 
     def decode(batches):
-        t = PieceTable(model)
+        t = _table(model)
         for batch in batches:
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array([t.decode(x or []) for x in batch.column("ids").to_pylist()], pa.string())], ["doc_id", "text"])
 

@@ -56,7 +56,8 @@ class UnitCoder(dict):
     """Unit -> its ids as little-endian unsigned 32-bit bytes; a bounded memo.
 
     The vocabulary of the tokenizer file is run by the faster of the two public byte-pair engines;
-    the tokenizer itself checks it on the first units of each worker.
+    the tokenizer itself checks it on the first units of each worker. Its added tokens (such as the
+    end-of-text mark) are cut out of a text before all else and are units of their own.
     """
 
     def __init__(self, path: str):
@@ -65,8 +66,12 @@ class UnitCoder(dict):
         from tokenizers import Tokenizer
 
         self.judge = Tokenizer.from_file(path)
-        self.judge.encode_special_tokens = True
-        special = {t.content for t in self.judge.get_added_tokens_decoder().values()}
+        added = self.judge.get_added_tokens_decoder()
+        if any(t.single_word or t.lstrip or t.rstrip for t in added.values()):
+            raise ValueError("added tokens that depend on what stands beside them")
+        special = {t.content: array("I", [i]).tobytes() for i, t in added.items()}
+        self.special = special
+        self.added = re.compile("|".join(map(re.escape, sorted(special, key=len, reverse=True))) or r"(?!)")
         byte = _byte_characters()
         ranks = {bytes(byte[c] for c in token): i for token, i in self.judge.get_vocab().items() if token not in special}
         self.engine = tiktoken.Encoding("units", pat_str=PRE_TOKEN, mergeable_ranks=ranks, special_tokens={})
@@ -75,6 +80,7 @@ class UnitCoder(dict):
     def learn(self, units: set[str]) -> None:
         if len(self) > MEMO_UNITS:
             self.clear()
+        self.update(self.special)
         encode = self.engine.encode_ordinary
         new = list(units.difference(self))
         for u in new:
@@ -86,6 +92,14 @@ class UnitCoder(dict):
                 if array("I", e.ids).tobytes() != self[u]:
                     raise ValueError(f"the engines disagree on {u!r}")
 
+    def units(self, text: str) -> list[str]:
+        """The units of a text, its added tokens among them."""
+        out, at = [], 0
+        for m in self.added.finditer(text):
+            out += [*UNIT.findall(text[at : m.start()]), m[0]]
+            at = m.end()
+        return out + UNIT.findall(text[at:]) if at else UNIT.findall(text)
+
     def __call__(self, units: list[str]) -> bytes:
         return b"".join(map(self.__getitem__, units))
 
@@ -101,7 +115,7 @@ def encode_rows(batch: pa.RecordBatch, path: str) -> Iterator[bytes]:
     code = coder(path)
     data, off = column_bytes(batch.column("text"))
     for i, j in slices(off):
-        units = [UNIT.findall(data[off[r] : off[r + 1]].tobytes().decode()) for r in range(i, j)]
+        units = [code.units(data[off[r] : off[r + 1]].tobytes().decode()) for r in range(i, j)]
         code.learn(set().union(*units))
         for u in units:
             yield code(u)

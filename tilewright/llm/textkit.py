@@ -41,6 +41,30 @@ P = U(0x9E3779B97F4A7C15 | 1)
 P_INV = U(pow(int(P), -1, 2**64))
 
 
+_powers = [np.ones(1, U), np.ones(1, U)]
+_char_hash: list[np.ndarray] = []
+
+
+def powers(n: int) -> tuple[np.ndarray, np.ndarray]:
+    """The first n powers of P and of its inverse."""
+    for k, base in enumerate((P, P_INV)):
+        if len(_powers[k]) < n:
+            x = np.full(n, base)
+            x[0] = 1
+            _powers[k] = np.cumprod(x, dtype=U)
+    out = _powers[0][:n], _powers[1][:n]
+    if n > 1 << 24:  # of one very long row: not kept
+        _powers[:] = [np.ones(1, U), np.ones(1, U)]
+    return out
+
+
+def char_hash() -> np.ndarray:
+    """A hash of every code point."""
+    if not _char_hash:
+        _char_hash.append(_stream(31, 0x110000))
+    return _char_hash[0]
+
+
 def column_bytes(col: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     """Bytes of an Arrow string column and its row offsets; nulls are empty."""
     if isinstance(col, pa.ChunkedArray):
@@ -85,14 +109,9 @@ class Words:
         self.row = np.searchsorted(off, self.start, "right") - 1
         self.first = np.searchsorted(self.row, np.arange(rows + 1))
         if hashes:
-            p = np.full(n + 1, P)
-            p[0] = 1
-            np.cumprod(p, out=p)
+            p, q = powers(n + 1)
             total = np.zeros(n + 1, U)
             np.cumsum((BYTE_LOWER if lower else BYTE)[data] * p[:n], out=total[1:])
-            q = np.full(n + 1, P_INV)
-            q[0] = 1
-            np.cumprod(q, out=q)
             self.hash = mix((total[self.end] - total[self.start]) * q[self.start] + (self.end - self.start).astype(U))
 
     def windows(self, k: int) -> tuple[np.ndarray, np.ndarray]:
