@@ -195,11 +195,66 @@ def test_sentencepiece(spark, odd, none):
     assert lattice.encoded(none, PIECE).count() == 0
 
 
-def test_viterbi_fold(spark):
-    units = spark.createDataFrame([("abcd",), ("xz",)], "unit string")
-    pieces = spark.createDataFrame([("a", 300, -1.0), ("ab", 301, -1.5), ("bcd", 302, -1.0), ("cd", 303, -1.2), ("x", 304, -1.0)], "piece string, id int, score double")
-    got = {r.unit: list(r.ids) for r in lattice.viterbi_fold(lattice.lattice(units, pieces, 3), 3).collect()}
-    assert got == {"abcd": [300, 302], "xz": [304, 3 + ord("z")]}
+class Pieces:
+    """A piece table of given scores whose byte pieces begin at 3."""
+
+    def __init__(self, score):
+        self.score, self.ids, self.byte_id = score, {p: 300 + i for i, p in enumerate(score)}, np.arange(3, 259)
+
+    def frame(self, spark):
+        return spark.createDataFrame([(p, self.ids[p], float(s)) for p, s in self.score.items()], "piece string, id int, score double")
+
+
+def test_folds_are_the_best_path_and_the_merges(spark):
+    rng = np.random.default_rng(5)
+    strings = sorted({"".join(rng.choice(list("abcd"), rng.integers(1, 5))) for _ in range(60)})
+    t = Pieces({p: -float(k) - 0.5 for p, k in zip(strings, rng.permutation(len(strings)))})
+    words = sorted({"".join(rng.choice(list("abcdé"), rng.integers(1, 12))) for _ in range(150)})
+    units = spark.createDataFrame([(w,) for w in words], "unit string")
+
+    def best(w):
+        ways = [(0.0, ())]
+        for e in range(1, len(w) + 1):
+            ends = [(ways[b][0] + t.score[w[b:e]], (*ways[b][1], w[b:e])) for b in range(e) if w[b:e] in t.score]
+            ways.append(max([*ends, (ways[e - 1][0] - 20, (*ways[e - 1][1], w[e - 1]))]))
+        return ways[-1]
+
+    for r in lattice.viterbi_fold(lattice.lattice(units, t.frame(spark), 4), t).collect():
+        score, _ = best(r.unit)
+        back = {i: p for p, i in t.ids.items()}
+        assert b"".join(back[i].encode() if i in back else bytes([i - 3]) for i in r.ids).decode() == r.unit
+        bare = len(bytes(i - 3 for i in r.ids if i not in back).decode())
+        assert sum(t.score[back[i]] for i in r.ids if i in back) - 20 * bare == pytest.approx(score, abs=1e-6)
+
+    # A vocabulary made by merging the most frequent pairs is in rank order.
+    corpus = [list(w) for w in words]
+    score = {c: -1000.0 - i for i, c in enumerate("abcd")}
+    for k in range(40):
+        pairs = defaultdict(int)
+        for w in corpus:
+            for p in zip(w, w[1:]):
+                pairs[p] += "é" not in p
+        top = max(sorted(pairs), key=lambda p: pairs[p])
+        score.setdefault("".join(top), -float(k))
+        for w in corpus:
+            i = 0
+            while i < len(w) - 1:
+                if (w[i], w[i + 1]) == top:
+                    w[i : i + 2] = ["".join(top)]
+                i += 1
+    t = Pieces(score)
+    assert lattice.in_rank_order(t)
+    got = {r.unit: list(r.ids) for r in lattice.merge_fold(lattice.lattice(units, t.frame(spark), max(map(len, score)), True), t).collect()}
+    for w in words:
+        parts = list(w)
+        while True:
+            options = [(score.get(x + y, -1e9), -i) for i, (x, y) in enumerate(zip(parts, parts[1:]))]
+            if not options or max(options)[0] <= -1e9:
+                break
+            i = -max(options)[1]
+            parts[i : i + 2] = [parts[i] + parts[i + 1]]
+        want = [i for p in parts for i in ([t.ids[p]] if p in t.ids else [3 + b for b in p.encode()])]
+        assert got[w] == want == lattice.PieceTable.merge(t, w), w
 
 
 def test_passages(spark, odd, none):

@@ -26,6 +26,7 @@ from __future__ import annotations
 import heapq
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -39,7 +40,8 @@ MARK = "▁"
 HEAD_UNITS = 1 << 20
 #: Longest unit that is folded: its places are the bits of a long.
 MAX_UNIT = 60
-FLUSH_UNITS = 400_000
+#: Bytes of text at a time.
+SLICE = 1 << 20
 _NONE = -2e9
 
 
@@ -152,20 +154,35 @@ class Units:
         return self.text[self.start[i] : self.end[i]]
 
 
-def lattice(units: DataFrame, pieces: DataFrame, longest: int) -> DataFrame:
-    """units (unit and what else describes it) with edges (array of start, len, id, score): the pieces at each place of each distinct unit."""
+def _shift(x: Column, n: Column) -> Column:
+    return F.call_function("shiftleft", x, n)
+
+
+def lattice(units: DataFrame, pieces: DataFrame, longest: int, bits: bool = False) -> DataFrame:
+    """units (unit and what else describes it) with edges: the pieces at each place of each distinct unit.
+
+    An edge is (start, len, id, score); with bits it is (late, start, ends, inner, id): the negative score,
+    and as bits of a long the places at its ends and those between. With bits the pieces of one character,
+    of which each place has one at most and which merge nothing, are left out.
+    """
     # The empty substring meets a row of its own, so that a unit without any piece stays.
     none = pieces.sparkSession.createDataFrame([("", -1, 0.0)], "piece string, id int, score double")
     n = F.length("unit")
     # Numbered as they come, units are in order for the grouping, whose sort then has little to do.
     numbered = units.withColumn("_number", F.monotonically_increasing_id())
     spots = numbered.select(*numbered.columns, F.explode(F.sequence(F.lit(0), n - 1)).alias("start"))
+    if bits:
+        pieces = pieces.filter(F.length("piece") > 1)
     least = F.when(F.col("start") == 0, 0).otherwise(1)
     subs = spots.select(*numbered.columns, "start", F.explode(F.sequence(least, F.least(F.lit(longest), n - F.col("start")))).alias("len"))
     subs = subs.withColumn("piece", F.substring("unit", F.col("start") + 1, F.col("len")))
     edges = subs.join(F.broadcast(pieces.unionByName(none)), "piece")
-    edge = F.when(F.col("len") > 0, F.struct("start", "len", "id", "score"))
-    return edges.groupBy("_number", *units.columns).agg(F.collect_list(edge).alias("edges")).drop("_number")
+    edge = F.struct("start", "len", "id", "score")
+    if bits:
+        one = F.lit(1).cast("long")
+        ends = _shift(one, F.col("start")).bitwiseOR(_shift(one, F.col("start") + F.col("len")))
+        edge = F.struct((-F.col("score")).alias("late"), "start", ends.alias("ends"), _shift(_shift(one, F.col("len") - 1) - 1, F.col("start") + 1).alias("inner"), "id")
+    return edges.groupBy("_number", *units.columns).agg(F.collect_list(F.when(F.col("len") > 0, edge)).alias("edges")).drop("_number")
 
 
 def _char_bytes(unit: Column, start: Column, byte_base: int) -> Column:
@@ -192,40 +209,40 @@ def in_rank_order(table: PieceTable) -> bool:
     return True
 
 
-def _shift(x: Column, n: Column) -> Column:
-    return F.call_function("shiftleft", x, n)
+def character_ids(table: PieceTable) -> Column:
+    """The ids of pieces of one character by its code point, -1 where there is none; one constant."""
+    single = {ord(p): i for p, i in table.ids.items() if len(p) == 1}
+    return F.split(F.lit(",".join(str(single.get(c, -1)) for c in range(max(single, default=0) + 1))), ",").cast("array<int>")
 
 
-def merge_fold(lat: DataFrame, byte_base: int) -> DataFrame:
-    """unit, ids: adjacent parts merged by the best edge until none is left; for vocabularies in_rank_order().
+def merge_fold(lat: DataFrame, table: PieceTable) -> DataFrame:
+    """unit, ids of a lattice with bits: adjacent parts merged by the best edge until none is left; for vocabularies in_rank_order().
 
     Edges are taken from the best score on, the leftmost of equals first. The state has one bit for each
     place between characters at which a part ends; an edge merges two parts if its ends are such places
     and just one is between them.
     """
     columns = [c for c in lat.columns if c != "edges"]
-    n, one = F.length("unit"), F.lit(1).cast("long")
-    ends = lambda e: _shift(one, e["start"]).bitwiseOR(_shift(one, e["start"] + e["len"]))
-    inner = lambda e: _shift(_shift(one, e["len"] - 1) - 1, e["start"] + 1)
-    merging = F.transform(F.filter("edges", lambda e: e["len"] > 1), lambda e: F.struct((-e["score"]).alias("late"), e["start"], ends(e).alias("ends"), inner(e).alias("inner")))
+    n, two = F.length("unit"), F.lit(3).cast("long")
 
     def step(s: Column, e: Column) -> Column:
         m = s.bitwiseAND(e["inner"])
-        return F.when((s.bitwiseAND(e["ends"]) == e["ends"]) & (m == m.bitwiseAND(-m)) & (m != 0), s - m).otherwise(s)
-
-    lat = lat.withColumn("at", F.aggregate(F.array_sort(merging), _shift(one, n + 1) - 1, step))
-    at = F.col("at")
-    parts = F.filter("edges", lambda e: (at.bitwiseAND(ends(e)) == ends(e)) & (at.bitwiseAND(inner(e)) == 0))
-    parts = F.transform(parts, lambda e: F.struct(e["start"].alias("start"), F.array(e["id"]).alias("ids")))
-    lat = lat.withColumn("parts", parts)
-    # Places without a piece (their character is one part) get byte pieces.
-    bare = F.filter(F.sequence(F.lit(0), n - 1), lambda i: (at.bitwiseAND(_shift(F.lit(3).cast("long"), i)) == _shift(F.lit(3).cast("long"), i)) & ~F.exists("parts", lambda p: p["start"] == i))
-    bare = F.transform(bare, lambda i: F.struct(i.alias("start"), _char_bytes(F.col("unit"), i, byte_base).alias("ids")))
-    whole = F.when(F.size("parts") == F.bit_count("at") - 1, F.col("parts")).otherwise(F.concat("parts", bare))
-    return lat.select(*columns, F.flatten(F.transform(F.array_sort(whole), lambda p: p["ids"])).alias("ids"))
-
-
-def viterbi_fold(lat: DataFrame, byte_base: int, byte_score: float = -20.0) -> DataFrame:
+        return F.when((m != 0) & (m == m.bitwiseAND(-m)) & (s.bitwiseAND(e["ends"]) == e["ends"]), s - m).otherwise(s)
+
+    lat = lat.withColumn("at", F.aggregate(F.sort_array("edges"), _shift(F.lit(1).cast("long"), n + 1) - 1, step))
+    at, by_code = F.col("at"), character_ids(table)
+    parts = F.filter("edges", lambda e: (at.bitwiseAND(e["inner"]) == 0) & (at.bitwiseAND(e["ends"]) == e["ends"]))
+    parts = F.transform(parts, lambda e: F.struct(e["start"].alias("start"), e["id"].alias("id")))
+    # Parts of one character end at two places side by side.
+    single = F.filter(F.sequence(F.lit(0), n - 1), lambda i: at.bitwiseAND(_shift(two, i)) == _shift(two, i))
+    single = F.transform(single, lambda i: F.struct(i.alias("start"), F.coalesce(F.get(by_code, F.ascii(F.substring(F.col("unit"), i + 1, F.lit(1)))), F.lit(-1)).alias("id")))
+    lat = lat.withColumn("parts", F.sort_array(F.concat(parts, single)))
+    base = int(table.byte_id[0])
+    bytes_too = F.flatten(F.transform("parts", lambda p: F.when(p["id"] >= 0, F.array(p["id"])).otherwise(_char_bytes(F.col("unit"), p["start"], base))))
+    return lat.select(*columns, F.when(F.array_contains("parts.id", -1), bytes_too).otherwise(F.col("parts.id")).alias("ids"))
+
+
+def viterbi_fold(lat: DataFrame, table: PieceTable, byte_score: float = -20.0) -> DataFrame:
     """unit, ids: the best-scoring path; a character without an edge costs byte_score."""
     # best[i]: score of the best path to position i, the start of its last edge and that edge's id (-1: bytes).
     first = F.array(F.struct(F.lit(0.0).alias("score"), F.lit(-1).alias("from"), F.lit(-1).alias("id")))
@@ -247,39 +264,31 @@ def viterbi_fold(lat: DataFrame, byte_base: int, byte_score: float = -20.0) -> D
             F.concat(F.array(F.struct(F.get(F.col("best"), s["at"])["from"].alias("from"), F.get(F.col("best"), s["at"])["id"].alias("id"))), s["path"]).alias("path"),
         )),
     )["path"]
-    ids = F.flatten(F.transform("path", lambda p: F.when(p["id"] >= 0, F.array(p["id"])).otherwise(_char_bytes(F.col("unit"), p["from"], byte_base))))
+    ids = F.flatten(F.transform("path", lambda p: F.when(p["id"] >= 0, F.array(p["id"])).otherwise(_char_bytes(F.col("unit"), p["from"], int(table.byte_id[0])))))
     columns = [c for c in lat.columns if c != "edges"]
     return lat.withColumn("best", best).withColumn("path", back).select(*columns, ids.alias("ids"))
 
 
+def distinct(h: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The number of each value among the distinct ones, and where each of these is first."""
+    which, values = pd.factorize(h)
+    first = np.empty(len(values), np.int64)
+    first[which[::-1]] = np.arange(len(h))[::-1]
+    return which, first
+
+
 def unit_counts(docs: DataFrame, model: str) -> DataFrame:
-    """unit, n: how often each unit of at most MAX_UNIT characters occurs (pre-counted in each task)."""
+    """unit, n: how often each unit of at most MAX_UNIT characters occurs (pre-counted in each slice)."""
 
     def count(batches):
         table = _table(model)
-        seen: dict[int, list] = {}
-
-        def flush():
-            return pa.RecordBatch.from_arrays([pa.array([x[0] for x in seen.values()], pa.string()), pa.array([x[1] for x in seen.values()], pa.int64())], ["unit", "n"])
-
         for batch in batches:
             data, off = column_bytes(batch.column("text"))
             for i, j in slices(off):
                 u = Units(table, data[off[i] : off[j]], off[i : j + 1] - off[i])
                 short = np.flatnonzero(u.end - u.start <= MAX_UNIT)
-                h, at, n = np.unique(u.hash[short], return_index=True, return_counts=True)
-                for key, k, m in zip(h.tolist(), short[at].tolist(), n.tolist()):
-                    had = seen.get(key)
-                    if had is None:
-                        seen[key] = [u[k], m]
-                    elif had[0] == u[k]:
-                        had[1] += m
-                    else:  # another unit of the same hash
-                        seen[(key, u[k])] = [u[k], m]
-                if len(seen) > FLUSH_UNITS:
-                    yield flush()
-                    seen.clear()
-        yield flush()
+                which, at = distinct(u.hash[short])
+                yield pa.RecordBatch.from_arrays([pa.array([u[k] for k in short[at].tolist()], pa.string()), pa.array(np.bincount(which, minlength=len(at)))], ["unit", "n"])
 
     return texts(docs).mapInArrow(count, "unit string, n long").groupBy("unit").agg(F.sum("n").alias("n"))
 
@@ -293,7 +302,7 @@ def _table(model: str) -> PieceTable:
     return _state[model]
 
 
-def unit_hash(units: list[str], table: PieceTable) -> np.ndarray:
+def unit_hash(units: list[str]) -> np.ndarray:
     """The hash that each unit has in a text."""
     code = np.frombuffer("".join(units).encode("utf-32-le"), np.uint32)
     size = np.array([len(u) for u in units], np.int64)
@@ -312,33 +321,33 @@ def unit_codes(docs: DataFrame, model: str, fold=merge_fold) -> DataFrame:
     if fold is merge_fold and not in_rank_order(t):
         raise ValueError("a merge of this vocabulary makes a better one possible")
     # Counting deals out units; their substrings and edges stay where they are, with no further exchange.
-    return materialize(fold(lattice(unit_counts(docs, model), t.frame(docs.sparkSession), t.longest), base))
+    return materialize(fold(lattice(unit_counts(docs, model), t.frame(docs.sparkSession), t.longest, fold is merge_fold), t))
 
 
 class Head:
     """Ids of the most frequent units, by their sorted hashes."""
 
-    def __init__(self, units: list[str], ids: pa.ListArray, table: PieceTable):
-        h = unit_hash(units, table) if units else np.zeros(0, U)
+    def __init__(self, h: np.ndarray, off: np.ndarray, ids: np.ndarray):
         order = np.argsort(h)
-        off, values = ids.offsets.to_numpy(), ids.values.to_numpy(zero_copy_only=False)
         # Of units with one hash none is here: they are joined as the rarer ones are.
         alone = np.ones(len(h), bool)
         same = h[order][1:] == h[order][:-1]
         alone[1:] &= ~same
         alone[:-1] &= ~same
         order = order[alone]
-        self.hash, self.size = h[order], np.diff(off)[order].astype(np.int64)
-        self.at = np.r_[0, np.cumsum(self.size)]
-        self.ids = values[np.repeat(off[:-1][order] - self.at[:-1], self.size) + np.arange(self.at[-1])].astype(np.int32)
+        self.hash, size = h[order], np.diff(off)[order]
+        self.at = np.r_[0, np.cumsum(size)].astype(np.int32)
+        self.ids = ids[np.repeat(off[:-1][order] - self.at[:-1], size) + np.arange(self.at[-1])].astype(np.int32)
 
     def find(self, h: np.ndarray) -> np.ndarray:
         """The place of each hash, or -1."""
         if not len(self.hash):
             return np.full(len(h), -1)
+        which, first = distinct(h)
+        h = h[first]
         at = np.searchsorted(self.hash, h)
         at[at == len(self.hash)] = 0
-        return np.where(self.hash[at] == h, at, -1)
+        return np.where(self.hash[at] == h, at, -1)[which]
 
 
 def encoded(docs: DataFrame, model: str, head: int = HEAD_UNITS, fold=merge_fold) -> DataFrame:
@@ -354,14 +363,22 @@ def encoded(docs: DataFrame, model: str, head: int = HEAD_UNITS, fold=merge_fold
         k -= 1
         total += sizes.get(k, 0)
     often = F.col("n") >= F.lit(float(2**k))
-    top = codes.filter(often).select("unit", "ids").toArrow().combine_chunks()  # at most `head` short rows
-    top = Head(top.column("unit").to_pylist(), top.column("ids").combine_chunks() if top.num_rows else pa.array([], pa.list_(pa.int32())), _table(model))
+
+    def hashed(batches):
+        for batch in batches:
+            yield pa.RecordBatch.from_arrays([pa.array(unit_hash(batch.column("unit").to_pylist()).view(np.int64)), batch.column("ids")], ["h", "ids"])
+
+    top = codes.filter(often).select("unit", "ids").mapInArrow(hashed, "h long, ids array<int>").toArrow().combine_chunks()  # at most `head` short rows
+    ids = top.column("ids").combine_chunks() if top.num_rows else pa.array([], pa.list_(pa.int32()))
+    top = Head(top.column("h").to_numpy().view(U), ids.offsets.to_numpy(), ids.values.to_numpy(zero_copy_only=False))
+    here = len(top.hash)
     known = spark.sparkContext.broadcast(top)
+    del top, ids
 
     def looked_up(batch):
         table, top = _table(model), known.value
         data, off = column_bytes(batch.column("text"))
-        for i, j in slices(off):
+        for i, j in slices(off, SLICE):
             u = Units(table, data[off[i] : off[j]], off[i : j + 1] - off[i])
             yield i, j, data, off, u, top.find(u.hash)
 
@@ -371,32 +388,30 @@ def encoded(docs: DataFrame, model: str, head: int = HEAD_UNITS, fold=merge_fold
                 gap = np.flatnonzero((at < 0) & (u.end - u.start <= MAX_UNIT))
                 row = np.searchsorted(u.first, gap, "right") - 1
                 turn = np.arange(len(gap)) - np.searchsorted(row, row)
-                ids = batch.column("doc_id").to_numpy(zero_copy_only=False)[i:j][row]
+                ids = batch.column("doc_id").to_numpy(zero_copy_only=False)[i:j][row] if len(row) else np.zeros(0, np.int64)
                 yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(turn.astype(np.int32)), pa.array([u[k] for k in gap.tolist()], pa.string())], ["doc_id", "turn", "unit"])
 
     def encode(batches):
         for batch in batches:
-            digest, found = [], []
             for i, j, data, off, u, at in looked_up(batch):
                 table, top = _table(model), known.value
-                size = np.where(at >= 0, top.size[at] if len(top.size) else 0, 1)
-                long = {int(x): np.array(table.merge(u[int(x)]), np.int32) for x in np.flatnonzero((at < 0) & (u.end - u.start > MAX_UNIT))}
+                hit = np.flatnonzero(at >= 0)
+                n = (top.at[1:] - top.at[:-1])[at[hit]].astype(np.int64)
+                size = np.ones(len(at), np.int64)
+                size[hit] = n
+                long = {x: np.array(table.merge(u[x]), np.int32) for x in np.flatnonzero((at < 0) & (u.end - u.start > MAX_UNIT)).tolist()}
                 for x, ids in long.items():
                     size[x] = len(ids)
                 end = np.cumsum(size)
-                begin = end - size
                 # A unit without ids here leaves -1 in its place.
                 out = np.full(end[-1] if len(end) else 0, -1, np.int32)
-                hit = np.flatnonzero(at >= 0)
-                n = size[hit]
                 turn = np.arange(int(n.sum())) - np.repeat(np.cumsum(n) - n, n)
-                out[np.repeat(begin[hit], n) + turn] = top.ids[np.repeat(top.at[at[hit]], n) + turn]
+                out[np.repeat(end[hit] - n, n) + turn] = top.ids[np.repeat(top.at[at[hit]], n) + turn]
                 for x, ids in long.items():
-                    out[begin[x] : end[x]] = ids
-                edge = np.r_[0, end][u.first]
-                found += [out[a:b] for a, b in zip(edge[:-1].tolist(), edge[1:].tolist())]
-                digest += [xxhash.xxh3_64_intdigest(data[off[r] : off[r + 1]].tobytes()) for r in range(i, j)]
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(np.array(digest, np.uint64).view(np.int64)), pa.array(found, pa.list_(pa.int32()))], ["doc_id", "digest", "ids"])
+                    out[end[x] - len(ids) : end[x]] = ids
+                lists = pa.ListArray.from_arrays(pa.array(np.r_[0, end][u.first].astype(np.int32)), pa.array(out))
+                digest = np.array([xxhash.xxh3_64_intdigest(data[off[r] : off[r + 1]].tobytes()) for r in range(i, j)], np.uint64)
+                yield pa.RecordBatch.from_arrays([batch.column("doc_id").slice(i, j - i), pa.array(digest.view(np.int64)), lists], ["doc_id", "digest", "ids"])
 
     def fill(batches):
         for batch in batches:
@@ -428,10 +443,10 @@ def encoded(docs: DataFrame, model: str, head: int = HEAD_UNITS, fold=merge_fold
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(n, pa.int64()), pa.array(ids, pa.list_(pa.int32())), pa.array(ok, pa.bool_())], ["__row_id", "n_pieces", "ids", "round_trip"])
 
     rows = texts(t).mapInArrow(encode, "doc_id long, digest long, ids array<int>")
-    if total < sum(sizes.values()) or len(top.hash) < total:
-        left = codes if len(top.hash) < total else codes.filter(~often)
+    if total < sum(sizes.values()) or here < total:
+        left = codes if here < total else codes.filter(~often)
         gaps = texts(t).mapInArrow(rare, "doc_id long, turn int, unit string").join(left.select("unit", "ids"), "unit")
-        fills = gaps.groupBy("doc_id").agg(F.array_sort(F.collect_list(F.struct("turn", "ids"))).alias("fills"))
+        fills = gaps.groupBy("doc_id").agg(F.sort_array(F.collect_list(F.struct("turn", "ids"))).alias("fills"))
         rows = rows.join(fills, "doc_id", "left")
     out = rows.mapInArrow(fill, "__row_id long, n_pieces long, ids array<int>, round_trip boolean")
     return original(out, again).select(F.col("orig").alias("doc_id"), "n_pieces", "ids", "round_trip")
