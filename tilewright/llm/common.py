@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 WS_CLASS = r"[\x20\x09-\x0D]"
 WS_CHARS = " \t\n\x0b\x0c\r"
 #: A side of a join is broadcast only when its rows were counted and are known to take at most so many bytes.
-BROADCAST_BYTES = 64 << 20
+BROADCAST_BYTES = 32 << 20
 #: Bytes of a value in a broadcast relation (of other kinds 1024, if the caller knows no width).
 _WIDTHS = {"bigint": 8, "double": 8, "float": 8, "int": 8, "boolean": 8, "string": 64, "binary": 64}
 

@@ -26,14 +26,13 @@ from __future__ import annotations
 import heapq
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import identified, materialize, original, texts
-from .textkit import U, char_hash, column_bytes, mix, powers, slices
+from .textkit import U, char_hash, column_bytes, distinct, mix, powers, slices
 
 MARK = "▁"
 #: Most units whose ids are broadcast.
@@ -269,14 +268,6 @@ def viterbi_fold(lat: DataFrame, table: PieceTable, byte_score: float = -20.0) -
     return lat.withColumn("best", best).withColumn("path", back).select(*columns, ids.alias("ids"))
 
 
-def distinct(h: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """The number of each value among the distinct ones, and where each of these is first."""
-    which, values = pd.factorize(h)
-    first = np.empty(len(values), np.int64)
-    first[which[::-1]] = np.arange(len(h))[::-1]
-    return which, first
-
-
 def unit_counts(docs: DataFrame, model: str) -> DataFrame:
     """unit, n: how often each unit of at most MAX_UNIT characters occurs (pre-counted in each slice)."""
 

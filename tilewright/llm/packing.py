@@ -7,7 +7,7 @@ count. Patterns become slots (length, first rank, first sequence, offset), and a
 place through its rank among the pieces of its length. Ranks are counted per (length, salt), so that
 no length is ranked in one task.
 
-Null texts are empty: their document is the closing id alone. Null doc_ids are packed as any other.
+Units of text are told by 64-bit hashes within a worker. Null texts are empty: their document is the closing id alone. Null doc_ids are packed as any other.
 Rows that repeat are packed as often as they occur. An empty table gives an empty result. Only
 doc_id and text are read; pack_pieces() keeps whatever other columns its input has.
 """
@@ -17,8 +17,9 @@ from __future__ import annotations
 import heapq
 import os
 import re
-from array import array
+import unicodedata
 from collections.abc import Callable, Iterator
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -27,22 +28,26 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from .common import materialize, maybe_broadcast, texts
-from .textkit import column_bytes, slices
+from .textkit import U, char_hash, column_bytes, distinct, mix, powers, slices
 
 CAPACITY = 2048
 CLOSING_ID = 1
 MEMO_UNITS = 600_000
 CHECKED_UNITS = 3000
+#: Bytes of text at a time.
+SLICE = 1 << 20
 ROWS_PER_SALT = 100_000
 
 # The code points that the public pre-tokeniser's \s stands for.
-BLANK = "\t\n\x0b\x0c\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000"
+BLANKS = [*range(9, 14), 32, 0x85, 0xA0, 0x1680, *range(0x2000, 0x200B), 0x2028, 0x2029, 0x202F, 0x205F, 0x3000]
 # Fixed value: the public pre-tokeniser's pattern.
 PRE_TOKEN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
-#: No pre-token crosses the ends of these units, so each can be encoded on its own.
-UNIT = re.compile(f"[{BLANK}]+(?![^{BLANK}])| ?[^{BLANK}]+|[{BLANK}]+")
+#: Code points below this are sorted into letters, numbers and others; between any of the rest no cut is made.
+SORTED_BELOW = 0x530
+_BLANK, _LETTER, _NUMBER, _OTHER, _QUOTE, _UNSORTED = range(6)
 
 _coders: dict[str, "UnitCoder"] = {}
+_kinds: list[np.ndarray] = []
 
 
 def _byte_characters() -> dict[str, int]:
@@ -52,12 +57,99 @@ def _byte_characters() -> dict[str, int]:
     return {chr(b): b for b in plain} | {chr(256 + i): b for i, b in enumerate(rest)}
 
 
-class UnitCoder(dict):
-    """Unit -> its ids as little-endian unsigned 32-bit bytes; a bounded memo.
+def kinds() -> np.ndarray:
+    """What the pre-tokeniser takes each code point for."""
+    if not _kinds:
+        kind = np.full(0x110000, _UNSORTED, np.uint8)
+        for c in range(SORTED_BELOW):
+            name = unicodedata.category(chr(c))
+            kind[c] = _UNSORTED if name == "Cn" else {"L": _LETTER, "N": _NUMBER}.get(name[0], _OTHER)
+        kind[BLANKS], kind[ord("'")] = _BLANK, _QUOTE
+        _kinds.append(kind)
+    return _kinds[0]
+
+
+class Units:
+    """The units of some rows: no pre-token crosses their ends, so each can be encoded on its own.
+
+    A unit is a run of characters of one kind with the space before it, or a run of blanks without that
+    space. Around apostrophes, where contractions begin, and around unsorted characters nothing is cut.
+    Added tokens are units of their own, and what stands beside them is encoded as if a text ended there.
+    """
+
+    def __init__(self, data: np.ndarray, off: np.ndarray, added: re.Pattern):
+        self.text = data.tobytes().decode()
+        code = np.frombuffer(self.text.encode("utf-32-le"), np.uint32)
+        n = len(code)
+        rows = np.r_[0, np.cumsum((data & 0xC0) != 0x80)][off]
+        special = [m.span() for m in added.finditer(self.text)]
+        edge = np.zeros(n + 1, bool)
+        edge[rows] = True
+        edge[[x for span in special for x in span]] = True
+        kind = kinds()[code]
+        blank = kind == _BLANK
+        cut = edge[:-1].copy()
+        if n > 1:
+            old, new, here, after = kind[:-1], kind[1:], blank[1:], blank[:-1]
+            # The last blank of several goes with what follows, or stands alone.
+            follows = np.r_[~blank[2:] & ~edge[2:-1], False]
+            sure = np.maximum(old, new) < _QUOTE
+            cut[1:] |= here & ~after | here & after & follows | ~here & after & (code[:-1] != 32) | ~here & ~after & sure & (old != new)
+        for a, b in special:
+            cut[a + 1 : b] = False
+        self.start = np.flatnonzero(cut)
+        self.end = np.r_[self.start[1:], n].astype(np.int64)
+        self.first = np.searchsorted(self.start, rows)
+        p, q = powers(n + 1)
+        total = np.zeros(n + 1, U)
+        np.cumsum(char_hash()[code] * p[:-1], out=total[1:])
+        self.hash = mix((total[self.end] - total[self.start]) * q[self.start] + (self.end - self.start).astype(U))
+
+    def __getitem__(self, i: int) -> str:
+        return self.text[self.start[i] : self.end[i]]
+
+
+class Memo:
+    """Ids of units by their 64-bit hashes, at most MEMO_UNITS of them."""
+
+    def __init__(self):
+        self.hash, self.at, self.size, self.ids = np.zeros(0, U), np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, np.uint32)
+
+    def learn(self, h: np.ndarray, ids: list[list[int]]) -> None:
+        size = np.fromiter(map(len, ids), np.int64, len(ids))
+        at = len(self.ids) + np.cumsum(size) - size
+        self.ids = np.concatenate([self.ids, np.fromiter(chain.from_iterable(ids), np.uint32, int(size.sum()))])
+        order = np.argsort(np.r_[self.hash, h], kind="stable")
+        self.hash, self.at, self.size = (np.r_[x, y][order] for x, y in ((self.hash, h), (self.at, at), (self.size, size)))
+
+    def find(self, h: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """The place of each hash, and which are known."""
+        at = np.minimum(np.searchsorted(self.hash, h), max(0, len(self.hash) - 1))
+        return at, self.hash[at] == h if len(self.hash) else np.zeros(len(h), bool)
+
+
+def remembered(memo: Memo, units, encode: Callable[[list[str]], list[list[int]]]) -> tuple[np.ndarray, np.ndarray]:
+    """Of all units of some rows: their ids one after the other, and how many each has."""
+    which, first = distinct(units.hash)
+    h = units.hash[first]
+    at, known = memo.find(h)
+    if not known.all():
+        if len(memo.hash) > MEMO_UNITS:
+            memo.__init__()
+            known = np.zeros(len(h), bool)
+        new = np.flatnonzero(~known)
+        memo.learn(h[new], encode([units[k] for k in first[new].tolist()]))
+        at, _ = memo.find(h)
+    begin, size = memo.at[at][which], memo.size[at][which]
+    end = np.cumsum(size)
+    return memo.ids[np.repeat(begin - end + size, size) + np.arange(end[-1] if len(end) else 0)], size
+
+
+class UnitCoder:
+    """Ids of units under a byte-level vocabulary.
 
     The vocabulary of the tokenizer file is run by the faster of the two public byte-pair engines;
-    the tokenizer itself checks it on the first units of each worker. Its added tokens (such as the
-    end-of-text mark) are cut out of a text before all else and are units of their own.
+    the tokenizer itself checks it on the first units of each worker.
     """
 
     def __init__(self, path: str):
@@ -69,39 +161,28 @@ class UnitCoder(dict):
         added = self.judge.get_added_tokens_decoder()
         if any(t.single_word or t.lstrip or t.rstrip for t in added.values()):
             raise ValueError("added tokens that depend on what stands beside them")
-        special = {t.content: array("I", [i]).tobytes() for i, t in added.items()}
-        self.special = special
-        self.added = re.compile("|".join(map(re.escape, sorted(special, key=len, reverse=True))) or r"(?!)")
+        self.special = {t.content: [i] for i, t in added.items()}
+        self.added = re.compile("|".join(map(re.escape, sorted(self.special, key=len, reverse=True))) or r"(?!)")
         byte = _byte_characters()
-        ranks = {bytes(byte[c] for c in token): i for token, i in self.judge.get_vocab().items() if token not in special}
+        ranks = {bytes(byte[c] for c in token): i for token, i in self.judge.get_vocab().items() if token not in self.special}
         self.engine = tiktoken.Encoding("units", pat_str=PRE_TOKEN, mergeable_ranks=ranks, special_tokens={})
-        self.unchecked = CHECKED_UNITS
-
-    def learn(self, units: set[str]) -> None:
-        if len(self) > MEMO_UNITS:
-            self.clear()
-        self.update(self.special)
-        encode = self.engine.encode_ordinary
-        new = list(units.difference(self))
-        for u in new:
-            self[u] = array("I", encode(u)).tobytes()
+        self.memo, self.unchecked = Memo(), CHECKED_UNITS
+
+    def encode(self, units: list[str]) -> list[list[int]]:
+        ids = [self.special.get(u) or self.engine.encode_ordinary(u) for u in units]
         if self.unchecked > 0:
-            probe = new[: self.unchecked]
+            probe = units[: self.unchecked]
             self.unchecked -= len(probe)
-            for u, e in zip(probe, self.judge.encode_batch(probe, add_special_tokens=False)):
-                if array("I", e.ids).tobytes() != self[u]:
+            for u, e, own in zip(probe, self.judge.encode_batch(probe, add_special_tokens=False), ids):
+                if e.ids != own:
                     raise ValueError(f"the engines disagree on {u!r}")
+        return ids
 
-    def units(self, text: str) -> list[str]:
-        """The units of a text, its added tokens among them."""
-        out, at = [], 0
-        for m in self.added.finditer(text):
-            out += [*UNIT.findall(text[at : m.start()]), m[0]]
-            at = m.end()
-        return out + UNIT.findall(text[at:]) if at else UNIT.findall(text)
-
-    def __call__(self, units: list[str]) -> bytes:
-        return b"".join(map(self.__getitem__, units))
+    def __call__(self, data: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """The ids of some rows, one after the other, and where each row's begin and end."""
+        units = Units(data, off, self.added)
+        ids, size = remembered(self.memo, units, self.encode)
+        return ids, np.r_[0, np.cumsum(size)][units.first]
 
 
 def coder(path: str) -> UnitCoder:
@@ -111,14 +192,13 @@ def coder(path: str) -> UnitCoder:
 
 
 def encode_rows(batch: pa.RecordBatch, path: str) -> Iterator[bytes]:
-    """The ids of each row's text."""
+    """The ids of each row's text, as little-endian unsigned 32-bit bytes."""
     code = coder(path)
     data, off = column_bytes(batch.column("text"))
-    for i, j in slices(off):
-        units = [code.units(data[off[r] : off[r + 1]].tobytes().decode()) for r in range(i, j)]
-        code.learn(set().union(*units))
-        for u in units:
-            yield code(u)
+    for i, j in slices(off, SLICE):
+        ids, at = code(data[off[i] : off[j]], off[i : j + 1] - off[i])
+        for a, b in zip(at[:-1].tolist(), at[1:].tolist()):
+            yield ids[a:b].astype("<u4").tobytes()
 
 
 def tokenized_pieces(docs: DataFrame, vocabulary: str, capacity: int = CAPACITY, closing: int = CLOSING_ID) -> DataFrame:

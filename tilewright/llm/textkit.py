@@ -5,6 +5,7 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 
 U = np.uint64
@@ -65,6 +66,14 @@ def char_hash() -> np.ndarray:
     return _char_hash[0]
 
 
+def distinct(h: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The number of each value among the distinct ones, and where each of these is first."""
+    which, values = pd.factorize(h)
+    first = np.empty(len(values), np.int64)
+    first[which[::-1]] = np.arange(len(h))[::-1]
+    return which, first
+
+
 def column_bytes(col: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     """Bytes of an Arrow string column and its row offsets; nulls are empty."""
     if isinstance(col, pa.ChunkedArray):

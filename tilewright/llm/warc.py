@@ -7,8 +7,9 @@ digest (as WARC-Refers-To-Payload-Digest), and digests of their own blocks. Reco
 based, so a task that runs again gives the same records.
 
 Null HTML is an empty payload, a null url an empty target; both still give two records. A page
-without a body converts to an empty block. Repeated rows give repeated records. Broken records in a
-file raise ValueError with their offset.
+without a body converts to an empty block. Mark-up is read once from start to end, however broken.
+Repeated rows give repeated records, an empty table none. Broken records in a file raise ValueError
+with their offset. Only page_id, url and html are read.
 """
 
 from __future__ import annotations
@@ -26,13 +27,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from .html_extract import ATTR, NAME, tokens
+
 FIXED_DATE = "2024-01-01T00:00:00Z"
 _SPACE = uuid.uuid5(uuid.NAMESPACE_URL, "urn:warc:derivatives")
-_DROP = re.compile(r"<!--.*?-->|<(script|style|noscript|template|head)\b.*?</\1\s*>", re.S | re.I)
-_BREAK = re.compile(r"<(?:/?(?:p|div|h[1-6]|li|ul|ol|tr|table|article|section|header|footer|nav|aside|blockquote|pre)\b[^>]*|br\s*/?)>", re.I)
-_TAG = re.compile(r"<[^>]*>")
-_LINK = re.compile(r"<(a|img|link|script|iframe|form)\b[^>]*?\b(href|src|action)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", re.I)
-_TITLE = re.compile(r"<title[^>]*>(.*?)</title", re.S | re.I)
+# Elements that begin a line, that link, and that stand in a head.
+_BREAK = frozenset("p div h1 h2 h3 h4 h5 h6 li ul ol tr table article section header footer nav aside blockquote pre br".split())
+_LINK = {"a": "href", "img": "src", "link": "href", "script": "src", "iframe": "src", "form": "action"}
+_HEAD = frozenset("head title meta link base".split())
 
 
 def sha1(data: bytes) -> str:
@@ -78,24 +80,56 @@ def response_record(page_id: int | None, url: str | None, page: str | None, date
 
 
 def plain_text(page: str) -> str:
-    lines = (" ".join(html.unescape(_TAG.sub(" ", x)).split()) for x in _BREAK.split(_DROP.sub(" ", page)))
+    """The text outside the head, one line for each block."""
+    parts, at, head = [], 0, False
+    for begin, end, closing, tag, _ in tokens(page):
+        if not head:
+            parts.append(page[at:begin])
+        at = end
+        if tag == "head":
+            head = not closing
+        elif head and tag and tag not in _HEAD:
+            head = False
+        parts.append("\n" if tag in _BREAK else " ")
+    if not head:
+        parts.append(page[at:])
+    # Line breaks of the source are no more than spaces.
+    lines = "".join(x if x == "\n" else x.replace("\n", " ") for x in parts).split("\n")
+    lines = (" ".join(html.unescape(x).split()) for x in lines)
     return "\n".join(x for x in lines if x)
 
 
+def title_and_links(page: str) -> tuple[str | None, list[dict[str, str]]]:
+    title, begun, links = None, None, []
+    for begin, end, closing, tag, attrs in tokens(page):
+        if tag == "title" and title is None:
+            if closing and begun is not None:
+                title = html.unescape(page[begun:begin]).strip()
+            elif not closing and begun is None:
+                begun = end
+        if not tag:  # a script or the like, with its content
+            head = NAME.match(page, begin, end)
+            tag, attrs = (head[2].lower(), page[head.end() : page.find(">", begin)]) if head else ("", "")
+        if not closing and tag in _LINK:
+            found = next((a or b or c for name, a, b, c in ATTR.findall(attrs) if name.lower() == _LINK[tag]), None)
+            if found is not None:
+                links.append({"tag": tag, "url": html.unescape(found)})
+    return title, links
+
+
 def derivatives(headers: list[tuple[str, str]], block: bytes) -> list[tuple[list[tuple[str, str]], bytes]]:
     """The metadata and the conversion record of a response record."""
     source = dict(headers)
     head, _, body = block.partition(b"\r\n\r\n")
     status, *fields = head.decode("utf-8", "replace").split("\r\n")
     page = body.decode("utf-8", "replace")
-    title = _TITLE.search(page)
-    links = [{"tag": t.lower(), "url": html.unescape(a or b or c)} for t, _, a, b, c in _LINK.findall(page)]
+    title, links = title_and_links(page)
     text = plain_text(page).encode()
     meta = json.dumps({
         "Envelope": {"WARC-Header-Metadata": source, "Payload-Metadata": {
             "HTTP-Response-Metadata": {
                 "Response-Message": status, "Headers": dict(f.split(": ", 1) for f in fields if ": " in f), "Entity-Length": len(body), "Entity-Digest": sha1(body),
-                "HTML-Metadata": {"Title": html.unescape(title[1]).strip() if title else None, "Links": links},
+                "HTML-Metadata": {"Title": title, "Links": links},
             }}},
         "Derivatives": {"conversion": record_id("conversion", source["WARC-Record-ID"])},
     }, ensure_ascii=False, sort_keys=True).encode()
