@@ -40,7 +40,7 @@ HEAD_UNITS = 1 << 20
 #: Longest unit that is folded: its places are the bits of a long.
 MAX_UNIT = 60
 #: Bytes of text at a time.
-SLICE = 1 << 20
+SLICE = 1 << 19
 _NONE = -2e9
 
 
@@ -275,7 +275,7 @@ def unit_counts(docs: DataFrame, model: str) -> DataFrame:
         table = _table(model)
         for batch in batches:
             data, off = column_bytes(batch.column("text"))
-            for i, j in slices(off):
+            for i, j in slices(off, SLICE):
                 u = Units(table, data[off[i] : off[j]], off[i : j + 1] - off[i])
                 short = np.flatnonzero(u.end - u.start <= MAX_UNIT)
                 which, at = distinct(u.hash[short])

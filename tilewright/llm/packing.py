@@ -35,7 +35,7 @@ CLOSING_ID = 1
 MEMO_UNITS = 600_000
 CHECKED_UNITS = 3000
 #: Bytes of text at a time.
-SLICE = 1 << 20
+SLICE = 1 << 19
 ROWS_PER_SALT = 100_000
 
 # The code points that the public pre-tokeniser's \s stands for.
