@@ -137,17 +137,71 @@ def test_incremental_split_and_quad(spark, sf):
         assert sum((t.xmax - t.xmin) * (t.ymax - t.ymin) for t in layout.rows()) == pytest.approx(u.width * u.height)
 
 
+def test_brackets_find_the_exact_median(spark):
+    rng = np.random.default_rng(6)
+    values = {1: rng.normal(0, 100, 3001), 2: np.r_[np.full(900, 7.0), rng.integers(0, 50, 300)], 3: rng.integers(0, 3, 700).astype(float), 4: np.array([5.0])}
+    rows = [(k, float(v), 0.0, float(v), 1.0) for k, vs in values.items() for v in vs]
+    work = spark.createDataFrame(rows, "node long, xmin double, ymin double, xmax double, ymax double")
+    got = methods.bracketed_medians(work, {k: len(v) for k, v in values.items()}, "x", enough=100)
+    assert got == {k: np.sort(v)[(len(v) - 1) // 2] for k, v in values.items()}
+
+
+def test_binary_split_by_brackets_is_the_same(spark, sf, monkeypatch):
+    boxes = fixtures.skew_boxes(spark, sf)
+    want = [tuple(r) for r in methods.plan_binary_split(boxes, 60, max_cross=0.5).rows()]
+    monkeypatch.setattr(methods, "BRACKETS_ABOVE", 100)
+    monkeypatch.setattr(methods.bracketed_medians, "__defaults__", (100,))
+    assert [tuple(r) for r in methods.plan_binary_split(boxes, 60, max_cross=0.5).rows()] == want
+
+
+def test_strips_at_any_number_of_coordinates(spark, sf, monkeypatch):
+    boxes = fixtures.skew_boxes(spark, sf)
+    want = {c: [tuple(r) for r in methods.plan_strip(boxes, 79, count=c).rows()] for c in ("live", "fresh")}
+    b = methods.arrays_of(boxes)
+    for c in want:
+        assert [r[1:5] for r in want[c]] == [t[:4] for t in kernels.strips(b, methods.extent_of(boxes)[0], 79, count=c)]
+    monkeypatch.setattr(methods, "MOST_CUT_CANDIDATES", 50)
+    assert [tuple(r) for r in methods.plan_strip(boxes, 79, count="fresh").rows()] == want["fresh"]
+    with pytest.raises(ValueError, match="quantiles"):
+        methods.plan_strip(boxes, 79)
+    # Quantiles keep real weights: strips stay near the payload.
+    loads_q = loads(boxes, methods.plan_strip(boxes, 79, quantiles=400))
+    assert abs(len(loads_q) - len(want["live"])) <= 0.2 * len(want["live"])
+
+
+def test_ranks_part_equal_values(spark):
+    from tilewright.plans.ranks import global_rank, with_interval
+
+    df = spark.range(5000).select("id", F.when(F.col("id") % 3 > 0, 7.0).otherwise(F.col("id").cast("double")).alias("v"))
+    got = [r["rank"] for r in global_rank(df, "v", "id", parts=8).orderBy("v", "id").collect()]
+    assert got == list(range(5000))
+    cuts = sorted({float(x) for x in range(0, 5000, 41)})
+    for n in (0, 5, len(cuts)):
+        at = with_interval(df, "v", cuts[:n], "at")
+        assert all(r["at"] == sum(c <= r["v"] for c in cuts[:n]) for r in at.limit(200).collect())
+
+
+def test_nearest_tiles():
+    rng = np.random.default_rng(7)
+    low = rng.uniform(0, 100, (300, 2))
+    tiles = np.c_[low, low + rng.uniform(0, 30, (300, 2)) ** 1.2]
+    x, y = rng.uniform(-20, 140, (2, 500))
+    dx = np.maximum(0, np.maximum(tiles[:, 0] - x[:, None], x[:, None] - tiles[:, 2]))
+    dy = np.maximum(0, np.maximum(tiles[:, 1] - y[:, None], y[:, None] - tiles[:, 3]))
+    assert sampling.nearest_tiles(tiles, x, y).tolist() == (dx * dx + dy * dy).argmin(axis=1).tolist()
+
+
 def test_optimal_strips_beat_all_others():
     rng = np.random.default_rng(5)
     near = rng.integers(0, 60, 14).astype(float)
     far = near + rng.integers(0, 20, 14)
     centres = (near + far) / 2
-    _, load = kernels.optimal_1d(np.sort(centres), np.sort(far), np.sort(near), 3)
+    _, load = kernels.optimal_1d(kernels.Sorted(centres), kernels.Sorted(far), kernels.Sorted(near), 3)
     spots = np.unique(centres)
     best = min(
         max(int(((near < hi) & (far >= lo)).sum()) for lo, hi in zip((-np.inf, a, b), (a, b, np.inf))) for a in spots for b in spots if a < b
     )
-    assert load <= best
+    assert load == best
 
 
 def test_samples(spark, sf):

@@ -65,6 +65,15 @@ def _low_corner_cell(u: Box, cells: int, b: str, t: str) -> tuple[Column, Column
     )
 
 
+def _listed(layout: Layout, tiles: DataFrame, cells: int) -> int:
+    """How many lookup cells the tiles are listed in; counted once for a layout."""
+    if "_listed" not in layout.params:
+        u = layout.universe
+        per = F.size(_cell_range("x", u, cells)).cast("long") * F.size(_cell_range("y", u, cells))
+        layout.params["_listed"] = tiles.agg(F.sum(per)).first()[0] or 0
+    return layout.params["_listed"]
+
+
 def explode_tiles(boxes: DataFrame, layout: Layout, touch: str = "half_open") -> DataFrame:
     """boxes with tile_id: a row for each tile that a box meets, in no particular order.
 
@@ -79,7 +88,7 @@ def explode_tiles(boxes: DataFrame, layout: Layout, touch: str = "half_open") ->
     listed = tiles.withColumn("_cy", F.explode(_cell_range("y", u, cells))).withColumn("_cx", F.explode(_cell_range("x", u, cells)))
     listed = listed.select(F.struct("tile_id", *BOX, "last_x", "last_y").alias("t"), "_cx", "_cy")
     spread = boxes.select(F.struct(*boxes.columns).alias("b")).withColumn("_cy", F.explode(_cell_range("y", u, cells, "b"))).withColumn("_cx", F.explode(_cell_range("x", u, cells, "b")))
-    met = spread.join(small(listed, layout.count * 4), ["_cx", "_cy"])
+    met = spread.join(small(listed, _listed(layout, tiles, cells)), ["_cx", "_cy"])
     ox, oy = _low_corner_cell(u, cells, "b", "t")
     met = met.filter(meets(layout, "b", "t", touch) & (F.col("_cx") == ox) & (F.col("_cy") == oy))
     return met.select("b.*", F.col("t.tile_id").alias("tile_id"))

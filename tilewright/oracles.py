@@ -36,6 +36,14 @@ def universe(fixture: str) -> str:
 # Layouts: a chain of CTEs that ends in t (tile_id, xmin, ymin, xmax, ymax, planned).
 
 
+def grid_xy(mx: int, my: int) -> str:
+    """Cells of unlike numbers on the two axes."""
+    return f"""g AS (SELECT u.*, x1 - x0 AS w, y1 - y0 AS h FROM u),
+t AS (SELECT CAST(j * {mx} + i AS INTEGER) AS tile_id, x0 + w * i / {mx} AS xmin, y0 + h * j / {my} AS ymin,
+  CASE WHEN i = {mx - 1} THEN x1 ELSE x0 + w * (i + 1) / {mx} END AS xmax, CASE WHEN j = {my - 1} THEN y1 ELSE y0 + h * (j + 1) / {my} END AS ymax, CAST(NULL AS BIGINT) AS planned
+  FROM (SELECT *, unnest(range({mx})) AS i FROM (SELECT *, unnest(range({my})) AS j FROM g)))"""
+
+
 def grid(payload: int | None = None, cells: int | None = None) -> str:
     m = f"CAST({cells} AS BIGINT)" if cells else f"CAST(ceil(sqrt(n / CAST({payload} AS DOUBLE))) AS BIGINT)"
     return f"""g AS (SELECT u.*, {m} AS m, x1 - x0 AS w, y1 - y0 AS h FROM u),
@@ -146,8 +154,8 @@ def curve_key(curve: str, order: int = 16) -> str:
     return q
 
 
-def curve_pack(payload: int, curve: str = "hilbert") -> str:
-    return f"""k AS MATERIALIZED ({curve_key(curve)}),
+def curve_pack(payload: int, curve: str = "hilbert", order: int = 16) -> str:
+    return f"""k AS MATERIALIZED ({curve_key(curve, order)}),
 t AS (SELECT CAST(home AS INTEGER) AS tile_id, min(xmin) AS xmin, min(ymin) AS ymin, max(xmax) AS xmax, max(ymax) AS ymax, count(*) AS planned
   FROM (SELECT *, (row_number() OVER (ORDER BY key, id) - 1) // {payload} AS home FROM k) GROUP BY home)"""
 
@@ -157,7 +165,7 @@ def sort_tile(payload: int, edges: str = "tight") -> str:
   SELECT *, (row_number() OVER (ORDER BY cx, id) - 1) // CAST(ceil(sqrt((SELECT n FROM u) / CAST({payload} AS DOUBLE))) * {payload} AS BIGINT) AS slab FROM (SELECT *, (xmin + xmax) / 2 AS cx, (ymin + ymax) / 2 AS cy FROM b)))"""
     if edges == "tight":
         return f"""{members},
-t AS (SELECT CAST(slab * 100000 + tile AS INTEGER) AS tile_id, min(xmin) AS xmin, min(ymin) AS ymin, max(xmax) AS xmax, max(ymax) AS ymax, count(*) AS planned FROM q GROUP BY slab, tile)"""
+t AS (SELECT CAST(slab * (CAST(ceil(sqrt((SELECT n FROM u) / CAST({payload} AS DOUBLE))) AS BIGINT) + 1) + tile AS INTEGER) AS tile_id, min(xmin) AS xmin, min(ymin) AS ymin, max(xmax) AS xmax, max(ymax) AS ymax, count(*) AS planned FROM q GROUP BY slab, tile)"""
     return f"""{members},
 e AS (SELECT slab, tile, min(cx) AS cx, min(cy) AS cy, count(*) AS n FROM q GROUP BY 1, 2),
 sl AS (SELECT slab, min(cx) AS cx FROM e GROUP BY 1),
@@ -167,6 +175,41 @@ t AS (SELECT CAST(row_number() OVER (ORDER BY slab, tile) - 1 AS INTEGER) AS til
   WHERE xmin < xmax AND ymin < ymax)"""
 
 
+def sort_tile_even(payload: int) -> str:
+    """Ranks parted evenly into slabs, and those evenly into tiles."""
+    m = f"CAST(ceil(sqrt((SELECT n FROM u) / {payload}.0)) AS BIGINT)"
+    per = f"CAST(ceil((SELECT n FROM u) / CAST({m} AS DOUBLE)) AS BIGINT)"
+    each = f"CAST(ceil({per} / CAST({m} AS DOUBLE)) AS BIGINT)"
+    return f"""q AS MATERIALIZED (SELECT *, (row_number() OVER (PARTITION BY slab ORDER BY cy, id) - 1) // {each} AS tile FROM (
+  SELECT *, (row_number() OVER (ORDER BY cx, id) - 1) // {per} AS slab FROM (SELECT *, (xmin + xmax) / 2 AS cx, (ymin + ymax) / 2 AS cy FROM b))),
+t AS (SELECT CAST(slab * ({m} + 1) + tile AS INTEGER) AS tile_id, min(xmin) AS xmin, min(ymin) AS ymin, max(xmax) AS xmax, max(ymax) AS ymax, count(*) AS planned FROM q GROUP BY slab, tile)"""
+
+
+def sort_tile_in_buckets(payload: int, cuts: list[float]) -> str:
+    """Sort-tile inside the slabs between fixed anchors."""
+    bucket = " + ".join(f"CAST(cx >= {c!r} AS INTEGER)" for c in cuts)
+    return f"""k AS MATERIALIZED (SELECT *, count(*) OVER (PARTITION BY bucket) AS nb FROM (SELECT *, {bucket} AS bucket FROM (SELECT *, (xmin + xmax) / 2 AS cx, (ymin + ymax) / 2 AS cy FROM b))),
+q AS MATERIALIZED (SELECT *, (row_number() OVER (PARTITION BY bucket, slab ORDER BY cy, rx) - 1) // {payload} AS tile FROM (
+  SELECT *, (rx - 1) // CAST(ceil(sqrt(nb / {payload}.0)) * {payload} AS BIGINT) AS slab FROM (SELECT *, row_number() OVER (PARTITION BY bucket ORDER BY cx, id) AS rx FROM k))),
+t AS (SELECT CAST(row_number() OVER (ORDER BY bucket, xmin, ymin, xmax, ymax) - 1 AS INTEGER) AS tile_id, * EXCLUDE (bucket) FROM (
+  SELECT bucket, min(xmin) AS xmin, min(ymin) AS ymin, max(xmax) AS xmax, max(ymax) AS ymax, count(*) AS planned FROM q GROUP BY bucket, slab, tile))"""
+
+
+def sampled_base(fixture: str, every: int) -> str:
+    """fb: all boxes; b: those of ids divisible by `every`; u: the universe of all with the sample's size."""
+    return f"""fb AS MATERIALIZED ({FIXTURES[fixture]}), b AS MATERIALIZED (SELECT * FROM fb WHERE id % {every} = 0),
+u AS (SELECT min(xmin) AS x0, min(ymin) AS y0, max(xmax) AS x1, max(ymax) AS y1, (SELECT count(*) FROM b) AS n FROM fb)"""
+
+
+def scaled(payload: int) -> str:
+    """The payload of a sample, in the sample's own measure."""
+    return f"(SELECT greatest(1, CAST(round({payload}.0 * (SELECT count(*) FROM b) / (SELECT count(*) FROM fb)) AS BIGINT)))"
+
+
+ROUTED_ALL = ROUTED.replace("FROM b, t, u", "FROM fb b, t, u")
+QUALITY_ALL = QUALITY.replace("(SELECT n FROM u)", "(SELECT count(*) FROM fb)")
+
+
 def tiles(fixture: str, layout: str) -> str:
     return f"WITH RECURSIVE {base(fixture)}, {layout} {TILES}"
 

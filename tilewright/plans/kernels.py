@@ -13,6 +13,35 @@ from ..functions.geometry import Box
 Tile = tuple[float, float, float, float, int]
 
 
+class Sorted:
+    """Sorted numbers as distinct values and how many are not above each: no number is repeated in memory.
+
+    Counts may be fractions, as quantiles have them.
+    """
+
+    def __init__(self, values: np.ndarray, counts: np.ndarray | None = None):
+        if counts is None:
+            values, counts = np.unique(np.asarray(values, np.float64), return_counts=True)
+        self.values, self.upto = values, np.cumsum(counts)
+
+    def __len__(self) -> int:
+        return int(round(float(self.upto[-1]))) if len(self.upto) else 0
+
+    def below(self, edge: float) -> float:
+        """How many numbers are below edge."""
+        at = int(np.searchsorted(self.values, edge))
+        return self.upto[at - 1] if at else 0
+
+    def __getitem__(self, rank: float) -> float:
+        """The number of a 0-based rank."""
+        return float(self.values[min(int(np.searchsorted(self.upto, rank, "right")), len(self.values) - 1)])
+
+    def beyond(self, edge: float) -> float | None:
+        """The smallest number above edge."""
+        at = int(np.searchsorted(self.values, edge, "right"))
+        return float(self.values[at]) if at < len(self.values) else None
+
+
 def _centres(b: np.ndarray) -> np.ndarray:
     return (b[:, :2] + b[:, 2:]) / 2
 
@@ -64,12 +93,12 @@ def peel(b: np.ndarray, region: Box, payload: int, axes: tuple[str, ...] = ("x",
 
 def strips(b: np.ndarray, region: Box, payload: int, axis: str = "x", count: str = "live") -> list[Tile]:
     d = 0 if axis == "x" else 1
-    cuts = strip_cuts(np.sort(_centres(b)[:, d]), np.sort(b[:, d + 2]), payload, count)
+    cuts = strip_cuts(Sorted(_centres(b)[:, d]), Sorted(b[:, d + 2]), payload, count)
     return tiles_of_cuts(region, [c for c in cuts if region.low(axis) < c < region.high(axis)], axis)
 
 
-def strip_cuts(centres: np.ndarray, far: np.ndarray, payload: int, count: str = "live", min_fresh: int = 0, edge: float = -np.inf) -> list[float]:
-    """Cuts from sorted centres and sorted far edges.
+def strip_cuts(centres: Sorted, far: Sorted, payload: int, count: str = "live", min_fresh: int = 0, edge: float = -np.inf) -> list[float]:
+    """Cuts from centres and far edges.
 
     live: boxes that reach over a strip's beginning count for it; fresh: only centres in it do.
     min_fresh: a strip takes in at least so many centres.
@@ -77,19 +106,20 @@ def strip_cuts(centres: np.ndarray, far: np.ndarray, payload: int, count: str =
     cuts: list[float] = []
     n = len(centres)
     while True:
-        gone = int(np.searchsorted(far, edge)) if count == "live" else int(np.searchsorted(centres, edge))
+        gone = far.below(edge) if count == "live" else centres.below(edge)
         if n - gone <= payload:
             return cuts
         at = gone + payload
         if min_fresh:
-            at = max(at, int(np.searchsorted(centres, edge)) + min_fresh)
+            at = max(at, centres.below(edge) + min_fresh)
         if at >= n:
             return cuts
-        if centres[at] <= edge:
-            at = int(np.searchsorted(centres, edge, "right"))
-            if at >= n:
+        cut = centres[at]
+        if cut <= edge:
+            cut = centres.beyond(edge)
+            if cut is None:
                 return cuts
-        edge = float(centres[at])
+        edge = cut
         cuts.append(edge)
 
 
@@ -134,7 +164,6 @@ def split_tree(b: np.ndarray, region: Box, payload: int, max_depth: int = 40, ma
 def split_incremental(b: np.ndarray, region: Box, payload: int, max_depth: int = 40) -> list[Tile]:
     """Boxes arrive one by one; a leaf that overflows is cut at the median of what it holds."""
     leaves: list[tuple[Box, list[int], int]] = [(region, [], 0)]
-    c = _centres(b)
 
     def meets(node: Box, i: int) -> bool:
         x0, y0, x1, y1 = b[i]
@@ -155,7 +184,6 @@ def split_incremental(b: np.ndarray, region: Box, payload: int, max_depth: int =
                     own2 += [j for j in own if meets(node2, j)]
                 leaves[k] = halves[0]
                 leaves.append(halves[1])
-    del c
     return [(n.xmin, n.ymin, n.xmax, n.ymax, len(own)) for n, own, _ in leaves]
 
 
@@ -184,26 +212,27 @@ def sort_tiles(b: np.ndarray, region: Box, payload: int, edges: str = "tight") -
     return out
 
 
-def optimal_1d(centres: np.ndarray, far: np.ndarray, near: np.ndarray, tiles: int) -> tuple[list[float], int]:
+def optimal_1d(centres: Sorted, far: Sorted, near: Sorted, tiles: int) -> tuple[list[float], int]:
     """Cuts of at most `tiles` strips at centres whose largest load is least, and that load.
 
-    Binary search on the load; a sweep tells whether it is enough. All arrays are sorted.
+    Binary search on the load; a sweep tells whether it is enough.
     """
-    spots = np.unique(centres)
+    spots = centres.values
+    at = np.searchsorted(near.values, spots)
+    started = np.where(at > 0, near.upto[at - 1], 0)
 
     def sweep(load: int) -> list[float] | None:
         cuts: list[float] = []
         edge = -np.inf
         while True:
-            gone = int(np.searchsorted(far, edge))
+            gone = far.below(edge)
             if len(far) - gone <= load:
                 return cuts
             # The farthest cut c with (boxes beginning before c) - gone <= load.
-            start = np.searchsorted(near, spots)
-            ok = np.flatnonzero((spots > edge) & (start - gone <= load))
-            if not len(ok) or len(cuts) + 1 >= tiles:
+            last = int(np.searchsorted(started, gone + load, "right")) - 1
+            if last < 0 or spots[last] <= edge or len(cuts) + 1 >= tiles:
                 return None
-            edge = float(spots[ok[-1]])
+            edge = float(spots[last])
             cuts.append(edge)
 
     low, high = 0, len(far)

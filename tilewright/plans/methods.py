@@ -23,8 +23,10 @@ from .layout import Layout, make_tiles, packed
 from .ranks import global_rank
 
 MOST_IN_ONE_TASK = 5_000_000
-#: Most distinct coordinates that the driver takes for an exact cut list; beyond it, quantiles.
+#: Most distinct coordinates (with their counts) that the driver takes for an exact recurrence over cuts.
 MOST_CUT_CANDIDATES = 2_000_000
+#: Boxes of a node above which its exact median is found by narrowing brackets, not by one aggregate.
+BRACKETS_ABOVE = 200_000
 
 
 def _measure(boxes: DataFrame, universe: Box | None) -> tuple[Box, int]:
@@ -67,6 +69,57 @@ def _level_stats(work: DataFrame, cut: str) -> list:
     return work.groupBy("node").agg(*aggs).collect()
 
 
+def bracketed_medians(work: DataFrame, sizes: dict[int, int], axis: str, enough: int = BRACKETS_ABOVE) -> dict[int, float]:
+    """Exact lower medians of the centres of large nodes.
+
+    Mergeable quantiles bracket each median, a count below the bracket moves the wanted rank, and only
+    what lies inside is looked at again, until few enough centres are left for one aggregate.
+    """
+    spark = work.sparkSession
+    inside = work.select("node", centre(axis).alias("c"))
+    rank = {k: (n + 1) // 2 for k, n in sizes.items()}
+    while True:
+        table = spark.createDataFrame([(k, int(r), int(sizes[k])) for k, r in rank.items()], "node long, r long, n long")
+        inside = inside.join(small(table.select("node"), len(rank)), "node", "left_semi")
+        if max(sizes.values()) <= enough:
+            break
+        # The median's place among what is left, and a margin around it, as shares.
+        ask = [i / 64 for i in range(65)]
+        found = {r["node"]: r["q"] for r in inside.groupBy("node").agg(F.percentile_approx("c", ask, 10_000).alias("q")).collect()}
+        brackets = []
+        for k, q in found.items():
+            at = (rank[k] - 0.5) / sizes[k] * 64
+            brackets.append((k, float(q[max(0, int(at) - 1)]), float(q[min(64, int(at) + 2)])))
+        table = spark.createDataFrame(brackets, "node long, low double, high double")
+        joined = inside.join(small(table, len(brackets)), "node")
+        counts = joined.groupBy("node").agg(F.count_if(F.col("c") < F.col("low")).alias("below"), F.count_if((F.col("c") >= F.col("low")) & (F.col("c") <= F.col("high"))).alias("n"), F.min("low").alias("low"), F.max("high").alias("high")).collect()
+        flat = {r["node"]: r["low"] for r in counts if r["low"] == r["high"]}
+        for r in counts:
+            k = r["node"]
+            if not r["below"] < rank[k] <= r["below"] + r["n"]:
+                raise AssertionError("a bracket misses its median")
+            rank[k], sizes[k] = rank[k] - r["below"], 1 if k in flat else r["n"]
+        # Of a bracket of one value nothing but that value is needed.
+        inside = joined.filter((F.col("c") >= F.col("low")) & (F.col("c") <= F.col("high"))).withColumn("flat", F.col("low") == F.col("high"))
+        one = inside.filter("flat").select("node", "c").distinct()
+        inside = settled(inside.filter("not flat").select("node", "c").unionByName(one))
+        rank = {k: 1 if k in flat else r for k, r in rank.items()}
+    table = spark.createDataFrame([(k, int(r)) for k, r in rank.items()], "node long, r long")
+    lists = inside.groupBy("node").agg(F.sort_array(F.collect_list("c")).alias("cs"))  # `enough` centres at most
+    return {r["node"]: r["m"] for r in lists.join(small(table, len(rank)), "node").select("node", F.get("cs", (F.col("r") - 1).cast("int")).alias("m")).collect()}
+
+
+def _node_stats(work: DataFrame, cut: str, counts: dict[int, int] | None) -> list[dict]:
+    """_level_stats(), with brackets for the medians of nodes known to be large."""
+    large = {k: n for k, n in (counts or {}).items() if n > BRACKETS_ABOVE} if cut == "median" else {}
+    if not large:
+        return [r.asDict() for r in _level_stats(work, cut)]
+    table = work.sparkSession.createDataFrame([(k,) for k in large], "node long")
+    medians = {a: bracketed_medians(work, dict(large), a) for a in "xy"}
+    out = [{"node": k, "n": n, "mx": medians["x"][k], "my": medians["y"][k]} for k, n in large.items()]
+    return out + [r.asDict() for r in _level_stats(work.join(small(table, len(large)), "node", "left_anti"), cut)]
+
+
 def plan_binary_split(
     boxes: DataFrame, payload: int, *, order: str = "bulk", cut: str = "median", max_depth: int = 40, max_cross: float | None = None, universe: Box | None = None
 ) -> Layout:
@@ -76,20 +129,24 @@ def plan_binary_split(
     areas, x on ties, or `middle`. A node is a leaf, too, if a child would be empty, both would keep
     everything, at max_depth, or if more than max_cross of its boxes would cross the cut.
     order `incremental`: boxes arrive by id and overflowing leaves split at once, in one task.
+
+    Each level is written once, and the counts of the children tell whether a split stands.
     """
     if order == "incremental":
         return _in_one_task(boxes, payload, universe, "binary_split", lambda b, u, p: kernels.split_incremental(b, u, p, max_depth), order=order)
     u, n = _measure(boxes, universe)
     spark = boxes.sparkSession
-    nodes: dict[int, tuple[Box, int]] = {1: (u, 0)}
     leaves: list[tuple] = []
     work = boxes.select("id", *BOX).withColumn("node", F.lit(1).cast("long"))
-    level, name = 0, 1
+    # Open nodes: their box and depth, and the split that made them (parent's number, box, count, depth).
+    nodes: dict[int, tuple[Box, int]] = {1: (u, 0)}
+    counts: dict[int, int] = {1: n}
+    name = 1
     if not n:
         leaves, nodes = [(u.xmin, u.ymin, u.xmax, u.ymax, 0, 0)], {}
     while nodes:
-        plan, split = [], {}
-        for r in _level_stats(work, cut):
+        split: dict[int, tuple] = {}
+        for r in _node_stats(work, cut, counts):
             box, depth = nodes[r["node"]]
             choice = None
             if r["n"] > payload and depth < max_depth:
@@ -101,43 +158,38 @@ def plan_binary_split(
                         if choice is None or f * (1 - f) > choice[0]:
                             choice = (f * (1 - f), axis, float(at))
             if choice:
-                split[r["node"]] = (choice[1], choice[2], r["n"])
+                split[r["node"]] = (choice[1], choice[2], name + 1, name + 2)
+                name += 2
             else:
                 leaves.append((box.xmin, box.ymin, box.xmax, box.ymax, r["n"], depth))
-        if split:
-            # How the cut would part each node's boxes, before any is moved.
-            table = spark.createDataFrame([(k, a, c) for k, (a, c, _) in split.items()], "node long, axis string, cut double")
-            near = F.when(F.col("axis") == "x", F.col("xmin")).otherwise(F.col("ymin"))
-            far = F.when(F.col("axis") == "x", F.col("xmax")).otherwise(F.col("ymax"))
-            joined = work.join(small(table, len(split)), "node")
-            parts = joined.groupBy("node").agg(F.count_if(near < F.col("cut")).alias("left"), F.count_if(far >= F.col("cut")).alias("right"))
-            for r in parts.collect():
-                box, depth = nodes[r["node"]]
-                axis, at, count = split[r["node"]]
-                crossing = r["left"] + r["right"] - count
-                if not r["left"] or not r["right"] or r["left"] == r["right"] == count or (max_cross is not None and crossing > max_cross * count):
-                    leaves.append((box.xmin, box.ymin, box.xmax, box.ymax, count, depth))
-                    del split[r["node"]]
-                    continue
-                if axis == "x":
-                    a, b = Box(box.xmin, box.ymin, at, box.ymax), Box(at, box.ymin, box.xmax, box.ymax)
-                else:
-                    a, b = Box(box.xmin, box.ymin, box.xmax, at), Box(box.xmin, at, box.xmax, box.ymax)
-                plan.append((r["node"], axis, at, name + 1, name + 2))
-                split[r["node"]] = ((name + 1, a), (name + 2, b), depth + 1)
-                name += 2
-        nodes = {}
-        for left, right, depth in (v for v in split.values()):
-            nodes[left[0]], nodes[right[0]] = (left[1], depth), (right[1], depth)
-        if nodes:
-            table = spark.createDataFrame(plan, "node long, axis string, cut double, a long, b long")
-            near = F.when(F.col("axis") == "x", F.col("xmin")).otherwise(F.col("ymin"))
-            far = F.when(F.col("axis") == "x", F.col("xmax")).otherwise(F.col("ymax"))
-            to = F.filter(F.array(F.when(near < F.col("cut"), F.col("a")), F.when(far >= F.col("cut"), F.col("b"))), lambda v: v.isNotNull())
-            work = work.join(small(table, len(plan)), "node").select("id", *BOX, F.explode(to).alias("node"))
-            level += 1
-            if level % 4 == 0:
-                work = settled(work)
+            counts[r["node"]] = r["n"]
+        if not split:
+            break
+        table = spark.createDataFrame([(k, *v) for k, v in split.items()], "node long, axis string, cut double, a long, b long")
+        near = F.when(F.col("axis") == "x", F.col("xmin")).otherwise(F.col("ymin"))
+        far = F.when(F.col("axis") == "x", F.col("xmax")).otherwise(F.col("ymax"))
+        to = F.filter(F.array(F.when(near < F.col("cut"), F.col("a")), F.when(far >= F.col("cut"), F.col("b"))), lambda v: v.isNotNull())
+        work = settled(work.join(small(table, len(split)), "node").select("id", *BOX, F.explode(to).alias("node")))
+        kids = {r["node"]: r["n"] for r in work.groupBy("node").agg(F.count(F.lit(1)).alias("n")).collect()}
+        parents, nodes, undone = nodes, {}, []
+        for k, (axis, at, a, b) in split.items():
+            box, depth = parents[k]
+            left, right, count = kids.get(a, 0), kids.get(b, 0), counts[k]
+            if not left or not right or left == right == count or (max_cross is not None and left + right - count > max_cross * count):
+                leaves.append((box.xmin, box.ymin, box.xmax, box.ymax, count, depth))
+                undone += [a, b]
+            elif axis == "x":
+                nodes[a], nodes[b] = (Box(box.xmin, box.ymin, at, box.ymax), depth + 1), (Box(at, box.ymin, box.xmax, box.ymax), depth + 1)
+            else:
+                nodes[a], nodes[b] = (Box(box.xmin, box.ymin, box.xmax, at), depth + 1), (Box(box.xmin, at, box.xmax, box.ymax), depth + 1)
+        counts = kids
+        # Children that need no cut are leaves at once, and their boxes go no further.
+        for k in [k for k, (_, depth) in nodes.items() if kids[k] <= payload or depth >= max_depth]:
+            box, depth = nodes.pop(k)
+            leaves.append((box.xmin, box.ymin, box.xmax, box.ymax, kids[k], depth))
+            undone.append(k)
+        if undone and nodes:
+            work = work.join(small(spark.createDataFrame([(k,) for k in nodes], "node long"), len(nodes)), "node", "left_semi")
     leaves.sort(key=lambda t: t[:4])
     return make_tiles(spark, u, leaves, "binary_split", payload=payload, cut=cut, max_cross=max_cross)
 
@@ -176,39 +228,69 @@ def plan_quad_split(boxes: DataFrame, payload: int, *, max_depth: int = 30, univ
     return make_tiles(spark, u, leaves, "quad_split", payload=payload)
 
 
-def _sorted_edges(boxes: DataFrame, axis: str, payload: int, n: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Sorted centres, far and near edges: exact if few distinct values, else quantiles of 40 per payload."""
-
-    def values(c) -> np.ndarray:
-        v = boxes.select(c.alias("v")).groupBy("v").agg(F.count(F.lit(1)).alias("n"))
-        got = v.limit(MOST_CUT_CANDIDATES + 1).toPandas()
-        if len(got) > MOST_CUT_CANDIDATES:
-            q = min(MOST_CUT_CANDIDATES, max(1000, 40 * n // payload))
-            cuts = boxes.select(F.percentile_approx(c, [i / q for i in range(1, q + 1)], 10 * q)).first()[0]
-            return np.repeat(np.array(cuts), max(1, n // q))
-        got = got.sort_values("v")
-        return np.repeat(got["v"].to_numpy(np.float64), got["n"].to_numpy())
+def _sorted(boxes: DataFrame, column, quantiles: int | None) -> kernels.Sorted:
+    """The values of a column, in order: distinct ones with counts, or so many quantiles if the caller asks for them."""
+    if quantiles:
+        n, cuts = boxes.agg(F.count(F.lit(1)), F.percentile_approx(column, [i / quantiles for i in range(1, quantiles + 1)], 10 * quantiles)).first()
+        values, times = np.unique(np.array(cuts or [], np.float64), return_counts=True)
+        return kernels.Sorted(values, times * (n / quantiles))
+    got = boxes.select(column.alias("v")).groupBy("v").agg(F.count(F.lit(1)).alias("n")).limit(MOST_CUT_CANDIDATES + 1).toArrow()
+    if got.num_rows > MOST_CUT_CANDIDATES:
+        raise ValueError(f"over {MOST_CUT_CANDIDATES} distinct coordinates: ask for quantiles=, count='fresh', sampled_layout or two_level")
+    got = got.sort_by("v")
+    return kernels.Sorted(got.column("v").to_numpy().astype(np.float64), got.column("n").to_numpy())
 
-    return values(centre(axis)), values(F.col(f"{axis}max")), values(F.col(f"{axis}min"))
 
+def _fresh_cuts(boxes: DataFrame, axis: str, payload: int) -> list[float]:
+    """Plain quantile cuts, exact at any size: every payload-th centre by its distributed rank.
 
-def plan_strip(boxes: DataFrame, payload: int, *, axis: str = "x", count: str = "live", min_fresh: int = 0, universe: Box | None = None) -> Layout:
+    As a cut takes all equal centres with it, the next strip begins at the first of the centres it cuts at.
+    """
+    ranked = global_rank(boxes.select("id", centre(axis).alias("c")), "c", "id")
+    # Centre values that some rank of a multiple of the payload could cut at, with their first rank.
+    runs = settled(ranked.groupBy("c").agg(F.min("rank").alias("first"), F.count(F.lit(1)).alias("n")))
+    total = runs.agg(F.sum("n")).first()[0] or 0
+    if runs.count() <= MOST_CUT_CANDIDATES:
+        got = runs.toArrow().sort_by("c")
+        values = kernels.Sorted(got.column("c").to_numpy().astype(np.float64), got.column("n").to_numpy())
+        return kernels.strip_cuts(values, values, payload, "fresh")
+    # With so many distinct centres a strip is cut where its predecessor's rank says, one query for each stretch of cuts.
+    cuts, gone = [], 0
+    while total - gone > payload:
+        r = runs.filter((F.col("first") <= gone + payload) & (F.col("first") + F.col("n") > gone + payload)).first()
+        if r["first"] <= gone and cuts:
+            r = runs.filter(F.col("first") >= gone + r["n"]).orderBy("first").first()
+            if r is None:
+                break
+        cuts.append(float(r["c"]))
+        gone = r["first"]
+    return cuts
+
+
+def plan_strip(
+    boxes: DataFrame, payload: int, *, axis: str = "x", count: str = "live", min_fresh: int = 0, quantiles: int | None = None, universe: Box | None = None
+) -> Layout:
     """Strips across the other axis, cut at centres, of about `payload` objects each.
 
-    count `live`: objects that reach into a strip from before count; `fresh`: only those whose centre
-    lies in it, which makes the cuts plain quantiles.
+    count `live`: objects that reach into a strip from before count, a recurrence over the distinct
+    coordinates; with more than MOST_CUT_CANDIDATES of them it is refused, unless `quantiles` asks for
+    the recurrence over so many quantiles of centres and edges. `fresh`: only objects whose centre lies
+    in the strip count, which makes the cuts plain quantiles of distributed ranks.
     """
-    u, n = _measure(boxes, universe)
-    centres, far, _ = _sorted_edges(boxes, axis, payload, n)
-    cuts = kernels.strip_cuts(centres, far, payload, count, min_fresh)
+    u, _ = _measure(boxes, universe)
+    if count == "fresh" and not quantiles and not min_fresh:
+        cuts = _fresh_cuts(boxes, axis, payload)
+    else:
+        centres, far = (_sorted(boxes, c, quantiles) for c in (centre(axis), F.col(f"{axis}max")))
+        cuts = kernels.strip_cuts(centres, far, payload, count, min_fresh)
     tiles = kernels.tiles_of_cuts(u, [c for c in cuts if u.low(axis) < c < u.high(axis)], axis)
     return make_tiles(boxes.sparkSession, u, tiles, "strip", axis=axis, count=count, payload=payload)
 
 
-def plan_optimal_1d(boxes: DataFrame, tiles: int, *, axis: str = "x", universe: Box | None = None) -> Layout:
+def plan_optimal_1d(boxes: DataFrame, tiles: int, *, axis: str = "x", quantiles: int | None = None, universe: Box | None = None) -> Layout:
     """At most `tiles` strips whose largest load (replicas included) is as small as cuts at centres allow."""
-    u, n = _measure(boxes, universe)
-    centres, far, near = _sorted_edges(boxes, axis, max(1, n // tiles), n)
+    u, _ = _measure(boxes, universe)
+    centres, far, near = (_sorted(boxes, c, quantiles) for c in (centre(axis), F.col(f"{axis}max"), F.col(f"{axis}min")))
     cuts, load = kernels.optimal_1d(centres, far, near, tiles)
     out = kernels.tiles_of_cuts(u, [c for c in cuts if u.low(axis) < c < u.high(axis)], axis)
     return make_tiles(boxes.sparkSession, u, out, "optimal_1d", axis=axis, load=load)
@@ -274,10 +356,12 @@ def sort_tile_members(boxes: DataFrame, payload: int, fill: str, n: int) -> Data
     ranked = global_rank(keyed, "cx", "id", parts=m if m > 1 else 2)
     per = m * payload if fill == "packed" else max(1, -(-n // m))
     slabs = ranked.withColumn("slab", F.floor(F.col("rank") / per).cast("int"))
+    # A slab holds about sqrt(n * payload) objects.
     w = Window.partitionBy("slab").orderBy("cy", "id")
     in_slab = F.row_number().over(w) - 1
     tile = F.floor(in_slab / payload) if fill == "packed" else F.floor(in_slab / max(1, -(-per // m)))
-    return slabs.withColumn("home_tile", (F.col("slab") * 100_000 + tile).cast("int"))
+    per_slab = -(-per // payload) + 1 if fill == "packed" else m + 1
+    return slabs.withColumn("home_tile", (F.col("slab").cast("long") * per_slab + tile).cast("long"))
 
 
 def plan_sort_tile(boxes: DataFrame, payload: int, *, fill: str = "packed", edges: str = "tight", universe: Box | None = None) -> Layout:
@@ -308,8 +392,10 @@ def plan_sort_tile(boxes: DataFrame, payload: int, *, fill: str = "packed", edge
 
 
 def plan_hash(boxes: DataFrame, tiles: int) -> DataFrame:
-    """Conventional hash partitioning: only its balance can be measured, as its tiles have no extent."""
-    return boxes.withColumn("tile_id", F.pmod(F.xxhash64("id"), F.lit(tiles)).cast("int"))
+    """Conventional hash partitioning (by a digest of the id's text, which other engines have, too):
+    only its balance can be measured, as its tiles have no extent."""
+    first = F.conv(F.substring(F.md5(F.col("id").cast("string")), 1, 8), 16, 10).cast("long")
+    return boxes.withColumn("tile_id", (first % tiles).cast("int"))
 
 
 def plan_range(boxes: DataFrame, tiles: int, axis: str = "x") -> DataFrame:

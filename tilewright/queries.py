@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import costmodel, measures, oracles
+from . import costmodel, measures, oracles, store
 from .functions.geometry import BOX, Box, universe
 from .functions.wkt import boxes_of_wkt, diamond_wkt, geometry_type
 from .operators import query as staged_query
@@ -126,26 +126,76 @@ _layout("zcurve_tiles_even", "even", oracles.curve_pack(150, "z"), lambda b: met
 _layout("gray_tiles_even", "even", oracles.curve_pack(150, "gray"), lambda b: methods.plan_curve_pack(b, 150, curve="gray"), None)
 _layout("sorttile_tiles_even", "even", oracles.sort_tile(150), lambda b: methods.plan_sort_tile(b, 150), True)
 _layout("sorttile_tiles_skew", "skew", oracles.sort_tile(100), lambda b: methods.plan_sort_tile(b, 100), True)
+_layout("sorttile_even_fill", "even", oracles.sort_tile_even(150), lambda b: methods.plan_sort_tile(b, 150, fill="even"), None)
+_layout("grid_nonsquare_even", "even", oracles.grid_xy(12, 7), lambda b: methods.plan_fixed_grid(b, cells=(12, 7)), False)
+_layout("hilbert_order8_even", "even", oracles.curve_pack(150, order=8), lambda b: methods.plan_curve_pack(b, 150, order=8), None)
+_layout("twolevel_grid_tiles_even", "even", oracles.grid(150), lambda b: twolevel.two_level(b, 150, "grid"), None)
+_layout("twolevel_hilbert_tiles_even", "even", oracles.curve_pack(150), lambda b: twolevel.two_level(b, 150, "hilbert"), None)
+ANCHORS = [0.0, 600_000.0, 1_200_000.0]
+_layout("twolevel_sorttile_tiles_even", "even", oracles.sort_tile_in_buckets(150, ANCHORS), lambda b: twolevel.two_level(b, 150, "sort_tile", cuts=ANCHORS), True)
 _layout("sorttile_slab_even", "even", oracles.sort_tile(150, "slab"), lambda b: methods.plan_sort_tile(b, 150, edges="slab"), None)
 
-SWEEP = [("grid", 300, oracles.grid(300), oracles.GRID_ROUTED), ("grid", 750, oracles.grid(750), oracles.GRID_ROUTED)] + [
+SWEEP = [
     (name, b, make(b), routed)
-    for b in (300, 750)
-    for name, make, routed in (("strip", oracles.strip, oracles.ROUTED), ("binary", lambda b: oracles.binary(b, 9), oracles.ROUTED), ("hilbert", oracles.curve_pack, oracles.ROUTED_CLOSED), ("sort_tile", oracles.sort_tile, oracles.ROUTED_CLOSED))
-]
+    for b in (300, 750, 1500)
+    for name, make, routed in (
+        ("grid", oracles.grid, oracles.GRID_ROUTED), ("strip", oracles.strip, oracles.ROUTED), ("binary", lambda b: oracles.binary(b, 9), oracles.ROUTED),
+        ("hilbert", oracles.curve_pack, oracles.ROUTED_CLOSED), ("sort_tile", oracles.sort_tile, oracles.ROUTED_CLOSED),
+    )
+] + [("least_cut", 1500, oracles.least_cut(1500, 13), oracles.ROUTED)]
 
 
-@register("quality_sweep", " UNION ALL ".join(
-    f"SELECT '{m}' AS method, {b} AS payload, k, \"lambda\", sigma FROM (WITH RECURSIVE {oracles.base('even')}, {sql}, {routed}, {oracles.LOADS} {oracles.QUALITY})" for m, b, sql, routed in SWEEP))
-def quality_sweep(spark: SparkSession, d: str) -> DataFrame:
-    boxes = fixtures.even_boxes(spark, d).persist()
-    out = None
-    for m, b, *_ in SWEEP:
+def _sweep_sql(fixture: str, sweep: list) -> str:
+    return " UNION ALL ".join(
+        f"SELECT '{m}' AS method, {b} AS payload, k, \"lambda\", sigma FROM (WITH RECURSIVE {oracles.base(fixture)}, {sql}, {routed}, {oracles.LOADS} {oracles.QUALITY})" for m, b, sql, routed in sweep
+    )
+
+
+def _swept(boxes: DataFrame, sweep: list) -> DataFrame:
+    boxes, out = boxes.persist(), None
+    for m, b, *_ in sweep:
         q = _quality(boxes, methods.PLANS[m](boxes, b)).select(F.lit(m).alias("method"), F.lit(b).alias("payload"), "k", "lambda", "sigma")
         out = q if out is None else out.unionByName(q)
     return out
 
 
+@register("quality_sweep", _sweep_sql("even", SWEEP))
+def quality_sweep(spark: SparkSession, d: str) -> DataFrame:
+    """lambda and sigma of the methods over payloads."""
+    return _swept(fixtures.even_boxes(spark, d), SWEEP)
+
+
+SWEEP_SKEW = [x for x in SWEEP if x[0] not in ("binary", "least_cut") and x[1] < 1500]
+
+
+@register("quality_sweep_skew", _sweep_sql("skew", SWEEP_SKEW))
+def quality_sweep_skew(spark: SparkSession, d: str) -> DataFrame:
+    return _swept(fixtures.skew_boxes(spark, d), SWEEP_SKEW)
+
+
+@register("advice_even", f"""WITH q AS MATERIALIZED ({_sweep_sql("even", SWEEP)})
+SELECT payload, 'sigma' AS criterion, arg_min(method, sigma) AS method FROM q GROUP BY payload UNION ALL SELECT payload, 'lambda', arg_min(method, "lambda") FROM q GROUP BY payload""")
+def advice_even(spark: SparkSession, d: str) -> DataFrame:
+    """The method of least sigma and of least lambda per payload."""
+    q = store.settled(_swept(fixtures.even_boxes(spark, d), SWEEP))
+    best = [q.groupBy("payload").agg(F.min_by("method", c).alias("method")).select("payload", F.lit(c).alias("criterion"), "method") for c in ("sigma", "lambda")]
+    return best[0].unionByName(best[1])
+
+
+_SIX = {"grid": oracles.grid(4), "binary": oracles.binary(4, 8), "strip": oracles.strip(4), "least_cut": oracles.least_cut(4, 16), "hilbert": oracles.curve_pack(4), "sort_tile": oracles.sort_tile(4)}
+
+
+@register("layouts_of_32", " UNION ALL ".join(
+    f"SELECT '{m}' AS method, * FROM (WITH RECURSIVE b AS MATERIALIZED (SELECT * FROM ({oracles.EVEN}) ORDER BY id LIMIT 32), {oracles.U}, {sql} {oracles.TILES})" for m, sql in _SIX.items()))
+def layouts_of_32(spark: SparkSession, d: str) -> DataFrame:
+    """The six layouts of 32 boxes, four to a tile."""
+    boxes, out = fixtures.toy_32(spark, d).persist(), None
+    for m in _SIX:
+        t = _tiles(methods.PLANS[m](boxes, 4)).select(F.lit(m).alias("method"), "*")
+        out = t if out is None else out.unionByName(t)
+    return out
+
+
 def _join(name: str, fixture: str, method: str, payload: int, sql: str | None = None, plan: dict | None = None, **opts) -> None:
     @register(name, sql or oracles.join(fixture))
     def run(spark: SparkSession, d: str) -> DataFrame:
@@ -292,11 +342,33 @@ _twolevel("twolevel_sorttile_even", "even", "sort_tile", 150, 4000, "x")
 _twolevel("twolevel_strip_hilbert_even", "even", "strip", 150, 4000, "hilbert")
 
 
-@register("sample_strip_skew", f"""WITH RECURSIVE full_boxes AS MATERIALIZED ({oracles.SKEW}), fu AS (SELECT min(xmin) AS x0, min(ymin) AS y0, max(xmax) AS x1, max(ymax) AS y1 FROM full_boxes),
-b AS MATERIALIZED (SELECT * FROM full_boxes WHERE id % 20 = 0), u AS (SELECT fu.*, (SELECT count(*) FROM b) AS n FROM fu), {oracles.strip(5)} {oracles.TILES}""")
-def sample_strip_skew(spark: SparkSession, d: str) -> DataFrame:
-    boxes = fixtures.skew_boxes(spark, d)
-    return _tiles(sampling.sampled_layout(boxes, 100, "strip", sample=boxes.filter(F.col("id") % 20 == 0)))
+def _sample_tiles(name: str, fixture: str, method: str, payload: int, every: int, make: Callable[[str], str]) -> None:
+    """The tiles of the layout of the boxes whose id is divisible by `every`."""
+
+    @register(name, f"WITH RECURSIVE {oracles.sampled_base(fixture, every)}, {make(oracles.scaled(payload))} {oracles.TILES}")
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        boxes = fixtures.FIXTURES[fixture](spark, d)
+        return _tiles(sampling.sampled_layout(boxes, payload, method, sample=boxes.filter(F.col("id") % every == 0)))
+
+
+_sample_tiles("sample_strip_skew", "skew", "strip", 100, 20, oracles.strip)
+_sample_tiles("sample_binary_even", "even", "binary", 500, 4, lambda b: oracles.binary(b, 9))
+
+RATIOS = (20, 10, 4, 1)
+
+
+@register("sampling_quality_even", " UNION ALL ".join(
+    f"SELECT '{m}' AS method, {e} AS every, k, \"lambda\", sigma FROM (WITH RECURSIVE {oracles.sampled_base('even', e)}, {make(oracles.scaled(500))}, {oracles.ROUTED_ALL}, {oracles.LOADS} {oracles.QUALITY_ALL})"
+    for e in RATIOS for m, make in (("strip", oracles.strip), ("binary", lambda b: oracles.binary(b, 9)))))
+def sampling_quality_even(spark: SparkSession, d: str) -> DataFrame:
+    """lambda and sigma of all boxes in layouts of ever larger samples."""
+    boxes, out = fixtures.even_boxes(spark, d).persist(), None
+    for e in RATIOS:
+        for m in ("strip", "binary"):
+            layout = sampling.sampled_layout(boxes, 500, m, sample=boxes.filter(F.col("id") % e == 0))
+            q = _quality(boxes, layout).select(F.lit(m).alias("method"), F.lit(e).alias("every"), "k", "lambda", "sigma")
+            out = q if out is None else out.unionByName(q)
+    return out
 
 
 def _sampled(name: str, fixture: str, method: str, payload: int, **opts) -> None:
@@ -329,11 +401,67 @@ def hash_range_balance(spark: SparkSession, d: str) -> DataFrame:
     return methods.plan_range(fixtures.skew_boxes(spark, d), 16).groupBy("tile_id").agg(F.count(F.lit(1)).alias("payload"))
 
 
-@register("hash_balance_skew")
+@register("hash_balance_skew", f"SELECT CAST(CAST('0x' || substr(md5(CAST(id AS VARCHAR)), 1, 8) AS BIGINT) % 16 AS INTEGER) AS tile_id, count(*) AS payload FROM ({oracles.SKEW}) GROUP BY 1")
 def hash_balance_skew(spark: SparkSession, d: str) -> DataFrame:
     return methods.plan_hash(fixtures.skew_boxes(spark, d), 16).groupBy("tile_id").agg(F.count(F.lit(1)).alias("payload"))
 
 
+@register("optimal_1d_toy", f"""WITH b AS MATERIALIZED (SELECT * FROM ({oracles.EVEN}) ORDER BY id LIMIT 32), c AS (SELECT DISTINCT (xmin + xmax) / 2 AS c FROM b),
+p AS (SELECT c1.c AS a, c2.c AS z FROM c c1 JOIN c c2 ON c1.c < c2.c)
+SELECT min(greatest(l, m, r)) AS load FROM (SELECT a, z, count(*) FILTER (xmin < a) AS l, count(*) FILTER (xmin < z AND xmax >= a) AS m, count(*) FILTER (xmax >= z) AS r FROM p, b GROUP BY a, z)""")
+def optimal_1d_toy(spark: SparkSession, d: str) -> DataFrame:
+    """The largest load of the best three strips of 32 boxes; the SQL tries all pairs of cuts."""
+    boxes = fixtures.toy_32(spark, d)
+    layout = methods.plan_optimal_1d(boxes, 3)
+    return measures.payloads(route.explode_tiles(boxes, layout), layout).agg(F.max("payload").alias("load"))
+
+
+@register("alpha_per_tile_span", f"""WITH {oracles.base('span')}, {oracles.grid(40)}, {oracles.GRID_ROUTED},
+h AS (SELECT b.id, CAST(greatest(0, least(m - 1, CAST(floor(((ymin + ymax) / 2 - y0) * m / h) AS BIGINT))) * m + greatest(0, least(m - 1, CAST(floor(((xmin + xmax) / 2 - x0) * m / w) AS BIGINT))) AS INTEGER) AS home FROM b, g)
+SELECT a.tile_id, round(count(*) FILTER (a.tile_id <> h.home) / ((SELECT n FROM u) / (SELECT CAST(count(*) AS DOUBLE) FROM t)), 6) AS alpha FROM a JOIN h USING (id) GROUP BY a.tile_id""")
+def alpha_per_tile_span(spark: SparkSession, d: str) -> DataFrame:
+    """The share of replicas in each tile."""
+    boxes = fixtures.span_boxes(spark, d)
+    found = measures.replica_share_per_tile(boxes, methods.plan_fixed_grid(boxes, 40))
+    return found.select("tile_id", F.round("alpha", 6).alias("alpha"))
+
+
+@register("fullest_tiles_skew", f"WITH {oracles.base('skew')}, {oracles.grid(100)}, {oracles.GRID_ROUTED}, {oracles.LOADS} SELECT tile_id, payload FROM p ORDER BY payload DESC, tile_id LIMIT 10")
+def fullest_tiles_skew(spark: SparkSession, d: str) -> DataFrame:
+    """The ten fullest tiles."""
+    boxes = fixtures.skew_boxes(spark, d)
+    layout = methods.plan_fixed_grid(boxes, 100)
+    return measures.fullest(measures.payloads(route.explode_tiles(boxes, layout), layout))
+
+
+@register("join_difference_skew", f"SELECT 0::BIGINT AS missing, 0::BIGINT AS extra, count(*) AS pairs FROM ({oracles.join('skew')})")
+def join_difference_skew(spark: SparkSession, d: str) -> DataFrame:
+    """Pairs of the tile join that the nested loop lacks, and the other way round."""
+    r, s = fixtures.halves(fixtures.skew_boxes(spark, d))
+    found = tilejoin.join(r, s, methods.plan_joint(r, s, "strip", 200))
+    want = store.settled(tilejoin.brute_force(r, s))
+    diff = tilejoin.pair_difference(found, want)
+    return diff.agg(F.count_if(F.col("only_in") == "right").alias("missing"), F.count_if(F.col("only_in") == "left").alias("extra")).join(want.agg(F.count(F.lit(1)).alias("pairs")), F.lit(True))
+
+
+@register("model_and_work_even", " UNION ALL ".join(
+    f"""SELECT {c} AS cells, k, round(alpha, 6) AS alpha, round((1 + alpha) * (1 + alpha) * nr * ns / k + 2.0 * (nr + ns), 3) AS model, work, largest FROM (
+WITH {oracles.base('even')}, {oracles.grid(cells=c)}, {oracles.GRID_ROUTED}, w AS (SELECT tile_id, count(*) FILTER (id % 2 = 0) AS r, count(*) FILTER (id % 2 = 1) AS s FROM a GROUP BY 1)
+SELECT (SELECT count(*) FROM t) AS k, (SELECT count(*) FROM a) / (SELECT CAST(n AS DOUBLE) FROM u) - 1 AS alpha, (SELECT CAST(count(*) AS DOUBLE) FROM b WHERE id % 2 = 0) AS nr, (SELECT CAST(count(*) AS DOUBLE) FROM b WHERE id % 2 = 1) AS ns,
+  CAST(sum(r * s) AS BIGINT) AS work, max(r * s) AS largest FROM w)""" for c in (4, 8, 16, 32)))
+def model_and_work_even(spark: SparkSession, d: str) -> DataFrame:
+    """The closed model beside the comparisons that a nested tile join makes, over grids."""
+    boxes = fixtures.even_boxes(spark, d).persist()
+    r, s = fixtures.halves(boxes)
+    nr, ns, rows = r.count(), s.count(), []
+    for cells in (4, 8, 16, 32):
+        layout = methods.plan_fixed_grid(boxes, cells=cells)
+        alpha = measures.quality(boxes, layout).first()["lambda"]
+        done = costmodel.realised(r, s, layout).first()
+        rows.append((cells, layout.count, round(alpha, 6), round(costmodel.join_cost(nr, ns, layout.count, alpha, 2.0), 3), done["work"], done["largest"]))
+    return spark.createDataFrame(rows, "cells int, k long, alpha double, model double, work long, largest long")
+
+
 @register("taxonomy", """SELECT * FROM (VALUES ('binary_split', 'non-overlapping', 'top-down', 'space'), ('fixed_grid', 'non-overlapping', 'n/a', 'space'), ('strip', 'non-overlapping', 'bottom-up', 'data'),
 ('least_cut_strip', 'non-overlapping', 'bottom-up', 'data'), ('sort_tile', 'overlapping', 'bottom-up', 'data'), ('curve_pack', 'overlapping', 'bottom-up', 'data')) t(method, boundary, search, criterion)""")
 def taxonomy(spark: SparkSession, d: str) -> DataFrame:
@@ -375,6 +503,36 @@ def stream_tile_load(spark: SparkSession, d: str) -> DataFrame:
     return tileload.tile_load(points, layout, "1 day").withColumn("window_start", F.col("window_start").cast("timestamp_ntz"))
 
 
+_POINTS = """p AS (SELECT event_id AS id, ts, CAST(hour(ts) * 60 + minute(ts) AS DOUBLE) AS x, round(value * 100) AS y FROM events),
+u AS (SELECT min(x) AS x0, min(y) AS y0, max(x) - min(x) AS w, max(y) - min(y) AS h FROM p),
+q AS (SELECT id, ts, CAST(least(1, CAST(floor((y - y0) * 2 / h) AS BIGINT)) * 2 + least(1, CAST(floor((x - x0) * 2 / w) AS BIGINT)) AS INTEGER) AS tile_id FROM p, u)"""
+
+
+@register("session_load", f"""WITH {_POINTS}, s AS (SELECT tile_id, ts, CASE WHEN ts - lag(ts) OVER (PARTITION BY tile_id ORDER BY ts) < INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS new FROM q),
+g AS (SELECT tile_id, ts, sum(new) OVER (PARTITION BY tile_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM s)
+SELECT min(ts) AS session_start, max(ts) + INTERVAL 30 MINUTE AS session_end, tile_id, count(*) AS load FROM g GROUP BY tile_id, k""")
+def session_load(spark: SparkSession, d: str) -> DataFrame:
+    """Sessions of activity per tile, the streaming plan as a batch."""
+    points = tileload.event_points(fixtures.read(spark, d, "events"))
+    found = tileload.session_load(points, methods.plan_fixed_grid(points, cells=2))
+    return found.withColumns({c: F.col(c).cast("timestamp_ntz") for c in ("session_start", "session_end")})
+
+
+@register("late_points", """SELECT count(*) FILTER (floor(epoch(top)) - floor(epoch(ts)) > 3600) AS late, count(*) AS points FROM (
+SELECT ts, max(ts) OVER (ORDER BY event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS top FROM events)""")
+def late_points(spark: SparkSession, d: str) -> DataFrame:
+    """Points over an hour behind the latest before them, in order of arrival."""
+    return tileload.late_share(tileload.event_points(fixtures.read(spark, d, "events")), bin_ids=100)
+
+
+@register("latest_layout_even", f"WITH {oracles.base('even')}, {oracles.grid(cells=5)} SELECT 2 AS version, tile_id, xmin, ymin, xmax, ymax FROM t")
+def latest_layout_even(spark: SparkSession, d: str) -> DataFrame:
+    """Of two versions of a layout, the newer one."""
+    boxes = fixtures.even_boxes(spark, d)
+    old, new = (methods.plan_fixed_grid(boxes, cells=c).tiles.withColumn("version", F.lit(v)) for v, c in ((1, 4), (2, 5)))
+    return tileload.latest_layouts(old.unionByName(new))
+
+
 @register("balance_cube", f"""WITH {oracles.base('even')}, {oracles.grid(150)}, {oracles.GRID_ROUTED}, {oracles.LOADS}
 SELECT tile_id // 10 AS band, payload > 150 AS over, count(*) AS tiles, CAST(sum(payload) AS BIGINT) AS objects FROM p GROUP BY CUBE (tile_id // 10, payload > 150)""")
 def balance_cube(spark: SparkSession, d: str) -> DataFrame:
@@ -389,7 +547,7 @@ def balance_cube(spark: SparkSession, d: str) -> DataFrame:
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Skewed boxes joined by parity over a sampled, boundary-optimised layout."""
     boxes = fixtures.skew_boxes(spark, sf_dir)
-    layout = sampling.sampled_layout(boxes, 100, "least_cut", ratio=0.5)
+    layout = sampling.sampled_layout(boxes, 100, "least_cut", size=20_000)
     return tilejoin.join(*fixtures.halves(boxes), layout)
 
 

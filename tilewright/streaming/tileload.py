@@ -70,15 +70,21 @@ def distinct_objects(points: DataFrame, late: str = "1 hour") -> DataFrame:
     return points.withWatermark("ts", late).dropDuplicatesWithinWatermark(["id"])
 
 
-def late_share(points: DataFrame, late_seconds: int = 3600) -> DataFrame:
+def late_share(points: DataFrame, late_seconds: int = 3600, bin_ids: int = 3600) -> DataFrame:
     """How many points arrive over late_seconds behind the latest before them, in id (arrival) order:
-    those a watermark of that delay may drop. Arrival is cut into hours, so no window spans all rows."""
+    those a watermark of that delay may drop. Ids are cut into bins, and bins into bins of bins, until
+    one row is left: no window spans more than `bin_ids` bins."""
     from pyspark.sql.window import Window
 
-    hourly = points.withColumn("bin", F.floor(F.col("id") / 3600))
-    tops = hourly.groupBy("bin").agg(F.max("ts").alias("top"))
-    earlier = tops.withColumn("before", F.max("top").over(Window.orderBy("bin").rowsBetween(Window.unboundedPreceding, -1)))  # one row per bin
-    both = hourly.join(earlier.select("bin", "before"), "bin")
+    levels = [points.select("id", "ts").groupBy(F.floor(F.col("id") / bin_ids).alias("bin")).agg(F.max("ts").alias("top"))]
+    for _ in range(5):  # bin_ids ** 6 is beyond any id
+        levels.append(levels[-1].groupBy(F.floor(F.col("bin") / bin_ids).alias("bin")).agg(F.max("top").alias("top")))
+    before = levels[-1].select("bin", F.lit(None).cast("timestamp").alias("before"))
+    for level in reversed(levels[:-1]):
+        parts = level.withColumn("up", F.floor(F.col("bin") / bin_ids)).join(before.withColumnRenamed("bin", "up"), "up", "left")
+        w = Window.partitionBy("up").orderBy("bin").rowsBetween(Window.unboundedPreceding, -1)
+        before = parts.select("bin", F.greatest(F.max("top").over(w), "before").alias("before"))
+    both = points.withColumn("bin", F.floor(F.col("id") / bin_ids)).join(before, "bin", "left")
     running = F.max("ts").over(Window.partitionBy("bin").orderBy("id").rowsBetween(Window.unboundedPreceding, -1))
     seen = F.greatest(running, F.col("before"))
     return both.select((seen.cast("long") - F.col("ts").cast("long") > late_seconds).alias("late")).agg(F.count_if("late").alias("late"), F.count(F.lit(1)).alias("points"))
