@@ -278,14 +278,58 @@ def exact_copies(texts, n=50):
     return out
 
 
-def missed_words(spark, texts):
+def missed_words(spark, texts, **how):
     """By document, the copied words that no passage holds."""
     left = exact_copies(texts)
-    for r in substring.repeated_passages(docs_of(spark, texts)).collect():
+    for r in substring.repeated_passages(docs_of(spark, texts), **how).collect():
+        assert r.a < r.b and r.identity >= 0.8 and min(r.a_end - r.a_start, r.b_end - r.b_start) >= 50
         left[r.b] -= set(range(r.b_start, r.b_end))
     return {i: len(x) for i, x in enumerate(left) if x}
 
 
+def test_overlapping_parts_and_hot_seeds(spark):
+    rng = np.random.default_rng(12)
+    p = [f"w{i}" for i in rng.integers(0, 10**6, 400)]
+    prose = lambda n: [f"w{i}" for i in rng.integers(2 * 10**6, 10**7, n)]
+    parts = [[*prose(9), *p[a : a + 36], *prose(9)] for a in range(0, 380, 19)]
+    texts = [" ".join(x) for x in (*parts, [*prose(7), *p, *prose(5)], [*prose(30), *p, *prose(50)], prose(80))]
+    assert not missed_words(spark, texts) and not missed_words(spark, texts, hot_in_batch=2)
+    # Near copies: one row or so for each, whatever the group's size.
+    near = [" ".join(w if rng.random() > 0.04 else f"x{rng.integers(10**6)}" for w in p[:150]) for _ in range(60)]
+    for how in ({}, {"hot_in_batch": 2}):
+        got = substring.repeated_passages(docs_of(spark, near), **how).collect()
+        assert {r.b for r in got} == set(range(1, 60)) and len(got) < 60 * 4
+
+
+def test_random_passages_against_all_pairs(spark):
+    """Every planted fuzzy copy that an alignment of all pairs of documents shows is told, for some earlier document."""
+    rng = np.random.default_rng(13)
+    word = lambda: f"w{rng.integers(10**6)}"
+    pool = [[word() for _ in range(rng.integers(55, 120))] for _ in range(5)]
+    texts, planted = [], []
+    for i in range(24):
+        out, spots = [], []
+        for k in rng.permutation(5)[: rng.integers(0, 3)]:
+            out += [word() for _ in range(rng.integers(5, 40))]
+            copy = [w if rng.random() > 0.05 else word() for w in pool[k]]
+            spots.append((int(k), len(out), len(out) + len(copy)))
+            out += copy
+        texts.append(" ".join([*out, *(word() for _ in range(20))]))
+        planted.append(spots)
+    found = substring.repeated_passages(docs_of(spark, texts)).collect()
+    seen, hit, total = set(), 0, 0
+    for i, spots in enumerate(planted):
+        for k, a, b in spots:
+            if k in seen:
+                total += 1
+                covered = set().union(*(range(r.b_start, r.b_end) for r in found if r.b == i))
+                hit += len(covered & set(range(a, b))) >= 0.8 * (b - a)
+        seen |= {k for k, *_ in spots}
+    assert total > 10 and hit >= 0.95 * total
+    clean = {i for i, spots in enumerate(planted) if not spots}
+    assert not {r.b for r in found} & clean
+
+
 def test_passages_that_no_hub_holds(spark):
     rng = np.random.default_rng(8)
 
