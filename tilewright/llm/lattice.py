@@ -32,7 +32,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import identified, materialize, original, texts
-from .textkit import U, char_hash, column_bytes, distinct, mix, powers, slices
+from .textkit import U, char_hash, column_bytes, distinct, mix, powers, slices, trimmed
 
 MARK = "▁"
 #: Most units whose ids are broadcast.
@@ -281,7 +281,7 @@ def unit_counts(docs: DataFrame, model: str) -> DataFrame:
                 which, at = distinct(u.hash[short])
                 yield pa.RecordBatch.from_arrays([pa.array([u[k] for k in short[at].tolist()], pa.string()), pa.array(np.bincount(which, minlength=len(at)))], ["unit", "n"])
 
-    return texts(docs).mapInArrow(count, "unit string, n long").groupBy("unit").agg(F.sum("n").alias("n"))
+    return texts(docs).mapInArrow(trimmed(count), "unit string, n long").groupBy("unit").agg(F.sum("n").alias("n"))
 
 
 _state: dict[str, tuple] = {}
@@ -433,13 +433,13 @@ def encoded(docs: DataFrame, model: str, head: int = HEAD_UNITS, fold=merge_fold
                 ok.append(xxhash.xxh3_64_intdigest(table.bytes_of(got)) == want)
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(n, pa.int64()), pa.array(ids, pa.list_(pa.int32())), pa.array(ok, pa.bool_())], ["__row_id", "n_pieces", "ids", "round_trip"])
 
-    rows = texts(t).mapInArrow(encode, "doc_id long, digest long, ids array<int>")
+    rows = texts(t).mapInArrow(trimmed(encode), "doc_id long, digest long, ids array<int>")
     if total < sum(sizes.values()) or here < total:
         left = codes if here < total else codes.filter(~often)
-        gaps = texts(t).mapInArrow(rare, "doc_id long, turn int, unit string").join(left.select("unit", "ids"), "unit")
+        gaps = texts(t).mapInArrow(trimmed(rare), "doc_id long, turn int, unit string").join(left.select("unit", "ids"), "unit")
         fills = gaps.groupBy("doc_id").agg(F.sort_array(F.collect_list(F.struct("turn", "ids"))).alias("fills"))
         rows = rows.join(fills, "doc_id", "left")
-    out = rows.mapInArrow(fill, "__row_id long, n_pieces long, ids array<int>, round_trip boolean")
+    out = rows.mapInArrow(trimmed(fill), "__row_id long, n_pieces long, ids array<int>, round_trip boolean")
     return original(out, again).select(F.col("orig").alias("doc_id"), "n_pieces", "ids", "round_trip")
 
 

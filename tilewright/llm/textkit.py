@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
 from collections.abc import Iterator
 
 import numpy as np
@@ -42,6 +44,20 @@ P = U(0x9E3779B97F4A7C15 | 1)
 P_INV = U(pow(int(P), -1, 2**64))
 
 
+def trimmed(found):
+    """A batch function whose worker gives the memory it no longer uses back to the system when its task ends."""
+
+    def run(batches):
+        try:
+            yield from found(batches)
+        finally:
+            pa.default_memory_pool().release_unused()
+            with contextlib.suppress(OSError, AttributeError):
+                ctypes.CDLL(None).malloc_trim(0)
+
+    return run
+
+
 _powers = [np.ones(1, U), np.ones(1, U)]
 _char_hash: list[np.ndarray] = []
 
