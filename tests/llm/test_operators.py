@@ -3,7 +3,7 @@
 import hashlib
 import re
 import zlib
-from collections import defaultdict
+from collections import Counter, defaultdict
 
 import numpy as np
 import pyarrow as pa
@@ -184,6 +184,41 @@ def test_patterns_hold_every_length_once():
     assert used / room > 0.99
 
 
+def test_patterns_are_those_of_piece_by_piece_packing():
+    rng = np.random.default_rng(11)
+    for trial in range(12):
+        capacity = int(rng.integers(20, 200))
+        sizes = rng.permutation(np.arange(1, capacity + 1))[: rng.integers(1, 15)]
+        counts = {int(k): int(v) for k, v in zip(sizes, rng.integers(1, 400 if trial % 2 else 5, len(sizes)))}
+        packs = []
+        for length in sorted(counts, reverse=True):
+            for _ in range(counts[length]):
+                low = min(packs, default=capacity)
+                if low + length <= capacity:
+                    packs.remove(low)
+                    packs.append(low + length)
+                else:
+                    packs.append(length)
+        got = []
+        for pattern, n in packing.pack_histogram(counts, capacity):
+            got += [sum(k * t for k, t in pattern)] * n
+        assert sorted(got) == sorted(packs)
+
+
+def test_ids_are_the_tokenizers(spark):
+    """Whatever stands in a text: added tokens, contractions, blanks, scripts."""
+    import random
+
+    from tokenizers import Tokenizer
+
+    random.seed(1)
+    parts = list("ab Z1'’.,!st mdrvel  \n\t\xa0é漢🙂١́") + ["<|endoftext|>", "'s", "'t", "  ", "\n\n", " '", "ll", "▁", " "]
+    texts = ["a<|endoftext|>b", "<|endoftext|>", "", *("".join(random.choice(parts) for _ in range(random.randint(0, 40))) for _ in range(3000))]
+    batch = pa.RecordBatch.from_arrays([pa.array(texts)], ["text"])
+    got = [np.frombuffer(x, "<u4").tolist() for x in packing.encode_rows(batch, BYTE)]
+    assert got == [e.ids for e in Tokenizer.from_file(BYTE).encode_batch(texts, add_special_tokens=False)]
+
+
 def test_sentencepiece(spark, odd, none):
     import sentencepiece
 
@@ -431,6 +466,47 @@ def test_html_class_words_and_siblings():
     assert html_extract.main_text(page) == "\n".join(["Head", *[para.strip()] * 3])
 
 
+def test_hostile_pages_take_time_in_proportion():
+    import time
+
+    pages = ["<a " * 300000, "<!-- " * 200000, "<script " * 130000, '<a "' * 250000, "<a \"<b ' " * 110000, "<div>x" * 60000, "<div>" * 60000 + "</x>" * 60000, "<li>x" * 80000, f"<a {'b' * 10**6}>x</a>", "<b hidden>" * 50000 + "<li>x" * 50000, "<" * 10**6, '<a ">" ' * 140000]
+    for page in pages:
+        for f in (html_extract.main_text, warc.plain_text, warc.title_and_links):
+            began = time.process_time()
+            f(page)
+            assert time.process_time() - began < 6, (page[:10], f)
+
+
+def test_content_paths_decide():
+    para = "A long paragraph, of many words; it says a lot. And more, too. " * 4
+    want = para.strip()
+    page = f'<body><article><h1>H</h1><p>{para}</p><p class="social">{para}</p><div class="ad">Buy this, now. Really, do.</div><p class="promo">Share it, do.</p><p>Tiny.</p></article></body>'
+    assert html_extract.main_text(page) == f"H\n{want}\n{want}\nTiny."
+    assert html_extract.main_text(f'<div class="x"><p>{para}</p></div><nav><p>{para}</p></nav><div class="y"><p>{para}</p></div><footer>f, f.</footer>') == f"{want}\n{want}"
+    deep = "<div>" * 50 + f"<p>{para}</p>" + "</div>" * 50
+    assert html_extract.main_text(f"<body><p>Top.</p>{deep}</body>").endswith(want)
+
+
+def test_pages_against_their_articles(spark, sf):
+    """Of the given pages the text is that of their article; edge cases of a table of pages."""
+    import html
+
+    got = {r.page_id: r for r in queries.op6_html_extraction(spark, sf).collect()}
+    pages = spark.read.parquet(f"{sf}/pages.parquet").collect()
+    assert len(got) == len(pages)
+    for p in pages:
+        body = re.search(r"<article>(.*)</article>", p.html or "", re.S)
+        if body:
+            x = re.sub(r"<[^>]+>", "\n", re.sub(r"</?(?:b|a|i|em)\b[^>]*>", "", re.sub(r"<br>", " ", body[1])))
+            want = "\n".join(y for y in (" ".join(html.unescape(line).split()) for line in x.split("\n")) if y)
+            assert got[p.page_id].text == want and got[p.page_id].n_chars == len(want)
+    rows = [(1, "u", None, "t"), (1, "u", None, "t"), (None, None, "<p>x, y.", "t"), (2, "v", "<p>" + "word, " * 200000, "t"), (3, "w", "", "t")]
+    odd_pages = spark.createDataFrame(rows, "page_id long, url string, html string, text string")
+    assert sorted(r.n_chars for r in html_extract.extract_pages(odd_pages).collect()) == [0, 0, 0, 5, 1199999]
+    assert html_extract.extract_pages(odd_pages.filter("page_id > 9")).count() == 0
+    assert warc.build_derivatives(odd_pages).count() == 10 and warc.build_derivatives(odd_pages.filter("page_id > 9")).count() == 0
+
+
 def test_language(spark, sf, odd, none):
     docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
     got = langid.predictions(docs).join(docs.select("doc_id", "lang"), "doc_id").filter("held_out")
@@ -442,27 +518,54 @@ def test_language(spark, sf, odd, none):
     assert langid.predictions(none).count() == 0
 
 
-def test_fertility_base_counts(spark, sf):
+def test_fertility_counts(spark, sf):
+    import sentencepiece
+    from tokenizers import Tokenizer
+
+    t, m = Tokenizer.from_file(BYTE), sentencepiece.SentencePieceProcessor(model_file=PIECE)
     got = {r.doc_id: r for r in queries.op9_tokeniser_fertility(spark, sf).collect()}
     for d in spark.read.parquet(f"{sf}/documents.parquet").collect():
-        w, r = words(d.text), got[d.doc_id]
-        lines = [x for x in (d.text or "").split("\n") if words(x)]
+        w, r, text = words(d.text), got[d.doc_id], d.text or ""
+        lines = [x for x in text.split("\n") if words(x)]
         grams = [tuple(w[i : i + 3]) for i in range(len(w) - 2)]
-        again = {i + k for i, g in enumerate(grams) if grams.count(g) > 1 for k in range(3)} if len(w) < 400 else None
-        assert (r.n_words, r.word_chars, r.n_symbols, r.n_dup_lines) == (len(w), sum(map(len, w)), sum(c in "#*$%&|<>" for c in d.text or ""), len(lines) - len(set(lines)))
-        if again is not None:
-            assert r.n_repeat_words == len(again)
-        assert not (r.base_failed and r.kept)
+        times = Counter(grams)
+        again = {i + k for i, g in enumerate(grams) if times[g] > 1 for k in range(3)}
+        assert (r.n_words, r.word_chars, r.n_symbols, r.n_dup_lines, r.n_repeat_words) == (len(w), sum(map(len, w)), sum(c in "#*$%&|<>" for c in text), len(lines) - len(set(lines)), len(again))
+        assert r.base_failed == (len(w) < 50 or 2 * len(again) > len(w)) and not (r.base_failed and r.kept)
+        ids, pieces = t.encode(text, add_special_tokens=False).ids, m.encode(text)
+        assert (r.n_tokens, r.n_pieces) == (len(ids), len(pieces))
+        assert r.byte_share == pytest.approx(sum(m.is_byte(i) for i in pieces) / max(1, len(pieces)))
+        if len(ids) > 1:
+            p = np.array(list(Counter(ids).values())) / len(ids)
+            assert r.entropy_share == pytest.approx(-(p * np.log2(p)).sum() / np.log2(len(ids)))
 
 
 def test_fertility_edges(spark, odd, none):
     from tilewright.llm import fertility
 
-    rows = {r.doc_id: r for r in fertility.verdicts(odd.select("doc_id", "text", F.lit(None).cast("string").alias("lang")), BYTE, PIECE).collect()}
+    rows = {r.doc_id: r for r in fertility.verdicts(odd.withColumn("lang", F.lit(None).cast("string")), BYTE, PIECE).collect()}
     assert len(rows) == len(ODD) and not rows[0].kept and rows[0].base_failed
     assert fertility.verdicts(none, BYTE, PIECE).count() == 0
 
 
+def test_bands_are_of_the_own_language(spark):
+    """A rare language's texts are not judged by another's, and a table's size changes no verdict that rests on enough rows."""
+    from tilewright.llm import fertility
+
+    rng = np.random.default_rng(3)
+    plain = [" ".join(rng.choice(["there", "house", "which", "about", "people", "water", "little", "because"], 90) + np.array([f"{k % 7}" for k in range(90)]).astype(object)) for _ in range(60)]
+    rare = ["".join(rng.choice(list("漢字仮名交文日本語"), 300)).replace("文", "文 ") for _ in range(5)]
+    junk = ["".join(rng.choice(list("\u0600\u1200\u1780\ua000 "), 400)) for _ in range(2)]
+    texts = [(i, x, lang) for i, (x, lang) in enumerate([*((x, "en") for x in plain), *((x, "ja") for x in rare), *((x, "en") for x in junk)])]
+    kept = []
+    for times in (1, 3):
+        docs = spark.createDataFrame([(i + 1000 * k, x, lang) for k in range(times) for i, x, lang in texts], "doc_id long, text string, lang string")
+        got = {r.doc_id: r for r in fertility.verdicts(docs, BYTE, PIECE).collect()}
+        kept.append({i: got[i].kept for i, *_ in texts})
+        assert all(got[60 + i].kept == (not got[60 + i].base_failed) for i in range(5))
+    assert kept[0] == kept[1]
+
+
 def test_quality(spark, odd, none):
     d = "/root/testdata/sf0.01"
     labels = spark.read.parquet(f"{d}/labels.parquet")

@@ -224,7 +224,12 @@ def tokenized_pieces(docs: DataFrame, vocabulary: str, capacity: int = CAPACITY,
 
 
 def pack_histogram(counts: dict[int, int], capacity: int = CAPACITY) -> list[tuple[tuple[tuple[int, int], ...], int]]:
-    """Patterns and their counts; a pattern is ((length, times), ...) in order of placement."""
+    """Patterns and their counts; a pattern is ((length, times), ...) in order of placement.
+
+    Each piece, the longest first, goes to the shortest open pack if it fits there, else to a new one:
+    all packs of one pattern take a piece each before any takes a second, and a new pack takes all it
+    can, as it stays the shortest that has room.
+    """
     packs: list[tuple[int, int, tuple, int]] = []  # used, tie breaker, pattern, count: the shortest on top
     done, tie = [], 0
     for length in sorted(counts, reverse=True):
@@ -235,10 +240,8 @@ def pack_histogram(counts: dict[int, int], capacity: int = CAPACITY) -> list[tup
                 if n > left:
                     tie += 1
                     heapq.heappush(packs, (used, tie, pattern, n - left))
-                times, n = 1, min(n, left)
-                if n < left:  # many pieces for few packs: stack as many of them as fit
-                    times = max(1, min((capacity - used) // length, left // n))
-                pattern = (*pattern, (length, times))
+                n, times = min(n, left), 1
+                pattern = (*pattern[:-1], (length, pattern[-1][1] + 1)) if pattern[-1][0] == length else (*pattern, (length, 1))
             else:
                 times = min(left, capacity // length)
                 used, n, pattern = 0, left // times, ((length, times),)
