@@ -82,6 +82,25 @@ def test_jaccard_on_odd_and_near_copies(spark):
     assert [got[i].component_id for i in range(len(texts))] == comp
 
 
+def test_jaccard_of_a_common_core(spark, monkeypatch):
+    """Short texts that share most of a line, some of them alike: large open groups, and the same under other bounds."""
+    rng = np.random.default_rng(7)
+    line = [f"c{i}" for i in range(14)]
+    texts = []
+    for k in range(70):
+        own = [f"o{k}x{i}" for i in range(rng.integers(3, 8))]
+        texts.append(" ".join(line + own))
+        if k % 5 == 0:
+            texts.append(" ".join(line + own + [f"e{k}"]))
+        if k % 7 == 0:
+            texts.append(" ".join([f"s{k}"] + line + own))
+    _, comp = brute_components(texts)
+    for bound in (24, 2):
+        monkeypatch.setattr(jaccard, "SMALL_GROUP", bound)
+        got = {r.doc_id: r for r in jaccard.jaccard_components(docs_of(spark, texts)).collect()}
+        assert [got[i].component_id for i in range(len(texts))] == comp
+
+
 def test_similar_sets_share_a_signature():
     rng = np.random.default_rng(1)
     for n in [*range(1, 40), 75, 113, 400]:

@@ -12,9 +12,14 @@ Sets without enough such blocks are alike in that, so they alone repeat the sche
 hash, and at last use prefix signatures (their a - ceil(0.8 a) + 1 smallest elements). No link is
 lost at any step, and nothing is capped.
 
+Signatures are dealt in buckets and met there by sorting; those that are frequent in a bounded sample are
+dealt out by their documents, too, so that no task gets all of one, and are put together by aggregates.
 Signatures of one value form groups. Instead of all pairs of a group, every member is first
-compared with the group's hub, under two orders; members of one component need no further test, and
-only members outside the group's main component meet the others. A 512-bit parity sketch, whose Hamming distance
+compared with the group's hub, under two orders; members of one component need no further test. What
+is still open, groups of several components, is settled exactly: in groups of at most `SMALL_GROUP`
+members those of different components meet, and members of larger ones meet where they share one of
+their rarest elements (a set's a - ceil(0.8 a) + 1 rarest ones hold one in common with any similar set),
+so that what a whole group has in common makes no pairs. A 512-bit parity sketch, whose Hamming distance
 never exceeds the sets' difference, removes pairs before any set is moved; the rest is verified
 on whole sets of 64-bit shingle hashes.
 
@@ -30,7 +35,6 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
 from .common import discard, identified, materialize, maybe_broadcast, original, texts, without_rows
 from .components import connected_components
@@ -43,6 +47,12 @@ HUB_ROUNDS = 2
 SKETCH_LONGS = 8
 #: Sets of so many elements get wide sketches, too.
 WIDE_FROM = 800
+#: Open groups of at most so many members are paired directly.
+SMALL_GROUP = 24
+#: Documents whose signatures tell which ones are hot, how often one must occur among them, and how many may be.
+HOT_SAMPLE, HOT_TIMES, HOT_SIGNATURES = 4096, 8, 1 << 16
+#: Signatures that a task gathers before it deals them out, and shingles of whose signatures a bucket is made.
+FLUSH_SIGNATURES, BUCKET_SHINGLES = 1 << 20, 1_000_000
 
 
 def band_of(n: np.ndarray) -> np.ndarray:
@@ -168,6 +178,84 @@ def _signed(batches):
             yield pa.RecordBatch.from_arrays([pa.array(sig.view(np.int64)), pa.array(ids[i + who], pa.int64())], ["sig", "doc_id"])
 
 
+def _dealt(buckets: int, hot: np.ndarray):
+    """Rows of a bucket's signatures: sig, node. A hot signature's bucket is told by its document, too."""
+
+    def found(batches):
+        parts, size = [], 0
+
+        def row():
+            sig, node = (np.concatenate(x) for x in zip(*parts))
+            sig = sig.view(U)
+            bucket = mix(sig)
+            if len(hot):
+                often = np.isin(sig, hot)
+                bucket[often] = mix(node[often].view(U))
+            bucket = (bucket % U(buckets)).astype(np.int64)
+            order = np.argsort(bucket, kind="stable")
+            edge = np.flatnonzero(np.diff(bucket[order], prepend=-1))
+            off = pa.array(np.r_[edge, len(order)].astype(np.int32))
+            lists = [pa.ListArray.from_arrays(off, pa.array(x[order], pa.int64())) for x in (sig.view(np.int64), node)]
+            return pa.RecordBatch.from_arrays([pa.array(bucket[order][edge].astype(np.int32)), *lists], ["bucket", "sig", "node"])
+
+        for batch in _signed(batches):
+            parts.append([batch.column(c).to_numpy(zero_copy_only=False) for c in ("sig", "doc_id")])
+            size += batch.num_rows
+            if size >= FLUSH_SIGNATURES:
+                yield row()
+                parts, size = [], 0
+        if size:
+            yield row()
+
+    return found
+
+
+def _grouped(hot: np.ndarray):
+    """sig, node of signatures that several documents of the bucket have, sig being a fingerprint of the
+    group's members (were two to clash, they would only have more pairs to verify); of hot ones all."""
+
+    def found(t: pa.Table) -> pa.Table:
+        t = t.combine_chunks()
+        sig, node = (t.column(c).combine_chunks().flatten().to_numpy(zero_copy_only=False).view(U) for c in ("sig", "node"))
+        order = np.lexsort((node, sig))
+        sig, node = sig[order], node[order]
+        new = np.r_[True, (sig[1:] != sig[:-1]) | (node[1:] != node[:-1])][: len(sig)]
+        sig, node = sig[new], node[new]
+        edge = np.flatnonzero(np.r_[True, sig[1:] != sig[:-1]][: len(sig)])
+        size = np.diff(np.r_[edge, len(sig)])
+        often = np.isin(sig[edge], hot) if len(hot) else np.zeros(len(edge), bool)
+        total = np.add.reduceat(mix(node), edge) if len(edge) else edge.astype(U)
+        prints = mix(total + mix(size.astype(U) + U(77)))
+        # Of groups with the same members one is enough.
+        first = np.zeros(len(edge), bool)
+        first[np.unique(prints, return_index=True)[1]] = True
+        keep = np.repeat((size > 1) & first & ~often, size)
+        same = np.repeat(often, size)
+        out = np.r_[np.repeat(prints, size)[keep], sig[same]], np.r_[node[keep], node[same]]
+        return pa.table({"hot": pa.array(np.r_[np.zeros(int(keep.sum()), bool), np.ones(int(same.sum()), bool)]), "sig": pa.array(out[0].view(np.int64)), "node": pa.array(out[1].view(np.int64))})
+
+    return found
+
+
+def signature_groups(docs: DataFrame, nodes: int, shingles: int) -> DataFrame:
+    """sig, node (a written table): the groups of documents that share a signature. nodes, shingles: how many sign, with how many."""
+    spark = docs.sparkSession
+    share = min(2**63 - 1, HOT_SAMPLE * 2**63 // max(1, nodes))
+    sample = set_signatures(docs.filter(F.shiftrightunsigned(F.xxhash64(F.col("doc_id").cast("long"), F.lit(5)), 1) <= share))
+    often = sample.groupBy("sig").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") >= HOT_TIMES).orderBy(F.desc("n"), "sig").limit(HOT_SIGNATURES)
+    shared = spark.sparkContext.broadcast(np.array([r["sig"] for r in often.collect()], np.int64).view(U))
+    buckets = max(int(spark.conf.get("spark.sql.shuffle.partitions")), shingles // BUCKET_SHINGLES)
+    signed = texts(docs).filter("doc_id is not null").mapInArrow(lambda b: _dealt(buckets, shared.value)(b), "bucket int, sig array<long>, node array<long>")
+    found = materialize(signed.groupBy("bucket").applyInArrow(lambda t: _grouped(shared.value)(t), "hot boolean, sig long, node long"))
+    hot = found.filter("hot")
+    prints = hot.groupBy("sig").agg(F.xxhash64(F.bit_xor(F.xxhash64("node")), F.bit_xor(F.xxhash64("node", F.lit(1))), F.count(F.lit(1))).alias("print"), F.count(F.lit(1)).alias("n")).filter("n > 1")
+    one = materialize(prints.groupBy("print").agg(F.min("sig").alias("sig")).select("sig"))  # HOT_SIGNATURES rows at most
+    members = found.filter("not hot").unionByName(hot.join(F.broadcast(one), "sig", "left_semi")).select("sig", "node").distinct()
+    members = materialize(members)
+    discard(found, one)
+    return members
+
+
 def _sets(batches):
     for batch in batches:
         sets = [s.view(np.int64) for _, _, w in word_batches(batch) for s in shingle_sets(w)]
@@ -222,9 +310,10 @@ def _components(docs: DataFrame, again: DataFrame | None) -> DataFrame:
     """__row_id, orig, n_shingles, comp (a __row_id), component_id, lead (the __row_id that stays for it) of every row of docs (of identified())."""
     t = docs.select(F.col("__row_id").alias("doc_id"), "text")
     rows = materialize(set_summaries(t))
-    rep = rows.filter("set_key is not null").groupBy("set_key").agg(F.min("doc_id").alias("rep"))
-    with_rep = materialize(rows.join(rep, "set_key", "left").select("doc_id", "n_shingles", "sketch", "wide", F.coalesce("rep", "doc_id").alias("rep")))
-    discard(rows)
+    rep = rows.filter("set_key is not null").groupBy("set_key").agg(F.min("doc_id").alias("rep"), F.max("doc_id").alias("last"))
+    rep = materialize(rep.filter("rep < last").select("set_key", "rep"))
+    with_rep = materialize(rows.join(maybe_broadcast(rep), "set_key", "left").select("doc_id", "n_shingles", "sketch", "wide", F.coalesce("rep", "doc_id").alias("rep")))
+    discard(rows, rep)
     links = signature_links(t, with_rep)
     found = connected_components(links)
     out = with_rep.join(found, with_rep["rep"] == found["node"], "left")
@@ -246,15 +335,9 @@ def signature_links(docs: DataFrame, with_rep: DataFrame) -> DataFrame:
     """Verified links (a, b) that connect whatever is similar; with_rep: doc_id, n_shingles, sketch, rep."""
     # Of equal sets only the representative signs.
     nodes = with_rep.filter("doc_id = rep and n_shingles > 0").select(F.col("rep").alias("node"), F.col("n_shingles").alias("n"), "sketch", "wide").dropDuplicates(["node"])
-    copies = materialize(with_rep.groupBy("doc_id").agg(F.max(F.col("doc_id") == F.col("rep")).alias("own")).filter("not own").select("doc_id"))
-    signed = set_signatures(docs.join(maybe_broadcast(copies), "doc_id", "left_anti"))
-    w = Window.partitionBy("sig")
-    # Groups of the same members are one group: its id is a fingerprint of them (were two to clash,
-    # they would only have more pairs to verify).
-    node = F.col("doc_id")
-    member_print = F.xxhash64(F.bit_xor(F.xxhash64(node)).over(w), F.bit_xor(F.xxhash64(node, F.lit(1))).over(w), F.col("m"))
-    grouped = signed.withColumn("m", F.count(F.lit(1)).over(w)).withColumn("print", member_print).filter("m > 1")
-    members = materialize(grouped.select(F.col("print").alias("sig"), node.alias("node")).distinct())
+    copies = materialize(with_rep.filter("doc_id <> rep").select("doc_id"))
+    count, total = nodes.agg(F.count(F.lit(1)), F.sum("n")).first()
+    members = signature_groups(docs.join(maybe_broadcast(copies), "doc_id", "left_anti"), count, total or 0)
     discard(copies)
     nodes = materialize(nodes.join(members.select("node").distinct(), "node", "left_semi"))
 
@@ -269,22 +352,42 @@ def signature_links(docs: DataFrame, with_rep: DataFrame) -> DataFrame:
         links = found if links is None else links.unionByName(found)
         known = _labelled(nodes, links)
 
-    # Last round: who is outside the main component of a group meets all others there, blockwise by signature.
+    # What is open after the hubs: groups of several components.
     placed = materialize(members.join(known.select("node", "comp"), "node").select("sig", "node", "comp"))
     discard(members)
     sizes = placed.groupBy("sig", "comp").agg(F.count(F.lit(1)).alias("c")).groupBy("sig")
-    main = sizes.agg(F.max(F.struct("c", "comp"))["comp"].alias("main"), F.count(F.lit(1)).alias("comps")).filter("comps > 1")
-    open_groups = placed.join(main, "sig").select("sig", "node", "comp", (F.col("comp") != F.col("main")).alias("out"))
-    open_groups = materialize(open_groups.join(nodes.select("node", "n", "sketch"), "node"))
-    discard(placed)
-    p, q = open_groups.filter("out").alias("p"), open_groups.alias("q")
+    sizes = materialize(sizes.agg(F.max(F.struct("c", "comp"))["comp"].alias("main"), F.count(F.lit(1)).alias("comps"), F.sum("c").alias("m")).filter("comps > 1"))
+    small = placed.join(sizes.filter(F.col("m") <= SMALL_GROUP), "sig").select("sig", "node", "comp", (F.col("comp") != F.col("main")).alias("out"))
+    small = materialize(small.join(nodes.select("node", "n", "sketch"), "node"))
+    large = placed.join(sizes.filter(F.col("m") > SMALL_GROUP).select("sig"), "sig", "left_semi").select("node", "comp").distinct()
+    large = materialize(large.join(nodes.select("node", "n", "sketch"), "node"))
+    discard(placed, sizes)
+    p, q = small.filter("out").alias("p"), small.alias("q")
     cross = (F.col("p.sig") == F.col("q.sig")) & (F.col("p.comp") != F.col("q.comp")) & (~F.col("q.out") | (F.col("p.node") < F.col("q.node"))) & _possible("p", "q")
-    pairs = p.join(q, cross).select(F.least("p.node", "q.node").alias("a"), F.greatest("p.node", "q.node").alias("b")).distinct()
-    found, _ = _verified(pairs, docs, wide, tested)
-    discard(open_groups)
+    pairs = p.join(q, cross).select(F.least("p.node", "q.node").alias("a"), F.greatest("p.node", "q.node").alias("b"))
+    if not large.isEmpty():
+        pairs = pairs.unionByName(rare_pairs(docs, large))
+    found, _ = _verified(pairs.distinct(), docs, wide, tested)
+    discard(small, large)
     return links.unionByName(found)
 
 
+def rare_pairs(docs: DataFrame, open_nodes: DataFrame) -> DataFrame:
+    """a, b: of open_nodes (node, comp, n, sketch) those of different components that share one of their rarest elements."""
+    ids = open_nodes.select(F.col("node").alias("doc_id"))
+    sets = materialize(texts(docs).join(maybe_broadcast(ids), "doc_id", "left_semi").mapInArrow(_sets, "node long, items array<long>"))
+    items = sets.select("node", F.explode("items").alias("item"))
+    times = items.groupBy("item").agg(F.count(F.lit(1)).alias("f"))
+    ordered = items.join(times, "item").groupBy("node").agg(F.sort_array(F.collect_list(F.struct("f", "item"))).alias("items"))
+    # In integers: a - ceil(0.8 a) + 1 elements. One of a single document meets none.
+    first = F.slice("items", 1, F.size("items") - F.ceil(F.size("items") * 4 / F.lit(5)).cast("int") + 1)
+    rare = materialize(ordered.select("node", F.explode(F.filter(first, lambda x: x["f"] > 1)["item"]).alias("item")).join(open_nodes, "node"))
+    discard(sets)
+    p, q = rare.alias("p"), rare.alias("q")
+    cross = (F.col("p.item") == F.col("q.item")) & (F.col("p.node") < F.col("q.node")) & (F.col("p.comp") != F.col("q.comp")) & _possible("p", "q")
+    return p.join(q, cross).select(F.col("p.node").alias("a"), F.col("q.node").alias("b"))
+
+
 def drop_near_copies(docs: DataFrame) -> DataFrame:
     """docs with one row, that of the smallest doc_id, of each component; columns as given."""
     t, again = identified(docs)
