@@ -608,31 +608,68 @@ def test_word_hashes_do_not_depend_on_the_batch():
 
 
 def test_pipeline(spark, tmp_path):
-    rng = np.random.default_rng(8)
+    """Each stage against a brute-force version of it on its own input."""
+    from tokenizers import Tokenizer
+
     base = {r.doc_id: r for r in spark.read.parquet("/root/testdata/sf0.001/documents.parquet").collect()}
     rows = [(r.doc_id, r.text, r.lang, r.source, r.n_chars) for r in base.values()]
     rows += [(1000, "12345 !!! 678", "en", "s", 13), (1001, rows[5][1], "en", "s", rows[5][4])]
-    del rng
     docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")
     docs.write.parquet(str(tmp_path / "documents.parquet"))
-    stage, cols = docs, docs.columns
-    kept = []
+    stage, cols, texts = docs, docs.columns, []
     for name, f in corpus_pipeline.STAGES[:-1]:
         stage = f(spark, stage, str(tmp_path)).persist()
         assert stage.columns == cols, name
-        kept.append({r.doc_id for r in stage.collect()})
+        texts.append({r.doc_id: r.text for r in stage.collect()})
+        assert len(texts[-1]) == stage.count()
+    kept = [set(t) for t in texts]
     assert 1000 not in kept[0] and kept[0] >= set(base) - {i for i, r in base.items() if not re.search(r"[^\W\d_]", r.text or "")}
     squeezed = defaultdict(list)
-    for i, t, *_ in rows:
-        if i in kept[0]:
-            squeezed["".join(words(t))].append((-len(t), i))
-    assert kept[1] == {min(v)[1] for v in squeezed.values()}
+    for i, t in texts[0].items():
+        squeezed["".join(words(t))].append((-len(t or ""), i))
+    assert kept[1] == {min(v)[1] for v in squeezed.values()} and all(texts[1][i] == texts[0][i] for i in kept[1])
     order = sorted(kept[1])
-    text = {r[0]: r[1] for r in rows}
-    _, comp = brute_components([text[i] for i in order])
-    assert kept[2] == {order[c] for c in comp}
-    assert kept[3] <= kept[2]
-    assert corpus_pipeline.run(spark, str(tmp_path)).filter("offset = 0").count() > 0
+    _, comp = brute_components([texts[1][i] for i in order])
+    assert kept[2] == {order[c] for c in comp} and all(texts[2][i] == texts[1][i] for i in kept[2])
+    # Passages: all words of windows of 50 that an earlier document has are gone, and documents without any passage stay.
+    order = sorted(kept[2])
+    copied = dict(zip(order, exact_copies([texts[2][i] or "" for i in order])))
+    told = {r.b: r for r in substring.repeated_passages(docs.filter(F.col("doc_id").isin(order))).collect()}
+    for i in order:
+        before, after = words(texts[2][i]), words(texts[3].get(i, ""))
+        if i not in told:
+            assert texts[3].get(i, "") == (texts[2][i] if before else texts[3].get(i, "")) and not copied[i]
+        else:
+            assert len(after) <= len(before) - len(copied[i]) and len(after) < len(before)
+            rest = iter(before)
+            assert all(w in rest for w in after)  # what stays stays in order
+    if (lost := kept[2] - kept[3]) and lost:
+        assert all(i in told for i in lost)
+    # Packing: the ids of every text that stays, whole, without gaps, in sequences of at most 2048.
+    t = Tokenizer.from_file(BYTE)
+    got = corpus_pipeline.run(spark, str(tmp_path)).collect()
+    want = {i: [*t.encode(x or "", add_special_tokens=False).ids, 1] for i, x in texts[3].items()}
+    pieces, sequences = defaultdict(list), defaultdict(list)
+    for r in got:
+        part = np.array(want[r.doc_id][r.start : r.start + r.length], "<u4")
+        assert len(part) == r.length and zlib.crc32(part.tobytes()) == r.ids_crc32
+        pieces[r.doc_id].append((r.start, r.length))
+        sequences[r.sequence_id].append((r.offset, r.length))
+    assert set(pieces) == set(want)
+    for whole, ends in ((pieces, {i: len(x) for i, x in want.items()}), (sequences, {})):
+        for k, parts in whole.items():
+            at = 0
+            for begin, size in sorted(parts):
+                assert begin == at
+                at += size
+            assert at == ends.get(k, at) and (whole is pieces or at <= 2048)
+
+
+def test_stages_on_no_rows(spark):
+    empty = spark.createDataFrame([], "doc_id long, text string, lang string, source string, n_chars long")
+    for name, f in corpus_pipeline.STAGES:
+        assert f(spark, empty, "/root/testdata/sf0.001").count() == 0, name
+    assert jaccard.jaccard_components(empty).count() == 0
 
 
 def test_repeated_rows(spark):
