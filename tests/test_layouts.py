@@ -268,3 +268,84 @@ def test_late_points_are_counted(spark, sf):
     points = tileload.event_points(spark.read.parquet(f"{sf}/events.parquet"))
     late = points.withColumn("ts", F.when(F.col("id") % 97 == 0, F.col("ts") - F.expr("INTERVAL 40 DAYS")).otherwise(F.lit("2024-02-01").cast("timestamp")))
     assert tileload.late_share(late).first()["late"] >= 9
+
+
+def test_least_cut_over_any_axes(spark, sf):
+    boxes = fixtures.skew_boxes(spark, sf)
+    b = methods.arrays_of(boxes)
+    u = methods.extent_of(boxes)[0]
+    plane = kernels.peel(b, u, 40)
+    flat = boxes.select("id", F.array("xmin", "ymin", F.lit(0.0)).alias("lo"), F.array("xmax", "ymax", F.lit(1.0)).alias("hi"))
+    got = methods.least_cut_axes(flat, 40).orderBy("tile_id").collect()
+    assert [(*r.lo[:2], *r.hi[:2], r.planned) for r in got] == plane
+    # With three real axes the strips part the space and hold about the payload each.
+    rng = np.random.default_rng(1)
+    near = rng.uniform(0, 100, (500, 3))
+    tiles = kernels.peel_axes(near, near + rng.uniform(0, 2, (500, 3)), [0, 0, 0], [102, 102, 102], 50)
+    assert sum(np.prod(np.subtract(h, l)) for l, h, _ in tiles) == pytest.approx(102**3) and all(n <= 50 for *_, n in tiles) and len(tiles) >= 9
+
+
+def test_incremental_split_box_by_box(spark):
+    """Against a version that keeps every leaf's boxes in plain lists."""
+    rng = np.random.default_rng(2)
+    low = rng.integers(0, 60, (80, 2)).astype(float)
+    b = np.c_[low, low + rng.integers(0, 6, (80, 2))]
+    region = Box(*b[:, :2].min(0), *b[:, 2:].max(0))
+    leaves = [((region.xmin, region.ymin, region.xmax, region.ymax), [])]
+
+    def meets(t, x):
+        return x[2] >= t[0] and x[3] >= t[1] and (x[0] < t[2] or t[2] >= region.xmax) and (x[1] < t[3] or t[3] >= region.ymax)
+
+    for x in b.tolist():
+        now = []
+        for t, own in leaves:
+            if not meets(t, x):
+                now.append((t, own))
+                continue
+            own = [*own, x]
+            ways = []
+            for d in (0, 1):
+                cs = sorted((y[d] + y[d + 2]) / 2 for y in own)
+                m = cs[(len(cs) - 1) // 2]
+                if t[d] < m < t[d + 2]:
+                    f = (m - t[d]) / (t[d + 2] - t[d])
+                    ways.append((-f * (1 - f), d, m))
+            if len(own) > 12 and ways:
+                _, d, m = min(ways)
+                one, two = list(t), list(t)
+                one[d + 2] = two[d] = m
+                parts = [y for y in own if y[d] < m], [y for y in own if y[d + 2] >= m]
+                if all(parts) and not len(parts[0]) == len(parts[1]) == len(own):
+                    now += [(tuple(h), [y for y in own if meets(h, y)]) for h in (one, two)]
+                    continue
+            now.append((t, own))
+        leaves = now
+    got = sorted(kernels.split_incremental(b, region, 12))
+    assert got == sorted((*t, len(own)) for t, own in leaves)
+
+
+def test_streams(spark, sf, tmp_path):
+    """Overload alarms, de-duplication and loads of a replayed stream against batch counts."""
+    events = spark.read.parquet(f"{sf}/events.parquet")
+    events.repartition(4, "event_id").write.parquet(str(tmp_path / "in"))
+    points = tileload.event_points(events)
+    layout = methods.plan_fixed_grid(points, cells=3)
+    total = {r["tile_id"]: r["count"] for r in tileload.routed(points, layout).groupBy("tile_id").count().collect()}
+    stream = tileload.event_points(tileload.replay(spark, str(tmp_path / "in")))
+
+    def run(df, name, mode="append"):
+        df.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", str(tmp_path / name)).trigger(availableNow=True).start().awaitTermination()
+        return spark.table(name).collect()
+
+    limit = sorted(total.values())[len(total) // 2]
+    alarms = run(tileload.overloads(stream, layout, limit), "alarms")
+    assert {r.tile_id for r in alarms} == {t for t, n in total.items() if n > limit} and all(r.load > limit for r in alarms)
+    twice = stream.union(tileload.event_points(tileload.replay(spark, str(tmp_path / "in"))))
+    assert len({r.id for r in run(tileload.distinct_objects(twice, "3650 days"), "once")}) == points.count() == spark.table("once").count()
+
+
+def test_advice(spark, sf):
+    r, s = fixtures.halves(fixtures.even_boxes(spark, sf))
+    rows = costmodel.sweep(r, s, "grid", (0.005, 0.01, 0.05, 0.2), least=5)
+    assert costmodel.advise_payload(r, s, "grid", (0.005, 0.01, 0.05, 0.2))["model"] == min(x["model"] for x in rows if x["payload"] >= 10)
+    assert costmodel.makespan([5.0, 4.0, 3.0, 3.0], 2) == 8.0

@@ -275,6 +275,14 @@ def pair_difference(a: DataFrame, b: DataFrame) -> DataFrame:
     return a.select(cols).exceptAll(b.select(cols)).withColumn("only_in", F.lit("left")).unionByName(b.select(cols).exceptAll(a.select(cols)).withColumn("only_in", F.lit("right")))
 
 
+def overlap_areas(pairs: DataFrame, r: DataFrame, s: DataFrame) -> DataFrame:
+    """pairs with the area that their boxes have in common (post-processing of a join)."""
+    a, b = (x.select(F.col("id").alias(f"{n}_id"), F.struct(*BOX).alias(n)) for x, n in ((r, "r"), (s, "s")))
+    both = pairs.join(a, "r_id").join(b, "s_id")
+    side = [F.greatest(F.lit(0.0), F.least(f"r.{c}max", f"s.{c}max") - F.greatest(f"r.{c}min", f"s.{c}min")) for c in "xy"]
+    return both.select("r_id", "s_id", (side[0] * side[1]).alias("area"))
+
+
 def with_matches(boxes: DataFrame, pairs: DataFrame, side: str = "r", matched: bool = True) -> DataFrame:
     """Boxes with at least one partner (semi join), or with none (anti join)."""
     ids = pairs.select(F.col(f"{side}_id").alias("id")).distinct()

@@ -58,36 +58,38 @@ def next_cut(centres: np.ndarray, edge: float, payload: int) -> float | None:
 def peel(b: np.ndarray, region: Box, payload: int, axes: tuple[str, ...] = ("x", "y")) -> list[Tile]:
     """Strips off the remaining region, each along the axis whose cut crosses the fewest live boxes
     (ties go to the first axis), while more than `payload` boxes are live."""
-    out: list[Tile] = []
-    low = [region.xmin, region.ymin]
-    high = (region.xmax, region.ymax)
-    c = _centres(b)
-    dims = [0 if a == "x" else 1 for a in axes]
-    live = np.ones(len(b), bool)
+    rows = peel_axes(b[:, :2], b[:, 2:], [region.xmin, region.ymin], [region.xmax, region.ymax], payload, [0 if a == "x" else 1 for a in axes])
+    return [(*low, *high, n) for low, high, n in rows]
+
+
+def peel_axes(near: np.ndarray, far: np.ndarray, low: list[float], high: list[float], payload: int, axes: list[int] | None = None) -> list[tuple[list[float], list[float], int]]:
+    """The same for boxes of any number of axes: (low corner, high corner, planned) of each strip.
+
+    near, far: (n, d) lower and upper corners; low, high: the region's; axes: those that may be cut.
+    """
+    out = []
+    low, c = list(low), (near + far) / 2
+    axes = list(range(near.shape[1])) if axes is None else axes
+    live = np.ones(len(near), bool)
     while True:
-        live &= (b[:, 2] >= low[0]) & (b[:, 3] >= low[1])
+        live &= (far >= low).all(axis=1)
         at = np.flatnonzero(live)
         best = None
         if len(at) > payload:
-            for d in dims:
-                v = c[at, d]
-                if payload < len(v):
-                    v = np.sort(v) if len(v) < 64 else v
-                    nth = float(np.partition(v, payload)[payload])
-                    cut = nth if nth > low[d] else (float(v[v > low[d]].min()) if (v > low[d]).any() else None)
-                    if cut is None or cut >= high[d]:
-                        continue
-                    crossed = int(((b[at, d] < cut) & (cut <= b[at, d + 2])).sum())
-                    if best is None or crossed < best[0]:
-                        best = (crossed, d, cut)
+            for d in axes:
+                cut = next_cut(np.sort(c[at, d]), low[d], payload)
+                if cut is None or cut >= high[d]:
+                    continue
+                crossed = int(((near[at, d] < cut) & (cut <= far[at, d])).sum())
+                if best is None or crossed < best[0]:
+                    best = (crossed, d, cut)
         if best is None:
-            out.append((low[0], low[1], high[0], high[1], len(at)))
+            out.append((list(low), list(high), len(at)))
             return out
         _, d, cut = best
-        inside = int((c[at, d] < cut).sum())
-        tile = [low[0], low[1], high[0], high[1]]
-        tile[d + 2] = cut
-        out.append((*tile, inside))
+        top = list(high)
+        top[d] = cut
+        out.append((list(low), top, int((c[at, d] < cut).sum())))
         low[d] = cut
 
 

@@ -58,13 +58,6 @@ def packed(groups: DataFrame, universe: Box, method: str, **params) -> Layout:
     return Layout("packing", universe, tiles, method, tiles.count(), params)
 
 
-def union_layouts(layouts: list[Layout], universe: Box, method: str) -> Layout:
-    """One layout of the tiles of several (of disjoint regions, for tilings)."""
-    spark = layouts[0].tiles.sparkSession
-    rows = [(t.xmin, t.ymin, t.xmax, t.ymax, t.planned, t.level, i) for i, part in enumerate(layouts) for t in part.rows()]
-    return make_tiles(spark, universe, rows, method, layouts[0].kind)
-
-
 TAXONOMY = [
     ("binary_split", "non-overlapping", "top-down", "space"),
     ("fixed_grid", "non-overlapping", "n/a", "space"),

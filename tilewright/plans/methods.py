@@ -330,6 +330,25 @@ def plan_least_cut_strip(boxes: DataFrame, payload: int, *, axes: tuple[str, ...
     return _in_one_task(boxes, payload, universe, "least_cut_strip", lambda b, u, p: kernels.peel(b, u, p, axes), axes=axes)
 
 
+def least_cut_axes(boxes: DataFrame, payload: int) -> DataFrame:
+    """Least-cut strips of boxes (id, lo, hi: arrays of d coordinates): tile_id, lo, hi, planned.
+
+    In one task, as the plane's form; the region is the boxes' extent.
+    """
+    n = boxes.count()
+    if n > MOST_IN_ONE_TASK:
+        raise ValueError(f"{n} boxes are too many for one task; take a sample of them")
+
+    def run(t: pa.Table) -> pa.Table:
+        t = t.sort_by("id")
+        near, far = (np.array(t.column(c).to_pylist(), np.float64) for c in ("lo", "hi"))
+        rows = kernels.peel_axes(near, far, near.min(axis=0).tolist(), far.max(axis=0).tolist(), payload)
+        kinds = (pa.int32(), pa.list_(pa.float64()), pa.list_(pa.float64()), pa.int64())
+        return pa.table({c: pa.array(v, k) for c, v, k in zip(("tile_id", "lo", "hi", "planned"), (range(len(rows)), *zip(*rows)), kinds)})
+
+    return boxes.select("id", "lo", "hi", F.lit(0).alias("_all")).groupBy("_all").applyInArrow(run, "tile_id int, lo array<double>, hi array<double>, planned long")
+
+
 def curve_members(boxes: DataFrame, payload: int, curve: str, order: int, u: Box) -> DataFrame:
     keyed = with_curve_key(boxes.select("id", *BOX), u, curve, order)
     return global_rank(keyed, "curve_key", "id").withColumn("home_tile", F.floor(F.col("rank") / payload).cast("int"))

@@ -444,6 +444,14 @@ def join_difference_skew(spark: SparkSession, d: str) -> DataFrame:
     return diff.agg(F.count_if(F.col("only_in") == "right").alias("missing"), F.count_if(F.col("only_in") == "left").alias("extra")).join(want.agg(F.count(F.lit(1)).alias("pairs")), F.lit(True))
 
 
+@register("overlap_area_even", f"""WITH b AS MATERIALIZED ({oracles.EVEN}) SELECT r.id AS r_id, s.id AS s_id,
+  (least(r.xmax, s.xmax) - greatest(r.xmin, s.xmin)) * (least(r.ymax, s.ymax) - greatest(r.ymin, s.ymin)) AS area FROM (SELECT * FROM b WHERE id % 2 = 0) r JOIN (SELECT * FROM b WHERE id % 2 = 1) s ON {oracles.MEET}""")
+def overlap_area_even(spark: SparkSession, d: str) -> DataFrame:
+    """Pairs with the area of their intersection."""
+    r, s = fixtures.halves(fixtures.even_boxes(spark, d))
+    return tilejoin.overlap_areas(tilejoin.join(r, s, methods.plan_joint(r, s, "grid", 150)), r, s)
+
+
 @register("model_and_work_even", " UNION ALL ".join(
     f"""SELECT {c} AS cells, k, round(alpha, 6) AS alpha, round((1 + alpha) * (1 + alpha) * nr * ns / k + 2.0 * (nr + ns), 3) AS model, work, largest FROM (
 WITH {oracles.base('even')}, {oracles.grid(cells=c)}, {oracles.GRID_ROUTED}, w AS (SELECT tile_id, count(*) FILTER (id % 2 = 0) AS r, count(*) FILTER (id % 2 = 1) AS s FROM a GROUP BY 1)
