@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import WS_CHARS, discard, identified, materialize, maybe_broadcast, original, texts, without_rows
-from .textkit import column_bytes
+from .textkit import column_bytes, trimmed
 
 WS_BYTES = WS_CHARS.encode()
 MIN_CHUNK, MAX_CHUNK, MASK_BITS = 256, 8192, 10
@@ -98,7 +98,7 @@ def _chunks(batches):
 def chunk_recipes(docs: DataFrame) -> DataFrame:
     """doc_id, n_code_points, text_sha256 (of the text without white space), recipe and its digest, of every row."""
     t = texts(docs).withColumn("n_code_points", F.length("text").cast("long"))
-    return t.mapInArrow(_recipes, "doc_id long, n_code_points long, text_sha256 string, recipe array<long>, recipe_key binary")
+    return t.mapInArrow(trimmed(_recipes), "doc_id long, n_code_points long, text_sha256 string, recipe array<long>, recipe_key binary")
 
 
 def _groups(rows: DataFrame, key: str) -> DataFrame:
@@ -116,7 +116,7 @@ def _verdicts(docs: DataFrame, again: DataFrame | None, recipes=chunk_recipes) -
     groups = materialize(_groups(rows, key))
     n = groups.count()
     repeated = materialize(rows.join(maybe_broadcast(groups.select(key), n), key, "left_semi").select(F.col("__row_id").alias("doc_id")))
-    chunks = texts(t).join(maybe_broadcast(repeated), "doc_id", "left_semi").mapInArrow(_chunks, "doc_id long, at int, fp long, content binary")
+    chunks = texts(t).join(maybe_broadcast(repeated), "doc_id", "left_semi").mapInArrow(trimmed(_chunks), "doc_id long, at int, fp long, content binary")
     contents = chunks.groupBy("fp", "content").agg(F.count(F.lit(1)).alias("copies"))
     clashing = materialize(contents.groupBy("fp").agg(F.count(F.lit(1)).alias("contents")).filter("contents > 1").select("fp"))
     if clashes := clashing.count():

@@ -24,7 +24,7 @@ from .common import WS_CHARS, materialize, maybe_broadcast
 from .lattice import MARK, PieceTable
 from .lattice import Units as PieceUnits
 from .packing import SLICE, Memo, coder, remembered
-from .textkit import SPACE, U, Words, column_bytes, distinct, mix, slices
+from .textkit import SPACE, U, Words, column_bytes, distinct, mix, slices, trimmed
 
 SYMBOLS = b"#*$%&|<>"
 BASE_MIN_WORDS, BASE_REPEAT_PERCENT = 50, 50
@@ -129,7 +129,7 @@ def measures(docs: DataFrame, byte_vocabulary: str, piece_vocabulary: str) -> Da
 
     t = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("lang").cast("string"), F.lit("und")).alias("lang"), F.coalesce("text", F.lit("")).alias("text"))
     kinds = ["long", "string"] + ["long"] * 6 + ["double"] * 4 + ["long"]
-    return t.mapInArrow(measure, ", ".join(f"{a} {b}" for a, b in zip(names, kinds)))
+    return t.mapInArrow(trimmed(measure), ", ".join(f"{a} {b}" for a, b in zip(names, kinds)))
 
 
 #: Measures by the side of the median on which a text is rejected, and which of them depend on size.

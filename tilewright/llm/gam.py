@@ -20,7 +20,7 @@ from pyspark.sql import functions as F
 
 from .common import held_out, texts
 from .fertility import base_counts, duplicate_lines, per_row
-from .textkit import Words, column_bytes, slices
+from .textkit import Words, column_bytes, slices, trimmed
 
 #: Labelled rows that the fit may read.
 SAMPLE_ROWS = 16_000
@@ -182,7 +182,7 @@ def fit(docs: DataFrame, labels: DataFrame, sample_rows: int = SAMPLE_ROWS) -> A
     known = known.filter(~held_out(F.col("doc_id"))).groupBy("doc_id").agg(F.max("y").alias("y"))
     known = known.orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample_rows)
     rows = texts(docs).join(F.broadcast(known), "doc_id").select("y", "text")  # bounded by sample_rows
-    got = rows.mapInArrow(_features, "y double, x array<double>").collect()
+    got = rows.mapInArrow(trimmed(_features), "y double, x array<double>").collect()
     return AdditiveModel(np.array([r["x"] for r in got]).reshape(len(got), len(FEATURES)), np.array([r["y"] for r in got]))
 
 
@@ -194,5 +194,5 @@ def quality_scores(docs: DataFrame, model: AdditiveModel, cutoff: float = CUTOFF
         for batch in batches:
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(shared.value.score(text_features(batch)), pa.float64())], ["doc_id", "score"])
 
-    out = texts(docs).mapInArrow(scored, "doc_id long, score double")
+    out = texts(docs).mapInArrow(trimmed(scored), "doc_id long, score double")
     return out.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), "score", (F.col("score") >= cutoff).cast("int").alias("predicted"))

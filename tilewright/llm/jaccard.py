@@ -38,7 +38,7 @@ from pyspark.sql import functions as F
 
 from .common import discard, identified, materialize, maybe_broadcast, original, texts, without_rows
 from .components import connected_components
-from .textkit import U, mix, mix1, shingle_sets, word_batches
+from .textkit import U, mix, mix1, shingle_sets, trim, trimmed, word_batches
 
 BAND = 1.5
 SLACK = 1.2
@@ -232,6 +232,7 @@ def _grouped(hot: np.ndarray):
         keep = np.repeat((size > 1) & first & ~often, size)
         same = np.repeat(often, size)
         out = np.r_[np.repeat(prints, size)[keep], sig[same]], np.r_[node[keep], node[same]]
+        trim()
         return pa.table({"hot": pa.array(np.r_[np.zeros(int(keep.sum()), bool), np.ones(int(same.sum()), bool)]), "sig": pa.array(out[0].view(np.int64)), "node": pa.array(out[1].view(np.int64))})
 
     return found
@@ -245,7 +246,7 @@ def signature_groups(docs: DataFrame, nodes: int, shingles: int) -> DataFrame:
     often = sample.groupBy("sig").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") >= HOT_TIMES).orderBy(F.desc("n"), "sig").limit(HOT_SIGNATURES)
     shared = spark.sparkContext.broadcast(np.array([r["sig"] for r in often.collect()], np.int64).view(U))
     buckets = max(int(spark.conf.get("spark.sql.shuffle.partitions")), shingles // BUCKET_SHINGLES)
-    signed = texts(docs).filter("doc_id is not null").mapInArrow(lambda b: _dealt(buckets, shared.value)(b), "bucket int, sig array<long>, node array<long>")
+    signed = texts(docs).filter("doc_id is not null").mapInArrow(trimmed(lambda b: _dealt(buckets, shared.value)(b)), "bucket int, sig array<long>, node array<long>")
     found = materialize(signed.groupBy("bucket").applyInArrow(lambda t: _grouped(shared.value)(t), "hot boolean, sig long, node long"))
     hot = found.filter("hot")
     prints = hot.groupBy("sig").agg(F.xxhash64(F.bit_xor(F.xxhash64("node")), F.bit_xor(F.xxhash64("node", F.lit(1))), F.count(F.lit(1))).alias("print"), F.count(F.lit(1)).alias("n")).filter("n > 1")
@@ -264,12 +265,12 @@ def _sets(batches):
 
 def set_summaries(docs: DataFrame) -> DataFrame:
     """doc_id, n_shingles, set_key (128 bits; null for an empty set), sketch, wide (of large sets)."""
-    return texts(docs).mapInArrow(_summaries, "doc_id long, n_shingles long, set_key binary, sketch array<long>, wide array<array<long>>")
+    return texts(docs).mapInArrow(trimmed(_summaries), "doc_id long, n_shingles long, set_key binary, sketch array<long>, wide array<array<long>>")
 
 
 def set_signatures(docs: DataFrame) -> DataFrame:
     """sig, doc_id: the signatures of every document's shingle set."""
-    return texts(docs).filter("doc_id is not null").mapInArrow(_signed, "sig long, doc_id long")
+    return texts(docs).filter("doc_id is not null").mapInArrow(trimmed(_signed), "sig long, doc_id long")
 
 
 def _possible(a: str, b: str):
@@ -286,10 +287,10 @@ def _verified(pairs: DataFrame, docs: DataFrame, wide: DataFrame, tested: DataFr
     left, right = (wide.select(F.col("node").alias(c), F.col("n").alias(f"n{c}"), F.col("wide").alias(w)) for c, w in (("a", "u"), ("b", "v")))
     pairs = pairs.join(left, "a").join(right, "b").select("a", "b", (F.col("na") + F.col("nb")).alias("n"), "u", "v")
     small = F.size("u") * F.size("v") == 0
-    pairs = pairs.filter(small).select("a", "b").unionByName(pairs.filter(~small).mapInArrow(_wide_apart, "a long, b long"))
+    pairs = pairs.filter(small).select("a", "b").unionByName(pairs.filter(~small).mapInArrow(trimmed(_wide_apart), "a long, b long"))
     pairs = materialize(pairs)
     ids = materialize(pairs.select(F.col("a").alias("doc_id")).unionByName(pairs.select(F.col("b").alias("doc_id"))).distinct())
-    sets = texts(docs).join(maybe_broadcast(ids), "doc_id", "left_semi").mapInArrow(_sets, "node long, items array<long>")
+    sets = texts(docs).join(maybe_broadcast(ids), "doc_id", "left_semi").mapInArrow(trimmed(_sets), "node long, items array<long>")
     sets = materialize(sets)
     n = pairs.count()
     left = maybe_broadcast(pairs, n).join(sets.select(F.col("node").alias("a"), F.col("items").alias("x")), "a")
@@ -375,7 +376,7 @@ def signature_links(docs: DataFrame, with_rep: DataFrame) -> DataFrame:
 def rare_pairs(docs: DataFrame, open_nodes: DataFrame) -> DataFrame:
     """a, b: of open_nodes (node, comp, n, sketch) those of different components that share one of their rarest elements."""
     ids = open_nodes.select(F.col("node").alias("doc_id"))
-    sets = materialize(texts(docs).join(maybe_broadcast(ids), "doc_id", "left_semi").mapInArrow(_sets, "node long, items array<long>"))
+    sets = materialize(texts(docs).join(maybe_broadcast(ids), "doc_id", "left_semi").mapInArrow(trimmed(_sets), "node long, items array<long>"))
     items = sets.select("node", F.explode("items").alias("item"))
     times = items.groupBy("item").agg(F.count(F.lit(1)).alias("f"))
     ordered = items.join(times, "item").groupBy("node").agg(F.sort_array(F.collect_list(F.struct("f", "item"))).alias("items"))

@@ -23,7 +23,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from .common import held_out
-from .textkit import column_bytes, slices
+from .textkit import column_bytes, slices, trimmed
 
 DIMS = 8192
 ROWS = 256
@@ -139,7 +139,7 @@ def training_rows(docs: DataFrame, per_language: int = PER_LANGUAGE) -> DataFram
 
 def fit(docs: DataFrame, per_language: int = PER_LANGUAGE, centroids: int = CENTROIDS) -> CentroidModel:
     """Fit on at most per_language rows of each learned value of lang, none of them held out."""
-    counts = training_rows(docs, per_language).mapInArrow(_sparse, "lang string, h long, at array<short>, n array<int>").toArrow().combine_chunks()
+    counts = training_rows(docs, per_language).mapInArrow(trimmed(_sparse), "lang string, h long, at array<short>, n array<int>").toArrow().combine_chunks()
     langs, h = np.array(counts.column("lang").to_pylist(), object), counts.column("h").to_numpy()
     order = np.lexsort((h, langs)) if len(h) else np.zeros(0, np.int64)
     turn = np.arange(len(h)) - np.searchsorted(langs[order], langs[order]) if len(h) else order
@@ -180,7 +180,7 @@ def identify(docs: DataFrame, model: CentroidModel) -> DataFrame:
             )
 
     schema = T.StructType([inner.schema["row"]]).add("lang_pred", "string").add("lang_score", "double").add("lang_rejected", "boolean")
-    return inner.mapInArrow(predict, schema)
+    return inner.mapInArrow(trimmed(predict), schema)
 
 
 def predictions(docs: DataFrame, model: CentroidModel | None = None) -> DataFrame:

@@ -36,11 +36,11 @@ from .textkit import U, char_hash, column_bytes, distinct, mix, powers, slices,
 
 MARK = "▁"
 #: Most units whose ids are broadcast.
-HEAD_UNITS = 1 << 20
+HEAD_UNITS = 1 << 19
 #: Longest unit that is folded: its places are the bits of a long.
 MAX_UNIT = 60
 #: Bytes of text at a time.
-SLICE = 1 << 19
+SLICE = 1 << 18
 _NONE = -2e9
 
 

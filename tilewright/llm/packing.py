@@ -28,7 +28,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from .common import materialize, maybe_broadcast, texts
-from .textkit import U, char_hash, column_bytes, distinct, mix, powers, slices
+from .textkit import U, char_hash, column_bytes, distinct, mix, powers, slices, trimmed
 
 CAPACITY = 2048
 CLOSING_ID = 1
@@ -220,7 +220,7 @@ def tokenized_pieces(docs: DataFrame, vocabulary: str, capacity: int = CAPACITY,
             kinds = [pa.int64(), pa.int64(), pa.int64(), pa.binary(), pa.int64()]
             yield pa.RecordBatch.from_arrays([pa.array(x, k) for x, k in zip((ids, start, length, body, total), kinds)], ["doc_id", "start", "length", "ids", "doc_tokens"])
 
-    return texts(docs).mapInArrow(pieces, "doc_id long, start long, length long, ids binary, doc_tokens long")
+    return texts(docs).mapInArrow(trimmed(pieces), "doc_id long, start long, length long, ids binary, doc_tokens long")
 
 
 def pack_histogram(counts: dict[int, int], capacity: int = CAPACITY) -> list[tuple[tuple[tuple[int, int], ...], int]]:

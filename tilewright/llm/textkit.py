@@ -7,7 +7,6 @@ import ctypes
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 
 U = np.uint64
@@ -51,13 +50,17 @@ def trimmed(found):
         try:
             yield from found(batches)
         finally:
-            pa.default_memory_pool().release_unused()
-            with contextlib.suppress(OSError, AttributeError):
-                ctypes.CDLL(None).malloc_trim(0)
+            trim()
 
     return run
 
 
+def trim() -> None:
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):
+        ctypes.CDLL(None).malloc_trim(0)
+
+
 _powers = [np.ones(1, U), np.ones(1, U)]
 _char_hash: list[np.ndarray] = []
 
@@ -84,8 +87,9 @@ def char_hash() -> np.ndarray:
 
 def distinct(h: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """The number of each value among the distinct ones, and where each of these is first."""
-    which, values = pd.factorize(h)
-    first = np.empty(len(values), np.int64)
+    coded = pa.array(h).dictionary_encode()
+    which = coded.indices.to_numpy()
+    first = np.empty(len(coded.dictionary), np.int64)
     first[which[::-1]] = np.arange(len(h))[::-1]
     return which, first
 
