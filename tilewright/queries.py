@@ -466,8 +466,9 @@ def model_and_work_even(spark: SparkSession, d: str) -> DataFrame:
         layout = methods.plan_fixed_grid(boxes, cells=cells)
         alpha = measures.quality(boxes, layout).first()["lambda"]
         done = costmodel.realised(r, s, layout).first()
-        rows.append((cells, layout.count, round(alpha, 6), round(costmodel.join_cost(nr, ns, layout.count, alpha, 2.0), 3), done["work"], done["largest"]))
-    return spark.createDataFrame(rows, "cells int, k long, alpha double, model double, work long, largest long")
+        rows.append((cells, layout.count, alpha, costmodel.join_cost(nr, ns, layout.count, alpha, 2.0), done["work"], done["largest"]))
+    found = spark.createDataFrame(rows, "cells int, k long, alpha double, model double, work long, largest long")
+    return found.withColumns({"alpha": F.round("alpha", 6), "model": F.round("model", 3)})
 
 
 @register("taxonomy", """SELECT * FROM (VALUES ('binary_split', 'non-overlapping', 'top-down', 'space'), ('fixed_grid', 'non-overlapping', 'n/a', 'space'), ('strip', 'non-overlapping', 'bottom-up', 'data'),
