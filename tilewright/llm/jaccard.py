@@ -52,7 +52,7 @@ SMALL_GROUP = 24
 #: Documents whose signatures tell which ones are hot, how often one must occur among them, and how many may be.
 HOT_SAMPLE, HOT_TIMES, HOT_SIGNATURES = 4096, 8, 1 << 16
 #: Signatures that a task gathers before it deals them out, and shingles of whose signatures a bucket is made.
-FLUSH_SIGNATURES, BUCKET_SHINGLES = 1 << 20, 1_000_000
+FLUSH_SIGNATURES, BUCKET_SHINGLES = 1 << 18, 1_000_000
 
 
 def band_of(n: np.ndarray) -> np.ndarray:

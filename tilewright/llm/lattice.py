@@ -36,7 +36,7 @@ from .textkit import U, char_hash, column_bytes, distinct, mix, powers, slices,
 
 MARK = "▁"
 #: Most units whose ids are broadcast.
-HEAD_UNITS = 1 << 19
+HEAD_UNITS = 1 << 20
 #: Longest unit that is folded: its places are the bits of a long.
 MAX_UNIT = 60
 #: Bytes of text at a time.
@@ -347,6 +347,7 @@ def encoded(docs: DataFrame, model: str, head: int = HEAD_UNITS, fold=merge_fold
     t, again = identified(docs)
     t = t.select(F.col("__row_id").alias("doc_id"), "text")
     codes = unit_codes(t, model, fold)
+    narrow = len(_table(model).piece) < 1 << 15  # ids move as 16 bits
     power = F.floor(F.log2("n")).cast("int")
     sizes = dict(codes.groupBy(power.alias("k")).agg(F.count(F.lit(1))).collect())  # at most 63 rows
     k, total = 64, 0
@@ -395,7 +396,7 @@ def encoded(docs: DataFrame, model: str, head: int = HEAD_UNITS, fold=merge_fold
                     size[x] = len(ids)
                 end = np.cumsum(size)
                 # A unit without ids here leaves -1 in its place.
-                out = np.full(end[-1] if len(end) else 0, -1, np.int32)
+                out = np.full(end[-1] if len(end) else 0, -1, np.int16 if narrow else np.int32)
                 turn = np.arange(int(n.sum())) - np.repeat(np.cumsum(n) - n, n)
                 out[np.repeat(end[hit] - n, n) + turn] = top.ids[np.repeat(top.at[at[hit]], n) + turn]
                 for x, ids in long.items():
@@ -421,19 +422,20 @@ def encoded(docs: DataFrame, model: str, head: int = HEAD_UNITS, fold=merge_fold
                     size = np.ones(len(got), np.int64)
                     size[gap] = np.diff(spans)
                     end = np.cumsum(size)
-                    whole = np.empty(end[-1], np.int32)
+                    whole = np.empty(end[-1], np.int32)  # every place is filled
                     rest = np.flatnonzero(got >= 0)
                     whole[end[rest] - 1] = got[rest]
                     m = size[gap]
                     turn = np.arange(int(m.sum())) - np.repeat(np.cumsum(m) - m, m)
                     whole[np.repeat(end[gap] - m, m) + turn] = in_values[spans[0] : spans[-1]]
                     got = whole
+                got = got.astype(np.int32, copy=False)
                 n.append(len(got))
                 ids.append(got)
                 ok.append(xxhash.xxh3_64_intdigest(table.bytes_of(got)) == want)
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(n, pa.int64()), pa.array(ids, pa.list_(pa.int32())), pa.array(ok, pa.bool_())], ["__row_id", "n_pieces", "ids", "round_trip"])
 
-    rows = texts(t).mapInArrow(trimmed(encode), "doc_id long, digest long, ids array<int>")
+    rows = texts(t).mapInArrow(trimmed(encode), f"doc_id long, digest long, ids array<{'short' if narrow else 'int'}>")
     if total < sum(sizes.values()) or here < total:
         left = codes if here < total else codes.filter(~often)
         gaps = texts(t).mapInArrow(trimmed(rare), "doc_id long, turn int, unit string").join(left.select("unit", "ids"), "unit")
