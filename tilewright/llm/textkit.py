@@ -10,7 +10,7 @@ import numpy as np
 import pyarrow as pa
 
 U = np.uint64
-SLICE_BYTES = 1 << 21
+SLICE_BYTES = 1 << 19
 SHINGLE = 5
 
 
@@ -73,7 +73,7 @@ def powers(n: int) -> tuple[np.ndarray, np.ndarray]:
             x[0] = 1
             _powers[k] = np.cumprod(x, dtype=U)
     out = _powers[0][:n], _powers[1][:n]
-    if n > 1 << 24:  # of one very long row: not kept
+    if n > 1 << 21:  # of one very long row: not kept
         _powers[:] = [np.ones(1, U), np.ones(1, U)]
     return out
 
