@@ -17,7 +17,8 @@ BROADCAST_BYTES = 32 << 20
 #: Bytes of a value in a broadcast relation (of other kinds 1024, if the caller knows no width).
 _WIDTHS = {"bigint": 8, "double": 8, "float": 8, "int": 8, "boolean": 8, "string": 64, "binary": 64}
 
-_CLEAN = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+#: While a table is written: shuffle files go when they are no longer needed, and workers get short batches of (long) texts.
+_WRITING = {"spark.sql.classic.shuffleDependency.fileCleanup.enabled": "true", "spark.sql.execution.arrow.maxRecordsPerBatch": "2000"}
 _own: dict[str, str] = {}
 
 
@@ -38,16 +39,18 @@ def shared_dir(spark: SparkSession) -> str:
 def materialize(df: DataFrame) -> DataFrame:
     """Write df to the shared folder and read it back, which cuts its lineage.
 
-    The shuffle files behind it are of no more use then, and go at once.
+    The shuffle files behind it are of no more use then, and go at once. The settings for it are as before after it.
     """
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/tilewright/{uuid.uuid4().hex}"
-    before = spark.conf.get(_CLEAN, None)
-    spark.conf.set(_CLEAN, "true")
+    before = {k: spark.conf.get(k, None) for k in _WRITING}
+    for k, v in _WRITING.items():
+        spark.conf.set(k, v)
     try:
         df.write.parquet(path)
     finally:
-        spark.conf.unset(_CLEAN) if before is None else spark.conf.set(_CLEAN, before)
+        for k, v in before.items():
+            spark.conf.unset(k) if v is None else spark.conf.set(k, v)
     out = spark.read.schema(df.schema).parquet(path)
     out._tilewright_path = path
     return out
