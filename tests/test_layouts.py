@@ -349,3 +349,28 @@ def test_advice(spark, sf):
     rows = costmodel.sweep(r, s, "grid", (0.005, 0.01, 0.05, 0.2), least=5)
     assert costmodel.advise_payload(r, s, "grid", (0.005, 0.01, 0.05, 0.2))["model"] == min(x["model"] for x in rows if x["payload"] >= 10)
     assert costmodel.makespan([5.0, 4.0, 3.0, 3.0], 2) == 8.0
+
+
+def test_least_cut_over_more_boxes_than_one_group_takes(spark, sf, monkeypatch):
+    """Against strips that look at all live boxes again each time."""
+    boxes = fixtures.skew_boxes(spark, sf)
+    b, u, payload, want = methods.arrays_of(boxes), methods.extent_of(boxes)[0], 40, []
+    near, far, low, high = b[:, :2], b[:, 2:], [u.xmin, u.ymin], [u.xmax, u.ymax]
+    while True:
+        live = (far >= low).all(axis=1)
+        found = []
+        for d in (0, 1) if live.sum() > payload else ():
+            c = np.sort((near[live, d] + far[live, d]) / 2)
+            cut = c[payload] if c[payload] > low[d] else next(iter(c[c > low[d]]), high[d])
+            if cut < high[d]:
+                found.append((int((near[live, d] < cut).sum() - (far[live, d] < cut).sum()), d, float(cut)))
+        if not found:
+            want.append((*low, *high, int(live.sum())))
+            break
+        _, d, cut = min(found)
+        top = [cut if k == d else high[k] for k in (0, 1)]
+        want.append((*low, *top, int(((near[live, d] + far[live, d]) / 2 < cut).sum())))
+        low[d] = cut
+    monkeypatch.setattr(methods, "MOST_IN_ONE_TASK", 100)
+    layout = methods.plan_least_cut_strip(boxes, payload)
+    assert [(*r[1:5], r["planned"]) for r in layout.rows()] == want
