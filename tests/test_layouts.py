@@ -374,3 +374,15 @@ def test_least_cut_over_more_boxes_than_one_group_takes(spark, sf, monkeypatch):
     monkeypatch.setattr(methods, "MOST_IN_ONE_TASK", 100)
     layout = methods.plan_least_cut_strip(boxes, payload)
     assert [(*r[1:5], r["planned"]) for r in layout.rows()] == want
+
+
+def test_live_strips_by_ranges_of_coordinates(spark, sf, monkeypatch):
+    boxes = fixtures.even_boxes(spark, sf)
+    want = [tuple(r) for r in methods.plan_strip(boxes, 30, axis="y").rows()]
+    assert len(want) > 30
+    monkeypatch.setattr(methods, "MOST_CUT_CANDIDATES", 200)
+    for axis, rows in (("y", want), ("x", None)):
+        found = methods.plan_strip(boxes, 30, axis=axis, ranges=True)
+        assert rows is None or [tuple(r) for r in found.rows()] == rows
+        b = methods.arrays_of(boxes)
+        assert [r[1:5] for r in map(tuple, found.rows())] == [t[:4] for t in kernels.strips(b, found.universe, 30, axis)]
