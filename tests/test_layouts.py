@@ -386,3 +386,14 @@ def test_live_strips_by_ranges_of_coordinates(spark, sf, monkeypatch):
         assert rows is None or [tuple(r) for r in found.rows()] == rows
         b = methods.arrays_of(boxes)
         assert [r[1:5] for r in map(tuple, found.rows())] == [t[:4] for t in kernels.strips(b, found.universe, 30, axis)]
+
+
+def test_sort_tiles_of_equal_centres_follow_the_slab():
+    """Eight boxes of one height in two slabs: in each, y ties go by x, as the two-level SQL ranks them, and not by id."""
+    x = np.arange(8)[::-1] * 10.0
+    b = np.column_stack([x, np.zeros(8), x + 1, np.ones(8)])
+    tiles = kernels.sort_tiles(b, Box(0, 0, 71, 1), 2)
+    assert [(t[0], t[2], t[4]) for t in tiles] == [(0, 11, 2), (20, 31, 2), (40, 51, 2), (60, 71, 2)]
+    x = np.array([0.0, 30, 10, 20])
+    tiles = kernels.sort_tiles(np.column_stack([x, np.zeros(4), x + 1, np.ones(4)]), Box(0, 0, 31, 1), 2)
+    assert [(t[0], t[2]) for t in tiles] == [(0, 11), (20, 31)]
