@@ -397,3 +397,23 @@ def test_sort_tiles_of_equal_centres_follow_the_slab():
     x = np.array([0.0, 30, 10, 20])
     tiles = kernels.sort_tiles(np.column_stack([x, np.zeros(4), x + 1, np.ones(4)]), Box(0, 0, 31, 1), 2)
     assert [(t[0], t[2]) for t in tiles] == [(0, 11), (20, 31)]
+
+
+def test_nested_loop_by_blocks(spark, sf, monkeypatch):
+    """Blocks of few boxes, against all pairs in arrays."""
+    boxes = fixtures.skew_boxes(spark, sf)
+    r, s = fixtures.halves(boxes)
+    rows = [np.array([tuple(x) for x in side.select("id", "xmin", "ymin", "xmax", "ymax").collect()]) for side in (r, s)]
+    (ri, *p), (si, *q) = (x.T for x in rows)
+    p = [c[:, None] for c in p]
+    dx, dy = (np.maximum(0, np.maximum(p[k] - q[k + 2], q[k] - p[k + 2])) for k in (0, 1))
+    want = {
+        "intersects": (p[0] <= q[2]) & (p[2] >= q[0]) & (p[1] <= q[3]) & (p[3] >= q[1]), "overlaps": (p[0] < q[2]) & (p[2] > q[0]) & (p[1] < q[3]) & (p[3] > q[1]),
+        "within": (p[0] >= q[0]) & (p[2] <= q[2]) & (p[1] >= q[1]) & (p[3] <= q[3]), ("dwithin", 900.0): dx * dx + dy * dy <= 900.0**2,
+    }
+    monkeypatch.setattr(tilejoin, "BLOCK", 64)
+    for kind, hit in want.items():
+        found = tilejoin.brute_force(r, s, predicate=kind)
+        assert "NestedLoop" not in found._jdf.queryExecution().executedPlan().toString() and "Cartesian" not in found._jdf.queryExecution().executedPlan().toString()
+        i, j = np.nonzero(hit)
+        assert sorted(map(tuple, found.collect())) == sorted(zip(ri[i].astype(int).tolist(), si[j].astype(int).tolist())) and len(i)
