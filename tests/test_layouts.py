@@ -417,3 +417,16 @@ def test_nested_loop_by_blocks(spark, sf, monkeypatch):
         assert "NestedLoop" not in found._jdf.queryExecution().executedPlan().toString() and "Cartesian" not in found._jdf.queryExecution().executedPlan().toString()
         i, j = np.nonzero(hit)
         assert sorted(map(tuple, found.collect())) == sorted(zip(ri[i].astype(int).tolist(), si[j].astype(int).tolist())) and len(i)
+
+
+def test_no_broadcast_of_many_listed_tiles(spark, sf, monkeypatch):
+    """A few tiles in a small file may be listed under any number of cells."""
+    from tilewright import store
+
+    boxes = fixtures.even_boxes(spark, sf)
+    layout = methods.plan_sort_tile(boxes, 30)
+    want = sorted(map(tuple, route.explode_tiles(boxes, layout).select("id", "tile_id").collect()))
+    monkeypatch.setattr(store, "BROADCAST_ROWS", 10)
+    met = route.explode_tiles(boxes, layout).select("id", "tile_id")
+    assert layout.params["_listed"] > 10 and "Broadcast" not in met._jdf.queryExecution().executedPlan().toString()
+    assert sorted(map(tuple, met.collect())) == want
