@@ -430,3 +430,45 @@ def test_no_broadcast_of_many_listed_tiles(spark, sf, monkeypatch):
     met = route.explode_tiles(boxes, layout).select("id", "tile_id")
     assert layout.params["_listed"] > 10 and "Broadcast" not in met._jdf.queryExecution().executedPlan().toString()
     assert sorted(map(tuple, met.collect())) == want
+
+
+@pytest.mark.parametrize("bands", [1, 2, 32])
+def test_middle_cuts_by_counts(spark, monkeypatch, bands):
+    """As a split that moves the boxes, whether counts tell all of it, a part or nothing."""
+    rng = np.random.default_rng(5)
+    low = rng.integers(0, 1000, (300, 2)) / 8
+    far = low + rng.integers(0, 60, (300, 2)) / 8
+    boxes = fixtures.rows(spark, [(i, *a, *b) for i, (a, b) in enumerate(zip(low.tolist(), far.tolist()))]).cache()
+
+    def split(b, box, depth):
+        n, cut = len(b), None
+        if n > 25 and depth < 9:
+            for k in (0, 1):
+                at = (box[k] + box[k + 2]) / 2
+                if box[k] < at < box[k + 2]:
+                    f = (at - box[k]) / (box[k + 2] - box[k])
+                    if cut is None or f * (1 - f) > cut[0]:
+                        cut = (f * (1 - f), k, at)
+        if cut:
+            _, k, at = cut
+            x, y = b[b[:, k] < at], b[b[:, k + 2] >= at]
+            if len(x) and len(y) and not len(x) == len(y) == n:
+                one, two = list(box), list(box)
+                one[k + 2] = two[k] = at
+                return split(x, one, depth + 1) + split(y, two, depth + 1)
+        return [(*box, n)]
+
+    b = np.column_stack([low, far])
+    want = split(b, [*low.min(0), *far.max(0)], 0)
+    monkeypatch.setattr(methods, "MOST_BANDS", bands)
+    got = methods.plan_binary_split(boxes, 25, cut="middle", max_depth=9).rows()
+    assert sorted(tuple(r[c] for c in ("xmin", "ymin", "xmax", "ymax", "planned")) for r in got) == sorted(want)
+    assert any(y0 > want[0][1] for _, y0, *_ in want) or len(want) > 8
+
+
+def test_middle_cuts_move_no_box(spark, monkeypatch):
+    """One edge that no cut ever frees is halved to the last level, which took a pass over all boxes each."""
+    boxes = fixtures.rows(spark, [(i, *((0, 0, 301, 1000) if i % 2 else (301, 0, 1000, 1000))) for i in range(20)])
+    monkeypatch.setattr(methods, "settled", lambda df: pytest.fail("a level was written") if "node" in df.columns else df)
+    tiles = methods.plan_binary_split(boxes, 5, cut="middle").rows()
+    assert max(r["level"] for r in tiles) == 40
