@@ -12,6 +12,7 @@ from tilewright import costmodel, measures
 from tilewright.functions.curves import with_curve_key
 from tilewright.functions.geometry import Box, require_boxes, split_invalid
 from tilewright.functions.sql import register_functions
+from tilewright.functions import wkt
 from tilewright.functions.wkt import rings_meet
 from tilewright.operators import route, tilejoin
 from tilewright.plans import kernels, methods, sampling, twolevel
@@ -472,3 +473,24 @@ def test_middle_cuts_move_no_box(spark, monkeypatch):
     monkeypatch.setattr(methods, "settled", lambda df: pytest.fail("a level was written") if "node" in df.columns else df)
     tiles = methods.plan_binary_split(boxes, 5, cut="middle").rows()
     assert max(r["level"] for r in tiles) == 40
+
+
+def test_refined_pairs_read_each_text_once(monkeypatch):
+    """Many pairs of few polygons, of several sizes, as pair by pair."""
+    import pyarrow as pa
+
+    rng = np.random.default_rng(3)
+
+    def text(k):
+        turn, c, size = np.linspace(0, 2 * np.pi, k, endpoint=False), rng.random(2) * 10, 1 + rng.random()
+        ring = [(c[0] + size * math.cos(a), c[1] + size * math.sin(a)) for a in turn]
+        return "POLYGON ((" + ", ".join(f"{x} {y}" for x, y in [*ring, ring[0]]) + "))"
+
+    x, y = (pa.table({"geom": [text(3 + n % 3) for n in range(40)]}) for _ in range(2))
+    i, j = (v.ravel() for v in np.meshgrid(np.arange(40), np.arange(40)))
+    read, ring = [], wkt._ring
+    rings = [[ring(g) for g in t.column("geom").to_pylist()] for t in (x, y)]
+    monkeypatch.setattr(wkt, "_ring", lambda g: read.append(g) or ring(g))
+    got = wkt.polygons_meet(x, y, i, j)
+    assert len(read) == 80 and 0 < got.sum() < len(got)
+    assert got.tolist() == [rings_meet(rings[0][a], rings[1][b]) for a, b in zip(i.tolist(), j.tolist())]
