@@ -494,3 +494,16 @@ def test_refined_pairs_read_each_text_once(monkeypatch):
     got = wkt.polygons_meet(x, y, i, j)
     assert len(read) == 80 and 0 < got.sum() < len(got)
     assert got.tolist() == [rings_meet(rings[0][a], rings[1][b]) for a, b in zip(i.tolist(), j.tolist())]
+
+
+def test_crowded_packings_get_finer_lookup_cells(spark):
+    """Nearly all tiles in one corner of the universe: cells are halved, and each box meets its tiles as before."""
+    spots = [(k, k % 20 * 3.0, k // 20 * 3.0) for k in range(400)]
+    boxes = fixtures.rows(spark, [*((k, x, y, x + 1, y + 1) for k, x, y in spots), (400, 9000, 9000, 9001, 9001)]).cache()
+    layout = methods.plan_curve_pack(boxes, 4)
+    met = {(r["id"], r["tile_id"]) for r in route.explode_tiles(boxes, layout).collect()}
+    assert layout.params["_cells"] > route._lookup_cells(layout.count)
+    tiles, found = layout.rows(), set()
+    for k, *b in (tuple(r) for r in boxes.collect()):
+        found |= {(k, t["tile_id"]) for t in tiles if b[0] <= t["xmax"] and b[2] >= t["xmin"] and b[1] <= t["ymax"] and b[3] >= t["ymin"]}
+    assert met == found
