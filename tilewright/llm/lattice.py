@@ -31,7 +31,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import identified, materialize, original, texts
+from .common import discard, identified, materialize, original, texts
 from .textkit import U, char_hash, column_bytes, distinct, mix, powers, slices, trimmed
 
 MARK = "▁"
@@ -412,7 +412,7 @@ def encoded(docs: DataFrame, model: str, head: int = HEAD_UNITS, fold=merge_fold
             off, values = batch.column("ids").offsets.to_numpy(), batch.column("ids").values.to_numpy(zero_copy_only=False)
             if "fills" in batch.schema.names:
                 fills = batch.column("fills")
-                fill_off, inner = fills.offsets.to_numpy(), fills.values.field("ids")
+                fill_off, inner = fills.offsets.to_numpy(), fills.values
                 in_off, in_values = inner.offsets.to_numpy(), inner.values.to_numpy(zero_copy_only=False)
             for r, want in enumerate(batch.column("digest").to_numpy().view(np.uint64).tolist()):
                 got = values[off[r] : off[r + 1]]
@@ -440,7 +440,10 @@ def encoded(docs: DataFrame, model: str, head: int = HEAD_UNITS, fold=merge_fold
         left = codes if here < total else codes.filter(~often)
         gaps = texts(t).mapInArrow(trimmed(rare), "doc_id long, turn int, unit string").join(left.select("unit", "ids"), "unit")
         fills = gaps.groupBy("doc_id").agg(F.sort_array(F.collect_list(F.struct("turn", "ids"))).alias("fills"))
-        rows = rows.join(fills, "doc_id", "left")
+        # Written before the rows move, so that the disk never holds the shuffles of units and of rows at once.
+        fills = materialize(fills.select("doc_id", F.col("fills.ids").alias("fills")))
+        rows = rows.join(fills.hint("merge"), "doc_id", "left")
+    discard(codes)
     out = rows.mapInArrow(trimmed(fill), "__row_id long, n_pieces long, ids array<int>, round_trip boolean")
     return original(out, again).select(F.col("orig").alias("doc_id"), "n_pieces", "ids", "round_trip")
 
