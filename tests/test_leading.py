@@ -54,7 +54,7 @@ def test_boxes_that_no_tile_holds(spark):
     assert sorted(map(tuple, tilejoin.join(*fixtures.halves(boxes), layout).collect())) == want
 
 
-@pytest.mark.parametrize("name", ["twolevel_sorttile_even"])
+@pytest.mark.parametrize("name", ["sampled_hilbert_keyrange_skew", "twolevel_sorttile_even"])
 def test_boxes_are_made_once(spark, sf, name):
     """The join reads written boxes: it neither orders the events again nor groups by id for the lists of tiles."""
     plan = q.QUERIES[name](spark, sf)._jdf.queryExecution().executedPlan().toString()
